@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
+from facetgraph.llm.decontaminate import op8_decontaminate
+from facetgraph.llm.mixing import OP2_SQL, op2_mix_sources
 from facetgraph.llm.ngram_join import op9_ngram_jaccard
+from facetgraph.llm.sharding import op3_shard_documents
 
 QUERIES = {
+    "op2_mix_sources": op2_mix_sources,
+    "op3_shard_documents": op3_shard_documents,
+    "op8_decontaminate": op8_decontaminate,
     "op9_ngram_jaccard": op9_ngram_jaccard,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_mix_sources": OP2_SQL,
+}
