@@ -10,8 +10,9 @@ size, so "shortest lists first" is one global order. A document is posted under
 ``n - ceil(t n) + 1`` shortest lists only; linked documents share at least one of
 them. A posted list's smallest document leads it, and every document of the list
 joins the leader's block: linked documents therefore meet in a block, and rows stay
-in proportion to the postings, whatever the list lengths. Each block then runs the
-full T-occurrence search. Blocks above ``BLOCK_ROWS`` documents are cut into chunks
+in proportion to the postings, whatever the list lengths. A block first merges the posted lists and
+keeps the members whose shared short lists leave the required overlap possible; for those the
+full T-occurrence search runs. Blocks above ``BLOCK_ROWS`` documents are cut into chunks
 and every pair of chunks is searched, so that nothing is capped.
 
 Copies (equal word sequences) are one class from the start, so a group of
@@ -47,7 +48,8 @@ LENGTH_CELLS = 1 << 16
 BLOCK_ROWS = 1024
 
 SCAN = pa.schema([("kind", pa.int32()), ("a", pa.int64()), ("b", pa.int64()), ("c", pa.int64()), ("n", pa.int64())])
-POSTING = pa.schema([("shingle", pa.int64()), ("doc_id", pa.int64())])
+POSTING = pa.schema([("shingle", pa.int64()), ("doc_id", pa.int64()), ("n", pa.int32())])
+MEMBER = pa.schema([("leader", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("c", pa.int32()), ("doc_id", pa.int64())])
 SET = pa.schema([("leader", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("c", pa.int32()), ("doc_id", pa.int64()), ("set", pa.binary())])
 LINK = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
@@ -90,10 +92,10 @@ def posting_kernel(k: int, num: int, den: int, rank: np.ndarray):
             ids = numbers(batch, "doc_id")
             for at, texts in text_chunks(batch):
                 h, d, n, _ = sets_of(texts, k, rank)
-                keep = n - (n * num + den - 1) // den + 1
+                keep = prefix(n, num, den)
                 within = np.arange(len(h)) - (np.cumsum(n) - n)[d]
                 short = within < keep[d]
-                yield from emit(POSTING, [signed(h[short]), ids[at + d[short]]])
+                yield from emit(POSTING, [signed(h[short]), ids[at + d[short]], n[d[short]].astype(np.int32)])
 
     return run
 
@@ -190,6 +192,52 @@ def divide_skip(ids: np.ndarray, sets: list[np.ndarray], chunk: np.ndarray, cros
     return [(int(ids[order[x]]), int(smallest[forest.root(x)])) for x in range(len(order)) if ids[order[x]] != smallest[forest.root(x)]]
 
 
+def prefix(n, num: int, den: int):
+    """Lists under which a document of n shingles is posted."""
+    return n - (n * num + den - 1) // den + 1
+
+
+def partner_kernel(num: int, den: int):
+    """Block members that may link, by T-occurrence on the short lists alone.
+
+    What two linked documents share outside the shorter-ended prefix is at most
+    that document's rest, so the prefixes share the required overlap less that rest.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in runs(batches, ["leader", "i", "j"]):
+            if block.num_rows < 2:
+                continue
+            lists = block.column("tokens").combine_chunks()
+            flat, ends = np.asarray(lists.flatten()), np.cumsum(np.asarray(pa.compute.list_value_length(lists)))
+            n, c = numbers(block, "n").astype(np.int64), numbers(block, "c")
+            rest = n - prefix(n, num, den)
+            who = np.repeat(np.arange(len(n)), np.diff(ends, prepend=0))
+            order = np.argsort(flat, kind="stable")
+            new = np.append(True, np.diff(flat[order]) != 0) if len(flat) else np.empty(0, bool)
+            number = np.empty(len(flat), np.int64)
+            number[order] = np.cumsum(new) - 1
+            starts = np.append(np.flatnonzero(new), len(flat))
+            docs = who[order]
+            marked = np.zeros(len(n), bool)
+            for x in range(len(n)):
+                mine = number[ends[x - 1] if x else 0 : ends[x]]
+                if not len(mine):
+                    continue
+                shared = np.bincount(np.concatenate([docs[starts[i] : starts[i + 1]] for i in mine.tolist()]), minlength=len(n))
+                need = np.maximum(1, -(-num * (n + n[x]) // (num + den)) - np.maximum(rest, rest[x]))
+                fit = (shared >= need) & (np.minimum(n, n[x]) * den >= np.maximum(n, n[x]) * num)
+                fit[x] = False
+                if block["i"][0] != block["j"][0]:
+                    fit &= c != c[x]
+                marked[x] |= bool(fit.any())
+            if marked.any():
+                keep = block.filter(pa.array(marked))
+                yield from emit(MEMBER, [keep.column(f.name).combine_chunks() for f in MEMBER])
+
+    return run
+
+
 def block_kernel(num: int, den: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for block in runs(batches, ["leader", "i", "j"]):
@@ -226,18 +274,16 @@ def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = N
 
     postings = docs.where("doc_id is not null and text is not null").mapInArrow(posting_kernel(k, num, den, rank), sql_schema(POSTING))
     leaders = postings.groupBy("shingle").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader < last").select("shingle", "leader")
-    joined = postings.join(leaders, "shingle").where("doc_id <> leader").select("leader", "doc_id").distinct()
+    posted = postings.join(leaders, "shingle").groupBy("doc_id").agg(F.max("n").alias("n"), F.collect_list("shingle").alias("tokens"), F.collect_set("leader").alias("leaders"))
     distinct_texts = classes.select(F.col("first").alias("doc_id"))
-    members = joined.join(distinct_texts, "doc_id", "left_semi").select("leader", "doc_id")
-    members = cut(members.union(members.select("leader", F.col("leader").alias("doc_id")).distinct()))
-    sized = members.join(members.groupBy("leader").agg(F.count("*").alias("rows")), "leader").withColumn("chunks", F.ceil(F.col("rows") / block_rows).cast("int"))
-    sized = sized.withColumn("c", F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int"))
-    tasks = sized.select(
-        "doc_id",
-        F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.struct("leader", F.least("c", o).cast("int").alias("i"), F.greatest("c", o).cast("int").alias("j"), "c")).alias("tasks"),
-    )
-    tasks = tasks.groupBy("doc_id").agg(F.flatten(F.collect_list("tasks")).alias("tasks"))
-
+    posted = cut(posted.join(distinct_texts, "doc_id", "left_semi"))
+    members = posted.select(F.explode("leaders").alias("leader"), "doc_id", "n", "tokens")
+    sized = members.groupBy("leader").agg(F.count("*").alias("rows")).where("rows > 1").select("leader", F.ceil(F.col("rows") / block_rows).cast("int").alias("chunks"))
+    chunked = members.join(sized, "leader").withColumn("c", F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int"))
+    pairs = F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.struct(F.least("c", o).cast("int").alias("i"), F.greatest("c", o).cast("int").alias("j"))))
+    chunked = chunked.withColumn("at", pairs).select("leader", "at.i", "at.j", "c", "doc_id", "n", "tokens")
+    partners = chunked.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j", "doc_id").mapInArrow(partner_kernel(num, den), sql_schema(MEMBER))
+    tasks = partners.groupBy("doc_id").agg(F.collect_list(F.struct("leader", "i", "j", "c")).alias("tasks"))
     sets = docs.join(tasks, "doc_id").mapInArrow(set_kernel(k), sql_schema(SET))
     links = sets.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j", "doc_id").mapInArrow(block_kernel(num, den), sql_schema(LINK))
     found = components(cut(links))
