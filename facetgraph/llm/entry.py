@@ -3,15 +3,23 @@
 from __future__ import annotations
 
 from facetgraph.llm.decontaminate import op8_decontaminate
+from facetgraph.llm.lm_score import op10_lm_score
 from facetgraph.llm.mixing import OP2_SQL, op2_mix_sources
 from facetgraph.llm.ngram_join import op9_ngram_jaccard
+from facetgraph.llm.quality import op6_quality
 from facetgraph.llm.sharding import op3_shard_documents
+from facetgraph.llm.syncmers import op5_syncmer_fingerprints
+from facetgraph.llm.toxicity import op4_toxicity
 
 QUERIES = {
     "op2_mix_sources": op2_mix_sources,
     "op3_shard_documents": op3_shard_documents,
+    "op4_toxicity": op4_toxicity,
+    "op5_syncmer_fingerprints": op5_syncmer_fingerprints,
+    "op6_quality": op6_quality,
     "op8_decontaminate": op8_decontaminate,
     "op9_ngram_jaccard": op9_ngram_jaccard,
+    "op10_lm_score": op10_lm_score,
 }
 
 ORACLES: dict[str, str] = {
