@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.graph import components, cut
-from facetgraph.llm.textkit import Tokens, emit, numbers, runs, signed, text_chunks
+from facetgraph.llm.textkit import Tokens, emit, numbers, runs, sieve_kernel, sieve_of, signed, text_chunks
 
 WORDS = 5
 #: Jaccard threshold as a fraction of integers.
@@ -48,7 +48,7 @@ LENGTH_CELLS = 1 << 16
 BLOCK_ROWS = 1024
 
 SCAN = pa.schema([("kind", pa.int32()), ("a", pa.int64()), ("b", pa.int64()), ("c", pa.int64()), ("n", pa.int64())])
-POSTING = pa.schema([("shingle", pa.int64()), ("doc_id", pa.int64()), ("n", pa.int32())])
+POSTING = pa.schema([("shingle", pa.int64()), ("doc_id", pa.int64())])
 MEMBER = pa.schema([("leader", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("c", pa.int32()), ("doc_id", pa.int64())])
 SET = pa.schema([("leader", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("c", pa.int32()), ("doc_id", pa.int64()), ("set", pa.binary())])
 LINK = pa.schema([("a", pa.int64()), ("b", pa.int64())])
@@ -95,7 +95,7 @@ def posting_kernel(k: int, num: int, den: int, rank: np.ndarray):
                 keep = prefix(n, num, den)
                 within = np.arange(len(h)) - (np.cumsum(n) - n)[d]
                 short = within < keep[d]
-                yield from emit(POSTING, [signed(h[short]), ids[at + d[short]], n[d[short]].astype(np.int32)])
+                yield from emit(POSTING, [signed(h[short]), ids[at + d[short]]])
 
     return run
 
@@ -270,25 +270,25 @@ def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = N
     rank[np.argsort(length, kind="stable")] = np.arange(LENGTH_CELLS)
 
     each = scan.where("kind = 1").select(F.col("a").alias("doc_id"), F.col("b").alias("k1"), F.col("c").alias("k2"), "n")
-    classes = each.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("first"))
+    classes = each.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("first"), F.max("n").alias("n"))
 
     postings = docs.where("doc_id is not null and text is not null").mapInArrow(posting_kernel(k, num, den, rank), sql_schema(POSTING))
     leaders = postings.groupBy("shingle").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader < last").select("shingle", "leader")
-    posted = postings.join(leaders, "shingle").groupBy("doc_id").agg(F.max("n").alias("n"), F.collect_list("shingle").alias("tokens"), F.collect_set("leader").alias("leaders"))
-    distinct_texts = classes.select(F.col("first").alias("doc_id"))
-    posted = cut(posted.join(distinct_texts, "doc_id", "left_semi"))
+    posted = postings.join(leaders, "shingle").groupBy("doc_id").agg(F.collect_list("shingle").alias("tokens"), F.collect_set("leader").alias("leaders"))
+    posted = cut(posted.join(classes.select(F.col("first").alias("doc_id"), "n"), "doc_id"))
     members = posted.select(F.explode("leaders").alias("leader"), "doc_id", "n", "tokens")
     sized = members.groupBy("leader").agg(F.count("*").alias("rows")).where("rows > 1").select("leader", F.ceil(F.col("rows") / block_rows).cast("int").alias("chunks"))
     chunked = members.join(sized, "leader").withColumn("c", F.pmod(F.xxhash64("doc_id"), F.col("chunks")).cast("int"))
     pairs = F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.struct(F.least("c", o).cast("int").alias("i"), F.greatest("c", o).cast("int").alias("j"))))
     chunked = chunked.withColumn("at", pairs).select("leader", "at.i", "at.j", "c", "doc_id", "n", "tokens")
     partners = chunked.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j", "doc_id").mapInArrow(partner_kernel(num, den), sql_schema(MEMBER))
+    partners = cut(partners)
     tasks = partners.groupBy("doc_id").agg(F.collect_list(F.struct("leader", "i", "j", "c")).alias("tasks"))
-    sets = docs.join(tasks, "doc_id").mapInArrow(set_kernel(k), sql_schema(SET))
+    sets = docs.mapInArrow(sieve_kernel(sieve_of(partners, "doc_id")), "doc_id long, text string").join(tasks, "doc_id").mapInArrow(set_kernel(k), sql_schema(SET))
     links = sets.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j", "doc_id").mapInArrow(block_kernel(num, den), sql_schema(LINK))
     found = components(cut(links))
 
-    first = each.join(classes, ["k1", "k2"], "left").select("doc_id", "n", F.when(F.col("n") > 0, F.col("first")).otherwise(F.col("doc_id")).alias("first"))
+    first = each.join(classes.drop("n"), ["k1", "k2"], "left").select("doc_id", "n", F.when(F.col("n") > 0, F.col("first")).otherwise(F.col("doc_id")).alias("first"))
     return first.join(found.withColumnRenamed("node", "first"), "first", "left").select(
         "doc_id",
         F.col("n").alias("n_shingles"),
