@@ -8,10 +8,12 @@ from facetgraph.llm.mixing import OP2_SQL, op2_mix_sources
 from facetgraph.llm.ngram_join import op9_ngram_jaccard
 from facetgraph.llm.quality import op6_quality
 from facetgraph.llm.sharding import op3_shard_documents
+from facetgraph.llm.substring_dedup import op1_shared_passages
 from facetgraph.llm.syncmers import op5_syncmer_fingerprints
 from facetgraph.llm.toxicity import op4_toxicity
 
 QUERIES = {
+    "op1_shared_passages": op1_shared_passages,
     "op2_mix_sources": op2_mix_sources,
     "op3_shard_documents": op3_shard_documents,
     "op4_toxicity": op4_toxicity,
