@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from facetgraph.llm.decontaminate import op8_decontaminate
+from facetgraph.llm.licenses import op7_license_scan
 from facetgraph.llm.lm_score import op10_lm_score
 from facetgraph.llm.mixing import OP2_SQL, op2_mix_sources
 from facetgraph.llm.ngram_join import op9_ngram_jaccard
@@ -19,6 +20,7 @@ QUERIES = {
     "op4_toxicity": op4_toxicity,
     "op5_syncmer_fingerprints": op5_syncmer_fingerprints,
     "op6_quality": op6_quality,
+    "op7_license_scan": op7_license_scan,
     "op8_decontaminate": op8_decontaminate,
     "op9_ngram_jaccard": op9_ngram_jaccard,
     "op10_lm_score": op10_lm_score,
