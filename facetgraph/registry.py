@@ -1,4 +1,421 @@
 """Queries of the vector engine and the SQL that must give the same rows."""
 
-QUERIES = {}
-ORACLES = {}
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from facetgraph.functions import predicates as P
+from facetgraph.functions import vectors as V
+from facetgraph.operators import baselines, exact, ivf, relational, relgraph
+from facetgraph.operators import index as I
+from facetgraph.operators import kernel as K
+from facetgraph.plans import bounds, experiments, metrics, routing
+from facetgraph.plans.workloads import WORKLOADS, entities, queries, sql_topk, sql_with
+from facetgraph.sources import tables as T
+from facetgraph.streaming import queries as stream
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+ORACLES: dict[str, str] = {}
+M, GAMMA, SEED, TOP = 8, 10, 7, 10
+
+
+def register(name: str, sql: str | None = None):
+    def add(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return add
+
+
+def rounded(df: DataFrame, *columns: str) -> DataFrame:
+    return df.withColumns({c: F.round(c, 6) for c in columns or ("dist",)})
+
+
+# --- exact top-K over the workloads --------------------------------------------------------------------------
+
+for _name, _w in WORKLOADS.items():
+
+    def _prefilter(spark, d, w=_w):
+        e = entities(spark, d, w)
+        return rounded(exact.prefilter(e, queries(e, w), list(w.predicates), TOP))
+
+    register(f"prefilter_{_name}", sql_topk(_w))(_prefilter)
+
+for _metric in V.METRICS:
+
+    def _hybrid(spark, d, metric=_metric):
+        w = WORKLOADS["label"]
+        e = entities(spark, d, w)
+        return rounded(exact.hybrid_topk(e, queries(e, w), list(w.predicates), TOP, metric))
+
+    register(f"hybrid_topk_{_metric}", sql_topk(WORKLOADS["label"], TOP, _metric))(_hybrid)
+
+_EQ = next(n for n in QUERIES if n == "prefilter_eq12")
+QUERIES["prefilter_eq"], ORACLES["prefilter_eq"] = QUERIES.pop(_EQ), ORACLES.pop(_EQ)
+
+_BITS = WORKLOADS["any_brand"]
+
+
+@register("prefilter_bits", sql_topk(_BITS))
+def prefilter_bits(spark, d):
+    """Any-of on brand lists by one bitwise test against a mask column."""
+    from facetgraph.plans.workloads import BRANDS
+
+    e = T.entity_vec(spark, d)
+    q = queries(e, _BITS)
+    masked = e.withColumn("mask", P.keyword_mask(F.col("brands"), BRANDS))
+    flags = [P.contains_bits(F.col("mask"), BRANDS, list(p.value)) for p in _BITS.predicates]
+    rows = masked.select("id", "vec", F.explode(F.array_compact(F.array(*[F.when(f, F.lit(i)) for i, f in enumerate(flags)]))).alias("pred_id"))
+    pairs = rows.join(q, "pred_id").where("id <> query_id")
+    return rounded(exact.rank_topk(pairs.select("query_id", "id", V.l2_squared(F.col("vec"), F.col("qvec")).alias("dist")), TOP))
+
+
+_CONV = T.sql_text_vector("qv", "SELECT conv_id * 1000 + turn AS query_id, text FROM conversations WHERE role = 'user'", "query_id")
+
+
+@register(
+    "prefilter_conversations",
+    f"""{sql_with(WORKLOADS["lang_same"]).rsplit(",", 1)[0].rsplit("queries AS", 1)[0].rstrip().rstrip(",")},
+{_CONV},
+pairs AS (SELECT q.query_id, e.id, {V.sql_distance("l2_squared", "e.vec", "q.vec")} AS dist FROM qv q JOIN ok e ON list_contains(e.passes, (q.query_id % 4)::INT) AND e.id <> q.query_id),
+ranked AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round(dist, 9), id) AS r FROM pairs)
+SELECT query_id, r::INT AS rank, round(dist, 6) AS dist FROM ranked WHERE r <= {TOP}""",
+)
+def prefilter_conversations(spark, d):
+    w = WORKLOADS["lang_same"]
+    q = T.query_conv(spark, d).withColumn("pred_id", F.pmod("query_id", F.lit(4)).cast("int"))
+    return rounded(exact.prefilter(entities(spark, d, w), q, list(w.predicates), TOP)).select("query_id", "rank", "dist")
+
+
+# --- measures ------------------------------------------------------------------------------------------------
+
+for _name, _w in WORKLOADS.items():
+
+    def _selectivity(spark, d, w=_w):
+        return rounded(metrics.selectivity(entities(spark, d, w), list(w.predicates)), "selectivity").withColumn("passing", F.col("passing").cast("long"))
+
+    register(
+        f"selectivity_{_name}",
+        f"{sql_with(_w)}, n AS (SELECT count(*) AS n FROM ok) SELECT i::INT AS pred_id, count(o.id)::BIGINT AS passing, round(count(o.id) / max(n.n), 6) AS selectivity "
+        f"FROM (SELECT unnest(range({len(_w.predicates)})) AS i) p CROSS JOIN n LEFT JOIN ok o ON list_contains(o.passes, p.i) GROUP BY i",
+    )(_selectivity)
+
+
+@register("selectivity_profile", f"""{sql_with(WORKLOADS["any_brand"])}, n AS (SELECT count(*) AS n FROM ok), s AS (SELECT i, count(o.id) / max(n.n) AS s FROM (SELECT unnest(range(25)) AS i) p CROSS JOIN n LEFT JOIN ok o ON list_contains(o.passes, p.i) GROUP BY i)
+SELECT {", ".join(f"round(quantile_cont(s, {x}), 6) AS p{int(x * 100):02d}" for x in (0.01, 0.25, 0.5, 0.75, 0.99))}, round(avg(s), 6) AS mean FROM s""")
+def selectivity_profile(spark, d):
+    w = WORKLOADS["any_brand"]
+    out = metrics.selectivity_profile(entities(spark, d, w), list(w.predicates))
+    return rounded(out, *out.columns)
+
+
+@register("predicate_cardinality", "SELECT count(DISTINCT l_shipdate) AS cardinality FROM lineitem")
+def predicate_cardinality(spark, d):
+    return metrics.predicate_cardinality(T.load(spark, d, "lineitem"), "l_shipdate").select("cardinality")
+
+
+_CUTS = (0.0127, 0.0485, 0.1215, 0.2529, 0.6164)
+
+
+@register("percentile_predicates", "SELECT p::DOUBLE AS target, round(q, 3) AS bound FROM (SELECT unnest([" + ", ".join(map(str, _CUTS)) + "]) AS p, unnest(quantile_cont(epoch(o_orderdate)::DOUBLE, [" + ", ".join(map(str, _CUTS)) + "])) AS q FROM orders JOIN embeddings ON vec_id = o_orderkey)")
+def percentile_predicates(spark, d):
+    """Upper bounds of date ranges with stated selectivities."""
+    rows = T.entity_vec(spark, d).where("o_date is not null").agg(F.expr(f"percentile(cast(unix_micros(o_date) as double) / 1000000, array({', '.join(map(str, _CUTS))}))").alias("q"))
+    return rows.select(F.inline(F.arrays_zip(F.array(*[F.lit(c) for c in _CUTS]).alias("target"), F.col("q").alias("bound")))).withColumn("bound", F.round("bound", 3))
+
+
+def _correlation_sql(w, rank: bool) -> str:
+    value = "i::DOUBLE" if rank else "dist"
+    return f"""{sql_with(w)},
+pairs AS (SELECT q.query_id, e.id, list_contains(e.passes, q.pred_id) AS ok, sqrt({V.sql_distance("l2_squared", "e.vec", "q.qvec")}) AS dist FROM queries q JOIN ok e ON e.id <> q.query_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS i, count(*) OVER (PARTITION BY query_id) AS n, count(*) FILTER (WHERE ok) OVER (PARTITION BY query_id) AS k FROM pairs),
+s AS (SELECT *, CASE WHEN n - i - k + 1 > 0 THEN ln((n - i - k + 1) / (n - i)) ELSE -1e300 END AS lg FROM r WHERE k > 0),
+p AS (SELECT *, k / n * exp(coalesce(sum(lg) OVER (PARTITION BY query_id ORDER BY dist, id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS p FROM s)
+SELECT query_id, max(k)::BIGINT AS passing, round(sum(p * {value}), 5) AS expected, round(min(CASE WHEN ok THEN {value} END), 5) AS nearest FROM p GROUP BY query_id"""
+
+
+for _name, _workload, _rank in (("no", "kw_no", False), ("pos", "kw_pos", False), ("same_lang", "lang_same", False), ("other_lang", "lang_other", False), ("rank", "label", True)):
+
+    def _corr(spark, d, w=WORKLOADS[_workload], rank=_rank):
+        e = entities(spark, d, w)
+        out = metrics.query_correlation(e, queries(e, w), list(w.predicates), rank)
+        return out.select("query_id", "passing", F.round("expected", 5).alias("expected"), F.round("nearest", 5).alias("nearest"))
+
+    register(f"query_correlation_{_name}", _correlation_sql(WORKLOADS[_workload], _rank))(_corr)
+
+
+@register("query_correlation_three_targets")
+def query_correlation_three(spark, d):
+    w = WORKLOADS["label"]
+    e = entities(spark, d, w)
+    return metrics.query_correlation(e, queries(e, w), list(w.predicates), k_targets=3)
+
+
+@register("predicate_clustering", f"""WITH {T.SQL_ENTITY_VEC}, o AS (SELECT id, vec, {P.to_sql(P.contains_any("keywords", [3]))} AS ok FROM entity),
+d AS (SELECT a.id, b.ok, sqrt({V.sql_distance("l2_squared", "a.vec", "b.vec")}) AS dist FROM o a JOIN o b ON a.id <> b.id WHERE a.ok),
+m AS (SELECT id, min(dist) FILTER (WHERE ok) AS w, min(dist) AS a FROM d GROUP BY id) SELECT round(avg(w), 6) AS within, round(avg(a), 6) AS overall, count(*) AS n FROM m""")
+def predicate_clustering(spark, d):
+    return rounded(metrics.predicate_clustering(T.entity_vec(spark, d, True), P.contains_any("keywords", [3])), "within", "overall")
+
+
+@register("cost_model", bounds.SQL_COST.replace("FROM params p", "FROM (SELECT * FROM (VALUES (1000000, 128, 0.083, 10, 32, 12, 64, 0.5), (1000448, 512, 0.1, 10, 32, 30, 32, 0.5), (1055976, 768, 0.0127, 10, 128, 80, 128, 0.25)) t(n, d, s, k, m, gamma, m_beta, delta)) p").replace("p.*", "n, d, s::DOUBLE AS s, k, m, gamma, m_beta, delta::DOUBLE AS delta").replace(" m * s", " m * s::DOUBLE").replace("1 - s,", "1 - s::DOUBLE,").replace("s * n", "s::DOUBLE * n").replace("k / s", "k / s::DOUBLE").replace("ln(1 / s)", "ln(1 / s::DOUBLE)").replace("-delta * delta", "-delta::DOUBLE * delta::DOUBLE"))
+def cost_model(spark, d):
+    rows = [(1000000, 128, 0.083, 10, 32, 12, 64, 0.5), (1000448, 512, 0.1, 10, 32, 30, 32, 0.5), (1055976, 768, 0.0127, 10, 128, 80, 128, 0.25)]
+    return bounds.cost_model(spark.createDataFrame(rows, "n int, d int, s double, k int, m int, gamma int, m_beta int, delta double"))
+
+
+_CURVE = [("dense", 0.55, 900.0, 120.0), ("dense", 0.82, 700.0, 260.0), ("dense", 0.93, 420.0, 500.0), ("dense", 0.93, 300.0, 640.0), ("lean", 0.60, 500.0, 240.0), ("lean", 0.91, 260.0, 760.0), ("lean", 0.90, 255.0, 750.0), ("postfilter", 0.40, 300.0, 900.0), ("postfilter", 0.86, 60.0, 2400.0)]
+_VALUES = "(VALUES " + ", ".join(f"('{m}', {r}::DOUBLE, {q}::DOUBLE, {n}::DOUBLE)" for m, r, q, n in _CURVE) + ") c(method, recall, qps, n_dist)"
+
+
+def _curve(spark) -> DataFrame:
+    return spark.createDataFrame(_CURVE, "method string, recall double, qps double, n_dist double")
+
+
+def _target_sql(x: str, y: str, t: float) -> str:
+    return f"""WITH w AS (SELECT *, lag({x}) OVER (PARTITION BY method ORDER BY {x}, {y}) AS x0, lag({y}) OVER (PARTITION BY method ORDER BY {x}, {y}) AS y0 FROM {_VALUES}),
+h AS (SELECT *, row_number() OVER (PARTITION BY method ORDER BY {x}, {y}) AS r FROM w WHERE {x} >= {t} AND (x0 IS NULL OR x0 < {t}))
+SELECT method, round(CASE WHEN x0 IS NULL THEN {y} ELSE y0 + ({y} - y0) * ({t} - x0) / ({x} - x0) END, 6) AS {y} FROM h WHERE r = 1"""
+
+
+register("pareto_frontier", f"SELECT method, recall, qps, n_dist FROM (SELECT *, max(qps) OVER (PARTITION BY method ORDER BY recall DESC, qps DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS b FROM {_VALUES}) WHERE b IS NULL OR qps > b")(lambda spark, d: metrics.pareto(_curve(spark)))
+register("qps_at_recall", _target_sql("recall", "qps", 0.9))(lambda spark, d: rounded(metrics.qps_at_recall(_curve(spark), 0.9), "qps"))
+register("recall_at_qps", _target_sql("qps", "recall", 400.0))(lambda spark, d: rounded(metrics.recall_at_qps(_curve(spark), 400.0), "recall"))
+register("distances_at_recall", _target_sql("recall", "n_dist", 0.8))(lambda spark, d: rounded(metrics.distances_at_recall(_curve(spark), 0.8), "n_dist"))
+
+# --- graph structure as relations ----------------------------------------------------------------------------
+
+
+def _nodes(spark, d) -> DataFrame:
+    return relgraph.nodes_of(T.entity_vec(spark, d).select("id", "vec"), M, SEED)
+
+
+_NODES = f"WITH nodes AS (SELECT vec_id AS id, embedding::DOUBLE[] AS vec, {I.sql_level('vec_id', M, SEED)} AS top_level, (1 + ((vec_id * 2654435761) % 4294967296) % 12)::INT AS cat12 FROM embeddings)"
+
+
+def _lists_sql(level: int, width: int) -> str:
+    return f"""{_NODES}, scored AS (SELECT a.id AS src, b.id AS dst, {V.sql_distance("l2_squared", "a.vec", "b.vec")} AS dist FROM nodes a JOIN nodes b ON a.id <> b.id WHERE a.top_level >= {level} AND b.top_level >= {level}),
+lists AS (SELECT src, (row_number() OVER (PARTITION BY src ORDER BY dist, dst) - 1)::INT AS pos, dst, dist FROM scored QUALIFY pos < {width})"""
+
+
+register("level_assign", f"{_NODES} SELECT id, top_level FROM nodes")(lambda spark, d: _nodes(spark, d).select("id", "top_level"))
+register("level_counts", f"{_NODES} SELECT l::INT AS level, count(*) AS nodes FROM nodes JOIN (SELECT unnest(range(24)) AS l) ON l <= top_level GROUP BY l")(
+    lambda spark, d: _nodes(spark, d).select(F.explode(F.sequence(F.lit(0), "top_level")).alias("level")).groupBy("level").agg(F.count("*").alias("nodes"))
+)
+register("graph_height", f"{_NODES} SELECT cat12, max(top_level) AS height FROM nodes GROUP BY cat12")(
+    lambda spark, d: _nodes(spark, d).join(T.entity_vec(spark, d).select("id", "cat12"), "id").groupBy("cat12").agg(F.max("top_level").alias("height"))
+)
+for _level in (0, 1):
+
+    def _knn(spark, d, level=_level):
+        return relgraph.knn_graph(_nodes(spark, d), level, M * GAMMA).select("src", "pos", "dst")
+
+    register(f"knn_graph_level{_level}", f"{_lists_sql(_level, M * GAMMA)} SELECT src, pos, dst FROM lists")(_knn)
+
+
+def _small(spark, d) -> tuple[DataFrame, DataFrame]:
+    """Lists of 16 and the ids that pass cat12 = 3."""
+    return relgraph.knn_graph(_nodes(spark, d), 0, 16), T.entity_vec(spark, d).where("cat12 = 3").select("id")
+
+
+_PASS = "ok AS (SELECT id FROM nodes WHERE cat12 = 3)"
+_FIRST = "f AS (SELECT src, dst, min(o) AS o FROM hops WHERE src <> dst AND dst IN (SELECT id FROM ok) GROUP BY src, dst) SELECT src, (row_number() OVER (PARTITION BY src ORDER BY o) - 1)::INT AS pos, dst FROM f QUALIFY pos < 4"
+_TWO = "SELECT a.src, b.dst, {far} + a.pos * 1000 + b.pos + 1 AS o FROM lists a JOIN lists b ON b.src = a.dst"
+register("lookup_filtered", f"{_lists_sql(0, 16)}, {_PASS}, hops AS (SELECT src, dst, pos AS o FROM lists), {_FIRST}")(lambda spark, d: relgraph.lookup_filtered(*_small(spark, d), 4))
+register("lookup_compressed", f"{_lists_sql(0, 16)}, {_PASS}, hops AS (SELECT src, dst, pos * 1000 AS o FROM lists UNION ALL {_TWO.format(far=0)} WHERE a.pos >= 8), {_FIRST}")(lambda spark, d: relgraph.lookup_compressed(*_small(spark, d), 4, 8))
+register("lookup_two_hop", f"{_lists_sql(0, 16)}, {_PASS}, hops AS (SELECT src, dst, pos * 1000 AS o FROM lists UNION ALL {_TWO.format(far=1000000)}), {_FIRST}")(lambda spark, d: relgraph.lookup_two_hop(*_small(spark, d), 4))
+
+
+@register("rng_edges", f"""{_lists_sql(0, 16)}, beaten AS (SELECT DISTINCT x.src, x.dst FROM lists x JOIN lists y ON y.src = x.src AND y.dist < x.dist JOIN nodes c ON c.id = x.dst JOIN nodes a ON a.id = y.dst
+WHERE {V.sql_distance("l2_squared", "c.vec", "a.vec")} < x.dist) SELECT src, dst FROM lists ANTI JOIN beaten USING (src, dst)""")
+def rng_edges(spark, d):
+    nodes = _nodes(spark, d)
+    return relgraph.rng_graph(relgraph.knn_graph(nodes, 0, 16), nodes)
+
+
+register("filtered_degree", f"{_lists_sql(0, M * GAMMA)}, {_PASS}, e AS (SELECT src, least(count(*), {M}) AS n FROM lists WHERE src IN (SELECT id FROM ok) AND dst IN (SELECT id FROM ok) GROUP BY src) SELECT round(sum(n) / (SELECT count(*) FROM ok), 6) AS degree FROM e")(
+    lambda spark, d: _filtered_degree(spark, d)
+)
+
+
+def _filtered_degree(spark, d):
+    ok = T.entity_vec(spark, d).where("cat12 = 3").select("id")
+    near = relgraph.lookup_filtered(relgraph.knn_graph(_nodes(spark, d), 0, M * GAMMA), ok, M).join(ok.withColumnRenamed("id", "src"), "src", "left_semi")
+    return near.agg(F.count("*").alias("n")).withColumn("degree", F.round(F.col("n") / F.lit(ok.count()), 6)).select("degree")
+
+
+@register("scc_components", f"""{_lists_sql(0, 16).replace("WITH nodes", "WITH RECURSIVE nodes")}, {_PASS}, e AS (SELECT src, dst FROM lists WHERE src IN (SELECT id FROM ok) AND dst IN (SELECT id FROM ok)),
+reach(a, b) AS (SELECT id, id FROM ok UNION SELECT r.a, e.dst FROM reach r JOIN e ON e.src = r.b)
+SELECT x.a AS id, min(x.b) AS component FROM reach x JOIN reach y ON y.a = x.b AND y.b = x.a GROUP BY x.a""")
+def scc_components(spark, d):
+    lists, ok = _small(spark, d)
+    e = lists.join(ok.withColumnRenamed("id", "src"), "src", "left_semi").join(ok.withColumnRenamed("id", "dst"), "dst", "left_semi")
+    return relgraph.scc(e, ok, experiments.cut)
+
+
+# --- searches that must be exact: a beam as wide as the shard -------------------------------------------------
+
+_W = WORKLOADS["label"]
+
+
+def _exhaustive(params: K.Params, **kw):
+    def run(spark, d):
+        e = experiments.cut(entities(spark, d, _W))
+        index = I.build(e, params)
+        return rounded(I.topk(I.search(index, e, queries(e, _W), list(_W.predicates), params, TOP, e.count(), **kw), TOP))
+
+    return run
+
+
+register("dense_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M)))
+register("dense_uncompressed_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=M * GAMMA, n_compressed=0)))
+register("dense_two_levels_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M, n_compressed=2)))
+register("dense_inserted_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M, method="insert")))
+register("lean_exhaustive")(_exhaustive(K.lean(m=2 * M)))
+register("postfilter_exhaustive", sql_topk(_W))(_exhaustive(K.hnsw(m=M), over="double"))
+register("dense_sharded_exhaustive")(lambda spark, d: _sharded(spark, d))
+
+
+def _sharded(spark, d):
+    params = K.dense(m=M, gamma=GAMMA, m_beta=2 * M)
+    e = experiments.cut(entities(spark, d, _W))
+    index = I.build(e, params, shards=4)
+    return rounded(I.topk(I.search(index, e, queries(e, _W), list(_W.predicates), params, TOP, e.count()), TOP))
+
+
+@register("ann_exhaustive", sql_topk(WORKLOADS["label"]).replace("list_contains(e.passes, q.pred_id) AND ", ""))
+def ann_exhaustive(spark, d):
+    e = experiments.cut(entities(spark, d, _W))
+    params = K.hnsw(m=M)
+    q = queries(e, _W).withColumn("pred_id", F.lit(0))
+    return rounded(I.topk(I.search(I.build(e, params), e, q, [P.always()], params, TOP, e.count()), TOP))
+
+
+@register("oracle_partition_exhaustive", sql_topk(_W))
+def oracle_partition_exhaustive(spark, d):
+    e = experiments.cut(entities(spark, d, _W))
+    params = K.hnsw(m=M)
+    index = baselines.oracle_partition(e, list(_W.predicates), params)
+    return rounded(I.topk(baselines.search_partition(index, queries(e, _W), params, TOP, e.count()), TOP))
+
+
+@register("ivf_all_probes", sql_topk(_W))
+def ivf_all_probes(spark, d):
+    e = experiments.cut(entities(spark, d, _W))
+    lists, centers = ivf.build(e.select("id", "vec"), 16)
+    return rounded(ivf.search(lists, centers, e, queries(e, _W), list(_W.predicates), TOP, 16))
+
+
+@register("search_in_rounds_exhaustive", sql_topk(_W))
+def search_in_rounds(spark, d):
+    """The relational engine on uncompressed lists."""
+    e = experiments.cut(entities(spark, d, _W))
+    lists = experiments.cut(relgraph.knn_graph(relgraph.nodes_of(e, M, SEED), 0, e.count()))
+    ok = experiments.cut(e.select("id", F.explode(P.passes(list(_W.predicates))).alias("pred_id")))
+    return rounded(relgraph.search_rounds(lists, e, ok, queries(e, _W), 0, e.count(), e.count(), TOP, experiments.cut, expand=64))
+
+
+# --- routing -------------------------------------------------------------------------------------------------
+
+_MIX = WORKLOADS["any_brand"]
+
+
+@register("route_decision", f"{sql_with(_MIX)}, n AS (SELECT count(*) AS n FROM ok), s AS (SELECT i, count(o.id) / max(n.n) AS s FROM (SELECT unnest(range(25)) AS i) p CROSS JOIN n LEFT JOIN ok o ON list_contains(o.passes, p.i) GROUP BY i) SELECT query_id, round(s, 6) AS s_est, CASE WHEN s * 5 > 1 THEN 'graph' ELSE 'prefilter' END AS route FROM queries JOIN s ON s.i = pred_id")
+def route_decision(spark, d):
+    e = T.entity_vec(spark, d)
+    out = routing.route(queries(e, _MIX), routing.estimate(e, list(_MIX.predicates)), 5)
+    return rounded(out.select("query_id", "s_est", "route"), "s_est")
+
+
+@register("estimate_bitmap", f"{sql_with(_MIX)}, n AS (SELECT count(*) AS n FROM ok) SELECT i::INT AS pred_id, round(count(o.id) / max(n.n), 6) AS s_est FROM (SELECT unnest(range(25)) AS i) p CROSS JOIN n LEFT JOIN ok o ON list_contains(o.passes, p.i) GROUP BY i")
+def estimate_bitmap(spark, d):
+    return rounded(routing.estimate(experiments.cut(T.entity_vec(spark, d).select("id", "brands")), list(_MIX.predicates), "bitmap"), "s_est")
+
+
+register("estimate_histogram")(lambda spark, d: routing.estimate(T.entity_vec(spark, d), list(WORKLOADS["between"].predicates), "histogram"))
+register("estimate_sample")(lambda spark, d: routing.estimate(T.entity_vec(spark, d), list(WORKLOADS["between"].predicates), "sample", 0.5))
+
+
+@register("routed_search")
+def routed_search(spark, d):
+    e = experiments.cut(T.entity_vec(spark, d))
+    params = K.dense(m=M, gamma=5, m_beta=2 * M)
+    return routing.routed_search(I.build(e, params), e, experiments.cut(queries(e, _MIX)), list(_MIX.predicates), params, routing.estimate(e, list(_MIX.predicates)), TOP)
+
+
+# --- experiments (no SQL form: finite beams) -----------------------------------------------------------------
+
+for _name in ("eq12", "any_brand", "between", "kw_pos", "kw_no", "lang_other"):
+    register(f"recall_{_name}")(lambda spark, d, w=WORKLOADS[_name]: experiments.recall_table(spark, d, w))
+register("recall_curve")(lambda spark, d: experiments.curve(spark, d, WORKLOADS["eq12"]))
+register("index_costs")(lambda spark, d: experiments.index_costs(spark, d))
+register("out_degree")(lambda spark, d: experiments.degrees(spark, d))
+register("graph_quality")(lambda spark, d: experiments.graph_quality(spark, d))
+register("pruning_ablation")(lambda spark, d: experiments.pruning_ablation(spark, d))
+register("recovery_violations")(lambda spark, d: experiments.recovery(spark, d))
+register("baseline_recall")(lambda spark, d: experiments.baseline_recall(spark, d))
+register("support_matrix")(lambda spark, d: experiments.support_matrix(spark))
+register("purity")(lambda spark, d: experiments.purity(spark, d))
+register("vector_only_beside_hybrid")(lambda spark, d: experiments.side_by_side(spark, d))
+
+# --- the operators around ------------------------------------------------------------------------------------
+
+register("brands_of_order", T.SQL_BRANDS.replace("list_sort(list(DISTINCT p_brand)) AS brands", "array_to_string(list_sort(list(DISTINCT p_brand)), ',') AS brands"))(lambda spark, d: T.brands_of_order(spark, d).withColumn("brands", F.array_join("brands", ",")))
+register("attr_assembly", f"WITH {T.SQL_ENTITY_VEC} SELECT id, label, cat12, o_date, len(brands)::INT AS n_brands, array_to_string(keywords, ',') AS keywords, lang, source, props_k FROM entity")(
+    lambda spark, d: T.entity_vec(spark, d, True).select("id", "label", "cat12", "o_date", F.when(F.col("brands").isNotNull(), F.size("brands")).alias("n_brands"), F.array_join(F.col("keywords").cast("array<string>"), ",").alias("keywords"), "lang", "source", "props_k")
+)
+
+
+@register("asof_event", "SELECT l.event_id, r.event_id AS last_purchase FROM events l ASOF LEFT JOIN (SELECT ts, max(event_id) AS event_id FROM events WHERE event_type = 'purchase' GROUP BY ts) r ON r.ts <= l.ts")
+def asof_event(spark, d):
+    ev = T.load(spark, d, "events")
+    right = ev.where("event_type = 'purchase'").select(F.col("ts").alias("p_ts"), F.col("event_id").alias("last_purchase"))
+    return relational.asof_join(ev.select("event_id", "ts"), right, "ts", "p_ts", "last_purchase").select("event_id", "last_purchase")
+
+
+@register("range_join_dates", "SELECT n_nationkey, count(*) AS orders FROM orders JOIN nation ON o_orderdate BETWEEN TIMESTAMP '1995-01-01' + to_months(n_nationkey::INT) AND TIMESTAMP '1995-01-01' + to_months(n_nationkey::INT + 2) GROUP BY 1")
+def range_join_dates(spark, d):
+    start = F.lit("1995-01-01").cast("timestamp")
+    spans = T.load(spark, d, "nation").select("n_nationkey", F.add_months(start, F.col("n_nationkey")).cast("timestamp").alias("low"), F.add_months(start, F.col("n_nationkey") + 2).cast("timestamp").alias("high"))
+    return relational.range_join(T.load(spark, d, "orders").select("o_orderdate"), spans, "o_orderdate", "low", "high").groupBy("n_nationkey").agg(F.count("*").alias("orders"))
+
+
+register("semi_passing", "SELECT o_orderkey FROM orders WHERE o_orderkey IN (SELECT vec_id FROM embeddings WHERE label = 3)")(lambda spark, d: relational.semi(T.load(spark, d, "orders").select("o_orderkey"), T.load(spark, d, "embeddings").where("label = 3").select(F.col("vec_id").alias("o_orderkey")), "o_orderkey"))
+register("anti_visited", "SELECT vec_id FROM embeddings WHERE vec_id NOT IN (SELECT l_orderkey FROM lineitem)")(lambda spark, d: relational.anti(T.load(spark, d, "embeddings").select("vec_id"), T.load(spark, d, "lineitem").select(F.col("l_orderkey").alias("vec_id")), "vec_id"))
+register("rollup_lang", "SELECT lang, source, count(*) AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY ROLLUP (lang, source)")(lambda spark, d: T.load(spark, d, "documents").rollup("lang", "source").agg(F.count("*").alias("n"), F.sum("n_chars").alias("chars")))
+register("cube_results", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")(lambda spark, d: T.load(spark, d, "orders").cube("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")))
+
+
+@register("grouping_sets", "SELECT p_brand, p_type, count(*) AS n FROM part GROUP BY GROUPING SETS ((p_brand), (p_type), ())")
+def grouping_sets(spark, d):
+    T.load(spark, d, "part").createOrReplaceTempView("facet_part")
+    return spark.sql("SELECT p_brand, p_type, count(*) AS n FROM facet_part GROUP BY GROUPING SETS ((p_brand), (p_type), ())")
+
+
+@register("set_ops", "(SELECT o_orderkey AS id FROM orders EXCEPT SELECT l_orderkey FROM lineitem) UNION (SELECT vec_id FROM embeddings INTERSECT SELECT event_id FROM events)")
+def set_ops(spark, d):
+    col = lambda t, c: T.load(spark, d, t).select(F.col(c).alias("id"))
+    return col("orders", "o_orderkey").subtract(col("lineitem", "l_orderkey")).union(col("embeddings", "vec_id").intersect(col("events", "event_id"))).distinct()
+
+
+register("json_props", "SELECT json_extract_string(props, '$.k')::INT AS k, count(*) AS n FROM events GROUP BY 1")(lambda spark, d: T.load(spark, d, "events").groupBy(F.get_json_object("props", "$.k").cast("int").alias("k")).agg(F.count("*").alias("n")))
+register("window_frames", "SELECT event_id, round(sum(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING), 4) AS running, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS previous FROM events")(
+    lambda spark, d: T.load(spark, d, "events").select("event_id", F.round(F.sum("value").over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, 0)), 4).alias("running"), F.lag("event_id").over(Window.partitionBy("user_id").orderBy("ts", "event_id")).alias("previous"))
+)
+register("tumbling_windows", "SELECT time_bucket(INTERVAL 1 DAY, ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")(lambda spark, d: stream.windows(T.load(spark, d, "events")).select(F.col("w.start").cast("timestamp_ntz").alias("start"), "event_type", "n"))
+register("sliding_windows", "SELECT time_bucket(INTERVAL 6 HOUR, ts) - to_hours(6 * o::INT) AS start, event_type, count(*) AS n FROM events, (SELECT unnest(range(4)) AS o) GROUP BY 1, 2")(lambda spark, d: stream.windows(T.load(spark, d, "events"), "sliding").select(F.col("w.start").cast("timestamp_ntz").alias("start"), "event_type", "n"))
+register("session_windows", "WITH g AS (SELECT event_type, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY event_type ORDER BY ts) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS f FROM events), s AS (SELECT event_type, ts, sum(f) OVER (PARTITION BY event_type ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT min(ts) AS start, event_type, count(*) AS n FROM s GROUP BY event_type, k")(
+    lambda spark, d: stream.windows(T.load(spark, d, "events"), "session", "1 hour").select(F.col("w.start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+)
+register("dedupe_events", "SELECT DISTINCT event_id FROM events")(lambda spark, d: stream.dedupe(T.load(spark, d, "events").union(T.load(spark, d, "events"))).select("event_id"))
+register("last_results", "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY user_id")(lambda spark, d: stream.last_results(T.load(spark, d, "events")).select("user_id", "event_id"))
+
+
+@register("lateral_topk", "SELECT c_custkey, o_orderkey FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_orderkey DESC) AS r FROM customer JOIN orders ON o_custkey = c_custkey) WHERE r <= 3")
+def lateral_topk(spark, d):
+    return relational.lateral_topk(T.load(spark, d, "customer").select(F.col("c_custkey").alias("o_custkey")), T.load(spark, d, "orders").select("o_custkey", "o_orderkey"), "o_custkey", "o_orderkey", 3).select(F.col("o_custkey").alias("c_custkey"), "o_orderkey")
