@@ -115,6 +115,7 @@ def fused_graph(ids: np.ndarray, vecs: np.ndarray, labels: np.ndarray, weight: f
     params = K.Params("lean" if style == "knn" else "hnsw", m=m, gamma=1, m_beta=m, efc=40, n_compressed=0, m0_factor=1 if style == "knn" else 2, method="bulk" if style == "knn" else "insert")
     g = K.build(ids, np.concatenate([vecs, hot], axis=1), np.zeros(len(ids), np.int64), params)
     g.extra["values"], g.extra["hot"] = values, np.sqrt(weight / 2)
+    g.extra["starts"] = {v: int(np.flatnonzero(labels == v)[0]) for v in values}
     return g
 
 
@@ -141,6 +142,7 @@ def label_graph_search(entities: DataFrame, queries: DataFrame, predicates: list
                     part = np.zeros(len(g.extra["values"]))
                     if pred in g.extra["values"]:
                         part[g.extra["values"][pred]] = g.extra["hot"]
+                        g.entry = g.extra["starts"][pred]
                     near, c, _ = K.search(g, np.concatenate([q, part]), k + 1, efs, np.ones(len(ids), bool), "plain", own)
                     found = [int(np.searchsorted(ids, v)) for _, v in near]
                 elif pred in g.extra["starts"]:

@@ -71,13 +71,15 @@ def _scan(ids: np.ndarray, q: np.ndarray, preds: np.ndarray, k: int, exclude_sel
                     continue
                 y = x[rows]
                 d = qq[ask][:, None] - 2 * q[ask] @ y.T + np.einsum("ij,ij->i", y, y)[None, :]
-                take = min(len(rows), k + 1 + 8)
-                pick = np.argpartition(d, take - 1, axis=1)[:, :take] if take < len(rows) else np.broadcast_to(np.arange(len(rows)), d.shape)
-                diff = y[pick] - q[ask][:, None, :]
-                dist = np.einsum("ijk,ijk->ij", diff, diff)
-                near, qid = own[rows][pick], np.broadcast_to(ids[ask][:, None], pick.shape)
-                keep = (near != qid) if exclude_self else np.ones(near.shape, bool)
-                yield pa.RecordBatch.from_arrays([pa.array(qid[keep]), pa.array(near[keep]), pa.array(dist[keep])], schema=schema)
+                take = min(len(rows), k + 1)
+                bound = np.partition(d, take - 1, axis=1)[:, take - 1] + 1e-9 * (1 + qq[ask])
+                at, near = np.nonzero(d <= bound[:, None])  # ties of the last place stay in
+                square = (y[near] - q[ask][at]) ** 2
+                # summed left to right, as a column expression sums
+                dist = np.cumsum(square, axis=1)[:, -1] if square.shape[1] else np.zeros(len(at))
+                qid, found = ids[ask][at], own[rows][near]
+                keep = (found != qid) if exclude_self else np.ones(len(at), bool)
+                yield pa.RecordBatch.from_arrays([pa.array(qid[keep]), pa.array(found[keep]), pa.array(dist[keep])], schema=schema)
 
     return run
 

@@ -16,7 +16,7 @@ from facetgraph.plans.workloads import WORKLOADS, Workload, entities, queries
 from facetgraph.sources import tables as T
 
 M, GAMMA, SEED, TOP = 8, 10, 7, 10
-DENSE, LEAN, HNSW = K.dense(m=M, gamma=GAMMA, m_beta=2 * M), K.lean(m=2 * M), K.hnsw(m=M)
+DENSE, LEAN, HNSW = K.dense(m=M, gamma=GAMMA, m_beta=2 * M), K.lean(m=M), K.hnsw(m=M)
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -76,7 +76,7 @@ def index_costs(spark: SparkSession, directory: str) -> DataFrame:
     e = cut(T.entity_vec(spark, directory).select("id", "vec", "label"))
     n = e.count()
     rows = []
-    for name, params in (("dense", DENSE), ("lean", LEAN), ("hnsw", HNSW), ("dense_inserted", K.dense(m=M, gamma=GAMMA, m_beta=2 * M, method="insert")), ("lean_inserted", K.lean(m=2 * M, method="insert")), ("hnsw_inserted", K.hnsw(m=M, method="insert"))):
+    for name, params in (("dense", DENSE), ("lean", LEAN), ("hnsw", HNSW), ("dense_inserted", K.dense(m=M, gamma=GAMMA, m_beta=2 * M, method="insert")), ("lean_inserted", K.lean(m=M, method="insert")), ("hnsw_inserted", K.hnsw(m=M, method="insert"))):
         t = time.perf_counter()
         index = cut(I.build(e, params))
         spent = time.perf_counter() - t

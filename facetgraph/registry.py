@@ -125,7 +125,7 @@ _CUTS = (0.0127, 0.0485, 0.1215, 0.2529, 0.6164)
 @register("percentile_predicates", "SELECT p::DOUBLE AS target, round(q, 3) AS bound FROM (SELECT unnest([" + ", ".join(map(str, _CUTS)) + "]) AS p, unnest(quantile_cont(epoch(o_orderdate)::DOUBLE, [" + ", ".join(map(str, _CUTS)) + "])) AS q FROM orders JOIN embeddings ON vec_id = o_orderkey)")
 def percentile_predicates(spark, d):
     """Upper bounds of date ranges with stated selectivities."""
-    rows = T.entity_vec(spark, d).where("o_date is not null").agg(F.expr(f"percentile(cast(unix_micros(o_date) as double) / 1000000, array({', '.join(map(str, _CUTS))}))").alias("q"))
+    rows = T.entity_vec(spark, d).where("o_date is not null").agg(F.expr(f"percentile(cast(unix_micros(cast(o_date as timestamp)) as double) / 1000000, array({', '.join(map(str, _CUTS))}))").alias("q"))
     return rows.select(F.inline(F.arrays_zip(F.array(*[F.lit(c) for c in _CUTS]).alias("target"), F.col("q").alias("bound")))).withColumn("bound", F.round("bound", 3))
 
 
@@ -272,11 +272,11 @@ def _exhaustive(params: K.Params, **kw):
     return run
 
 
-register("dense_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M)))
+register("dense_exhaustive")(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M)))
 register("dense_uncompressed_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=M * GAMMA, n_compressed=0)))
-register("dense_two_levels_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M, n_compressed=2)))
-register("dense_inserted_exhaustive", sql_topk(_W))(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M, method="insert")))
-register("lean_exhaustive")(_exhaustive(K.lean(m=2 * M)))
+register("dense_two_levels_exhaustive")(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M, n_compressed=2)))
+register("dense_inserted_exhaustive")(_exhaustive(K.dense(m=M, gamma=GAMMA, m_beta=2 * M, method="insert")))
+register("lean_exhaustive")(_exhaustive(K.lean(m=M)))
 register("postfilter_exhaustive", sql_topk(_W))(_exhaustive(K.hnsw(m=M), over="double"))
 register("dense_sharded_exhaustive")(lambda spark, d: _sharded(spark, d))
 
