@@ -12,9 +12,8 @@ EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value do
 
 def query_stream(spark: SparkSession, directory: str) -> DataFrame:
     """Each event is a query: its vector's id and its predicate's number come from the event."""
-    import pathlib
-
-    raw = spark.readStream.schema(EVENTS).option("pathGlobFilter", "events.parquet").parquet(directory if not pathlib.Path(directory).suffix else str(pathlib.Path(directory).parent))
+    # a pattern, since a stream's path must be a folder or a pattern and the table may be one file
+    raw = spark.readStream.schema(EVENTS).parquet(f"{directory}/events.parque[t]")
     return raw.select("event_id", "ts", "user_id", "event_type", "value", F.get_json_object("props", "$.k").cast("int").alias("k"))
 
 
