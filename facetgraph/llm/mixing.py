@@ -92,7 +92,7 @@ def with_times(documents: DataFrame, **settings) -> DataFrame:
     h = document_hash(F.col("doc_id"))
     more = F.coalesce((h < F.col("__at")) | ((h == F.col("__at")) & F.col("__with_at")), F.lit(False))
     joined = documents.join(F.broadcast(bounds) if bounds.count() <= BROADCAST_SOURCES else bounds, F.col("source").eqNullSafe(F.col("__source")))
-    return joined.withColumn("__size", words(F.col("text"))).withColumn("__times", (F.col("__copies") + more.cast("long"))).drop("__source", "__copies", "__at", "__with_at")
+    return joined.withColumn("__size", words(F.col("text"))).withColumn("__times", F.least(F.col("__copies") + more.cast("long"), F.lit(settings.get("most", MOST)).cast("long"))).drop("__source", "__copies", "__at", "__with_at")
 
 
 def mix(documents: DataFrame, **settings) -> DataFrame:
