@@ -28,7 +28,7 @@ UNIGRAMS, BIGRAMS = 1 << 18, 1 << 20
 #: Weights of the bigram, unigram and uniform estimates.
 MIXTURE = (0.6, 0.39, 0.01)
 
-CELLS = pa.schema([("model", pa.int32()), ("cell", pa.int32()), ("n", pa.int64())])
+CELLS = pa.schema([("cell", pa.int32()), ("n", pa.int64()), ("n_target", pa.int64())])
 SCORES = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("target_loss", pa.float64()), ("background_loss", pa.float64()), ("score", pa.float64())])
 
 
@@ -44,7 +44,7 @@ def cells_of(tokens: Tokens) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def count_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(model, cell, count): model 0 counts all documents, model 1 those with ``target``; bigram cells follow unigram and context cells."""
+    """(cell, count over all documents, count over those with ``target``); bigram cells follow unigram and context cells."""
     width = 2 * UNIGRAMS + BIGRAMS
     total = np.zeros((2, width), np.int64)
     for batch in batches:
@@ -58,9 +58,8 @@ def count_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             mine = np.tile(target[at + t.docs], 3)
             total[0] += np.bincount(cells, minlength=width)
             total[1] += np.bincount(cells[mine], minlength=width)
-    for model in (0, 1):
-        full = np.flatnonzero(total[model])
-        yield from emit(CELLS, [np.full(len(full), model, np.int32), full.astype(np.int32), total[model][full]])
+    full = np.flatnonzero(total[0])
+    yield from emit(CELLS, [full.astype(np.int32), total[0][full], total[1][full]])
 
 
 class Model:
@@ -94,14 +93,16 @@ def score_kernel(background: Model, target: Model):
 def models(documents: DataFrame, targets: DataFrame) -> tuple[Model, Model]:
     """Background and target models; ``targets`` are doc_ids."""
     marked = targets.where("doc_id is not null").distinct().select("doc_id", F.lit(True).alias("__t"))
-    rows = documents.select("doc_id", "text").join(marked, "doc_id", "left").select("text", F.coalesce("__t", F.lit(False)).alias("target"))
-    counts = rows.mapInArrow(count_kernel, "model int, cell int, n long").groupBy("model", "cell").agg(F.sum("n").alias("n"))
-    out = [np.zeros(2 * UNIGRAMS + BIGRAMS) for _ in range(2)]
-    table = cut(counts).toArrow()  # two models of fixed size
-    model, cell, n = (table.column(c).to_numpy() for c in ("model", "cell", "n"))
-    for i in (0, 1):
-        out[i][cell[model == i]] = n[model == i]
-    return Model(out[0]), Model(out[1])
+    # a merge join at every size: labels grow with the documents, and adaptive execution can split it
+    rows = documents.select("doc_id", "text").join(marked.hint("merge"), "doc_id", "left").select("text", F.coalesce("__t", F.lit(False)).alias("target"))
+    counts = rows.mapInArrow(count_kernel, "cell int, n long, n_target long").groupBy("cell").agg(F.sum("n").alias("n"), F.sum("n_target").alias("n_target"))
+    table = cut(counts).toArrow()  # 2 UNIGRAMS + BIGRAMS rows at most
+    out = []
+    for name in ("n", "n_target"):
+        cells = np.zeros(2 * UNIGRAMS + BIGRAMS)
+        cells[table.column("cell").to_numpy()] = table.column(name).to_numpy()
+        out.append(Model(cells))
+    return out[0], out[1]
 
 
 def score(documents: DataFrame, background: Model, target: Model) -> DataFrame:
