@@ -12,7 +12,7 @@ from facetgraph.functions import vectors as V
 from facetgraph.operators import baselines, exact, ivf, relational, relgraph
 from facetgraph.operators import index as I
 from facetgraph.operators import kernel as K
-from facetgraph.plans import bounds, experiments, metrics, routing
+from facetgraph.plans import bounds, experiments, metrics, routing, sql
 from facetgraph.plans.workloads import WORKLOADS, entities, queries, sql_topk, sql_with
 from facetgraph.sources import tables as T
 from facetgraph.streaming import queries as stream
@@ -419,3 +419,20 @@ register("last_results", "SELECT user_id, arg_max(event_id, (ts, event_id)) AS e
 @register("lateral_topk", "SELECT c_custkey, o_orderkey FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_orderkey DESC) AS r FROM customer JOIN orders ON o_custkey = c_custkey) WHERE r <= 3")
 def lateral_topk(spark, d):
     return relational.lateral_topk(T.load(spark, d, "customer").select(F.col("c_custkey").alias("o_custkey")), T.load(spark, d, "orders").select("o_custkey", "o_orderkey"), "o_custkey", "o_orderkey", 3).select(F.col("o_custkey").alias("c_custkey"), "o_orderkey")
+
+
+_SQUARE = V.sql_distance("l2_squared", "e.embedding::DOUBLE[]", "q.embedding::DOUBLE[]")
+register("sql_surface", f"""SELECT query_id, r::INT AS rank, id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS r FROM (
+SELECT q.vec_id AS query_id, e.vec_id AS id, {_SQUARE} AS dist FROM embeddings q JOIN embeddings e ON e.label = q.label AND e.vec_id <> q.vec_id WHERE q.vec_id % {T.QUERY_STEP} = 0)) WHERE r <= 10""")(lambda spark, d: sql.nearest_by_sql(spark, d))
+register("udtf_hybrid_search", f"""SELECT e.vec_id AS id, round({_SQUARE}, 6) AS dist FROM embeddings q JOIN embeddings e ON e.label = q.label AND e.vec_id <> q.vec_id WHERE q.vec_id = 100 ORDER BY dist, id LIMIT 10""")(lambda spark, d: sql.search_by_sql(spark, d))
+
+
+@register("blocked_join_refined")
+def blocked_join_refined(spark, d):
+    """Approximate kNN lists by cells and one round of neighbours' neighbours, with their recall of the exact lists."""
+    e = experiments.cut(T.entity_vec(spark, d).select("id", "vec"))
+    truth = experiments.cut(relgraph.knn_graph(relgraph.nodes_of(e, M, SEED), 0, TOP).select(F.col("src").alias("query_id"), F.col("dst").alias("id")))
+    rough = experiments.cut(relgraph.blocked_join(e, TOP, 8, 2))
+    fine = experiments.cut(relgraph.refine(rough, e, TOP))
+    parts = [metrics.recall(truth, x.select(F.col("src").alias("query_id"), F.col("dst").alias("id")), TOP).agg(F.lit(n).alias("step"), F.avg("recall").alias("recall")) for n, x in (("blocked", rough), ("refined", fine))]
+    return parts[0].union(parts[1])
