@@ -270,7 +270,8 @@ def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = N
     rank[np.argsort(length, kind="stable")] = np.arange(LENGTH_CELLS)
 
     each = scan.where("kind = 1").select(F.col("a").alias("doc_id"), F.col("b").alias("k1"), F.col("c").alias("k2"), "n")
-    classes = each.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("first"), F.max("n").alias("n"))
+    # written down, so that the join below shares no stage with this aggregate and a hot class can be split
+    classes = cut(each.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("first"), F.max("n").alias("n")))
 
     postings = docs.where("doc_id is not null and text is not null").mapInArrow(posting_kernel(k, num, den, rank), sql_schema(POSTING))
     leaders = postings.groupBy("shingle").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader < last").select("shingle", "leader")
