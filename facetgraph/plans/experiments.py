@@ -179,3 +179,49 @@ def side_by_side(spark: SparkSession, directory: str) -> DataFrame:
     plain = exact.prefilter(e, q.withColumn("pred_id", F.lit(0)), [P.always()], TOP)
     both = exact.prefilter(e, q, list(w.predicates), TOP)
     return plain.select("query_id", "rank", F.col("id").alias("vector_only")).join(both.select("query_id", "rank", F.col("id").alias("hybrid")), ["query_id", "rank"], "left")
+
+
+def percentiles(spark: SparkSession, directory: str, efs: int = 40) -> DataFrame:
+    """Recall and distances for date ranges of the five stated selectivities, a row for each and method."""
+    from facetgraph.sources.tables import query_set
+
+    e = cut(T.entity_vec(spark, directory).where("o_date is not null"))
+    shares = (0.0127, 0.0485, 0.1215, 0.2529, 0.6164)
+    cuts = e.agg(F.expr(f"percentile_approx(o_date, array({', '.join(map(str, shares))}), 100000)")).first()[0]
+    out, built = [], {"dense": cut(I.build(e, DENSE)), "lean": cut(I.build(e, LEAN)), "hnsw": cut(I.build(e, HNSW))}
+    for share, bound in zip(shares, cuts):
+        preds = [P.lt("o_date", bound)]
+        q = cut(query_set(e, F.lit(0), 20))
+        truth = cut(exact.prefilter(e, q, preds, TOP))
+        for name, params, over in (("dense", DENSE, None), ("lean", LEAN, None), ("hnsw", HNSW, "K/s")):
+            out.append((share, *_row("postfilter" if over else name, efs, truth, I.search(built[name], e, q, preds, params, TOP, efs, over=over))))
+    return spark.createDataFrame(out, "selectivity double, " + ROWS)
+
+
+def throughput(spark: SparkSession, directory: str, trials: int = 2) -> DataFrame:
+    """Queries a second of each method on one workload, through Spark and into a sink that keeps nothing."""
+    w = WORKLOADS["eq12"]
+    e, q, _ = _ready(spark, directory, w)
+    n, preds = q.count(), list(w.predicates)
+    built: dict = {}
+    runs = {"prefilter": lambda: exact.prefilter(e, q, preds, TOP)}
+    for name, _ in _methods(e, q, w, 40, built):
+        runs[name] = lambda name=name: dict(_methods(e, q, w, 40, built))[name]
+    return spark.createDataFrame([(name, metrics.qps(run, n, trials)) for name, run in runs.items()], "method string, qps double")
+
+
+def tuning(spark: SparkSession, directory: str) -> DataFrame:
+    """gamma from the workload's least selectivity and raised until hybrid recall meets plain recall; the grid of m and efc; m_beta under twice the flat size."""
+    from facetgraph.plans import routing
+
+    w = WORKLOADS["eq12"]
+    e, q, truth = _ready(spark, directory, w)
+    preds = list(w.predicates)
+    low = routing.s_min(routing.estimate(e, preds), 0.05)
+    rows = [("gamma", f"start={routing.gamma_from_selectivity(low)}", float(low))]
+    rows += [("gamma", f"gamma={g}", r) for g, r in routing.raise_gamma(e, q, preds, truth, M, routing.gamma_from_selectivity(low), 40)]
+    plain = cut(exact.prefilter(e, q.withColumn("pred_id", F.lit(0)), [P.always()], TOP))
+    rows += [("grid", f"m={x['m']} efc={x['efc']}", float(x["recall"])) for x in routing.grid(e, q, plain, (8, 16), (40, 80))]
+    best = routing.choose_m_beta(e, q, preds, truth, M, GAMMA, 2 * 4 * 64 * e.count())
+    rows.append(("m_beta", f"m_beta={best['m_beta']}" if best else "none within the budget", float(best["recall"]) if best else 0.0))
+    return spark.createDataFrame(rows, "step string, setting string, value double")

@@ -350,7 +350,7 @@ def routed_search(spark, d):
 
 # --- experiments (no SQL form: finite beams) -----------------------------------------------------------------
 
-for _name in ("eq12", "any_brand", "between", "kw_pos", "kw_no", "lang_other"):
+for _name in ("eq12", "any_brand", "between", "kw_pos", "kw_no", "price", "outlier", "lang_other", "topic"):
     register(f"recall_{_name}")(lambda spark, d, w=WORKLOADS[_name]: experiments.recall_table(spark, d, w))
 register("recall_curve")(lambda spark, d: experiments.curve(spark, d, WORKLOADS["eq12"]))
 register("index_costs")(lambda spark, d: experiments.index_costs(spark, d))
@@ -360,6 +360,9 @@ register("pruning_ablation")(lambda spark, d: experiments.pruning_ablation(spark
 register("recovery_violations")(lambda spark, d: experiments.recovery(spark, d))
 register("baseline_recall")(lambda spark, d: experiments.baseline_recall(spark, d))
 register("support_matrix")(lambda spark, d: experiments.support_matrix(spark))
+register("recall_by_selectivity")(lambda spark, d: experiments.percentiles(spark, d))
+register("throughput")(lambda spark, d: experiments.throughput(spark, d))
+register("tuning")(lambda spark, d: experiments.tuning(spark, d))
 register("purity")(lambda spark, d: experiments.purity(spark, d))
 register("vector_only_beside_hybrid")(lambda spark, d: experiments.side_by_side(spark, d))
 
