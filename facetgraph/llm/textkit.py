@@ -158,17 +158,21 @@ def sieve_of(rows: DataFrame, column: str) -> np.ndarray:
     return table
 
 
+def in_sieve(table: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """Which ids the sieve lets through."""
+    cell = _sieve_cell(ids)
+    # bitmap_bucket_number counts from 1: values 1 to 32768 are bucket 1, and 0 is bucket 0
+    bucket = np.where(cell > 0, 1 + (cell - 1) // 32768, 0)
+    at = np.where(cell > 0, (cell - 1) % 32768, 0)
+    return ((table[bucket, at // 8] >> (at % 8).astype(np.uint8)) & 1).astype(bool)
+
+
 def sieve_kernel(table: np.ndarray, column: str = "doc_id"):
     """Keeps the rows whose ``column`` the sieve has, and few others: it spares a shuffle most of the rows that a join would drop."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             col = batch.column(batch.schema.get_field_index(column))
-            cell = _sieve_cell(col.fill_null(0).to_numpy(zero_copy_only=False))
-            # bitmap_bucket_number counts from 1: values 1 to 32768 are bucket 1, and 0 is bucket 0
-            bucket = np.where(cell > 0, 1 + (cell - 1) // 32768, 0)
-            at = np.where(cell > 0, (cell - 1) % 32768, 0)
-            keep = (table[bucket, at // 8] >> (at % 8).astype(np.uint8)) & 1
-            yield batch.filter(pa.array(keep.astype(bool)))
+            yield batch.filter(pa.array(in_sieve(table, col.fill_null(0).to_numpy(zero_copy_only=False))))
 
     return run

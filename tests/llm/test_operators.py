@@ -365,6 +365,38 @@ def test_planted_passages_are_found_and_clean_documents_are_not(spark):
     assert two["start_word"] == 70 and two["end_word"] == 149 and 0.9 < two["identity"] < 1
 
 
+def test_passage_of_lines_that_other_documents_lead(spark):
+    rng = random.Random(3)
+    fresh = lambda n: [f"z{rng.randrange(5000)}" for _ in range(n)]
+    lines = [fresh(20) for _ in range(3)]
+    docs = [(i, " ".join(fresh(30) + lines[i % 3] + fresh(30)), "s") for i in [*range(150), *range(1000, 1150)]]
+    docs += [(i, " ".join(fresh(25 + i % 7) + lines[0] + lines[1] + lines[2] + fresh(40)), "s") for i in (500, 600)]
+    got = {(r["doc_id"], r["other_id"]): r for r in substring_dedup.shared_passages(table(spark, docs)).collect()}
+    assert set(got) == {(600, 500)}
+    r = got[600, 500]
+    assert (r["start_word"], r["end_word"], r["other_start"], r["identity"]) == (30, 90, 28, 1.0)
+
+
+def test_every_shared_window_lies_in_a_passage(spark):
+    """Pieces of one text at any lengths: each window that two documents share is reported in both."""
+    rng = random.Random(8)
+    source, least = [f"q{i}" for i in range(150)], substring_dedup.LEAST
+    docs = {}
+    for i in range(60):
+        a, n = rng.randrange(100), rng.choice([30, 44, 49, 50, 51, 55, 80])
+        docs[i] = [f"u{i}x{j}" for j in range(rng.randrange(20))] + source[a : a + n] + [f"v{i}x{j}" for j in range(rng.randrange(60))]
+    seen = Counter()
+    for t in docs.values():
+        seen.update({tuple(t[a : a + least]) for a in range(len(t) - least + 1)})
+    spans = {}
+    for r in substring_dedup.shared_passages(table(spark, [(i, " ".join(t), "s") for i, t in docs.items()])).collect():
+        spans.setdefault(r["doc_id"], []).append((r["start_word"], r["end_word"]))
+        spans.setdefault(r["other_id"], []).append((r["other_start"], r["other_end"]))
+    shared = [(i, a) for i, t in docs.items() for a in range(len(t) - least + 1) if seen[tuple(t[a : a + least])] > 1]
+    assert len(shared) > 100
+    assert [(i, a) for i, a in shared if not any(x <= a and a + least <= y for x, y in spans.get(i, []))] == []
+
+
 def test_passage_edges(edge, empty):
     assert substring_dedup.shared_passages(empty).count() == 0
     found = {(r["doc_id"], r["other_id"]) for r in substring_dedup.shared_passages(edge).collect()}
