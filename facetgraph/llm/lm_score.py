@@ -1,11 +1,11 @@
 """Cross-entropy difference between a target and a background n-gram model.
 
-Both are interpolated bigram models over one hashed vocabulary, alike in all but the
-documents they count: the target's are those that labels mark good, the background's
-are all. Counts come from every document by partial sums in the scan and a shuffle of
-(cell, count) rows, so what is gathered grows with the corpus while a model's
-size is fixed (UNIGRAMS + BIGRAMS cells). A document's score is the mean over its tokens of
-target loss minus background loss, in nats; lower means closer to the target.
+Both are interpolated bigram models, alike in all but the documents they count: the target's are
+those that labels mark good, the background's are all. Bigrams are counted exactly, as
+rows of two 64-bit word hashes, in a shuffled table that grows with the corpus; words and
+contexts are sums of it. Every bigram gets its two losses there, and the distinct bigrams of each document are joined
+with them. A document's score is the mean over its tokens of target loss minus background loss, in nats; lower
+means closer to the target.
 
 Rows. Null, empty and wordless texts have 0 tokens and score 0. Without target documents the target model falls
 back to the uniform unigram. Labels without documents and null labels count for nothing; a repeated label row
@@ -15,79 +15,88 @@ counts its document once. Other columns are ignored; repeated documents are coun
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.graph import cut
-from facetgraph.llm.textkit import Tokens, alnum_words, emit, text_chunks
+from facetgraph.llm.textkit import Tokens, alnum_words, emit, numbers, signed, text_chunks
 
-UNIGRAMS, BIGRAMS = 1 << 18, 1 << 20
+#: Words of the uniform estimate.
+UNIGRAMS = 1 << 18
 #: Weights of the bigram, unigram and uniform estimates.
 MIXTURE = (0.6, 0.39, 0.01)
 
-CELLS = pa.schema([("cell", pa.int32()), ("n", pa.int64()), ("n_target", pa.int64())])
-SCORES = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("target_loss", pa.float64()), ("background_loss", pa.float64()), ("score", pa.float64())])
+COUNTS = pa.schema([("before", pa.int64()), ("word", pa.int64()), ("n", pa.int64()), ("n_target", pa.int64())])
+PARTS = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("before", pa.int64()), ("word", pa.int64()), ("n", pa.int32())])
+BIGRAM = ["before", "word"]
 
 
-def cells_of(tokens: Tokens) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of each token: its unigram cell, its predecessor's, and the pair's bigram cell; a document starts after word 0."""
-    word = tokens.hashes % np.uint64(UNIGRAMS)
-    before = np.zeros(len(word), np.uint64)
+def bigrams(tokens: Tokens) -> tuple[np.ndarray, np.ndarray]:
+    """Of each token: its predecessor's hash and its own; a document starts after word 0."""
+    before = np.zeros(len(tokens.hashes), np.uint64)
     before[1:] = tokens.hashes[:-1]
     before[tokens.pos == 0] = 0
-    pair = (before * np.uint64(0x9E3779B97F4A7C15)) ^ tokens.hashes
-    pair = (pair ^ (pair >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
-    return word.astype(np.int64), (before % np.uint64(UNIGRAMS)).astype(np.int64), ((pair >> np.uint64(32)) % np.uint64(BIGRAMS)).astype(np.int64)
+    return signed(before), signed(tokens.hashes)
+
+
+def grouped(*columns: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The order that sorts rows by ``columns``, and where in it each distinct row begins."""
+    order = np.lexsort(columns[::-1])
+    new = np.ones(len(order), bool)
+    new[1:] = np.any([c[order][1:] != c[order][:-1] for c in columns], axis=0)
+    return order, np.flatnonzero(new)
 
 
 def count_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(cell, count over all documents, count over those with ``target``); bigram cells follow unigram and context cells."""
-    width = 2 * UNIGRAMS + BIGRAMS
-    total = np.zeros((2, width), np.int64)
+    """(before, word, count over all documents, count over those with ``target``), summed by chunk."""
     for batch in batches:
         target = np.array(batch.column(batch.schema.get_field_index("target")).to_pylist(), bool)
         for at, texts in text_chunks(batch):
             t = Tokens(texts, alnum_words)
             if not len(t.codes):
                 continue
-            word, before, pair = cells_of(t)
-            cells = np.concatenate([word, before + UNIGRAMS, pair + 2 * UNIGRAMS])
-            mine = np.tile(target[at + t.docs], 3)
-            total[0] += np.bincount(cells, minlength=width)
-            total[1] += np.bincount(cells[mine], minlength=width)
-    full = np.flatnonzero(total[0])
-    yield from emit(CELLS, [full.astype(np.int32), total[0][full], total[1][full]])
+            before, word = bigrams(t)
+            order, begin = grouped(before, word)
+            mine = target[at + t.docs][order].astype(np.int64)
+            yield from emit(COUNTS, [before[order][begin], word[order][begin], np.diff(np.append(begin, len(order))), np.add.reduceat(mine, begin)])
+
 
+def part_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The distinct bigrams of each document."""
+    for batch in batches:
+        ids, text_hash = batch.column(batch.schema.get_field_index("doc_id")), numbers(batch, "text_hash")
+        for at, texts in text_chunks(batch):
+            t = Tokens(texts, alnum_words)
+            before, word = bigrams(t)
+            order, begin = grouped(t.docs, before, word)
+            first = order[begin]
+            row = at + t.docs[first]
+            yield from emit(PARTS, [ids.take(pa.array(row)), text_hash[row], before[first], word[first], np.diff(np.append(begin, len(order))).astype(np.int32)])
 
+
+@dataclass
 class Model:
-    def __init__(self, counts: np.ndarray):
-        self.unigram, self.context, self.bigram = np.split(counts.astype(np.float32), [UNIGRAMS, 2 * UNIGRAMS])
-        self.total = float(counts[:UNIGRAMS].sum())
+    """``counts`` has a row for each bigram; ``column`` is this model's count in it and ``total`` its sum."""
 
-    def loss(self, word: np.ndarray, before: np.ndarray, pair: np.ndarray) -> np.ndarray:
-        a, b, c = MIXTURE
-        flat = 1 / UNIGRAMS
-        one = self.unigram[word] / self.total if self.total else np.full(len(word), flat)
-        seen = self.context[before]
-        two = np.where(seen > 0, np.minimum(self.bigram[pair] / np.maximum(seen, 1), 1), one)
-        return -np.log(a * two + b * one + c * flat)
+    counts: DataFrame
+    column: str
+    total: int
 
+    def loss(self) -> Column:
+        """Of a bigram with its count and those of its word and context."""
+        a, b, c = MIXTURE
+        one = F.col(f"word_{self.column}") / F.lit(self.total) if self.total else F.lit(1 / UNIGRAMS)
+        seen = F.col(f"before_{self.column}")
+        two = F.when(seen > 0, F.col(self.column) / seen).otherwise(one)
+        return -F.log(F.lit(a) * two + F.lit(b) * one + F.lit(c / UNIGRAMS))
 
-def score_kernel(background: Model, target: Model):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids = batch.column(batch.schema.get_field_index("doc_id"))
-            for at, texts in text_chunks(batch):
-                t = Tokens(texts, alnum_words)
-                n, part = len(texts), np.maximum(1, t.lens)
-                cells = cells_of(t)
-                losses = [np.bincount(t.docs, weights=m.loss(*cells), minlength=n) / part for m in (target, background)]
-                yield from emit(SCORES, [ids.slice(at, n), t.lens, *losses, losses[0] - losses[1]])
 
-    return run
+def sums(counts: DataFrame, by: str) -> DataFrame:
+    return counts.groupBy(by).agg(*[F.sum(n).alias(f"{by}_{n}") for n in ("n", "n_target")])
 
 
 def models(documents: DataFrame, targets: DataFrame) -> tuple[Model, Model]:
@@ -95,21 +104,32 @@ def models(documents: DataFrame, targets: DataFrame) -> tuple[Model, Model]:
     marked = targets.where("doc_id is not null").distinct().select("doc_id", F.lit(True).alias("__t"))
     # a merge join at every size: labels grow with the documents, and adaptive execution can split it
     rows = documents.select("doc_id", "text").join(marked.hint("merge"), "doc_id", "left").select("text", F.coalesce("__t", F.lit(False)).alias("target"))
-    counts = rows.mapInArrow(count_kernel, "cell int, n long, n_target long").groupBy("cell").agg(F.sum("n").alias("n"), F.sum("n_target").alias("n_target"))
-    table = cut(counts).toArrow()  # 2 UNIGRAMS + BIGRAMS rows at most
-    out = []
-    for name in ("n", "n_target"):
-        cells = np.zeros(2 * UNIGRAMS + BIGRAMS)
-        cells[table.column("cell").to_numpy()] = table.column(name).to_numpy()
-        out.append(Model(cells))
-    return out[0], out[1]
-
-
-def score(documents: DataFrame, background: Model, target: Model) -> DataFrame:
-    return documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(score_kernel(background, target), "doc_id long, n_tokens long, target_loss double, background_loss double, score double")
+    counts = cut(rows.mapInArrow(count_kernel, "before long, word long, n long, n_target long").groupBy(*BIGRAM).agg(F.sum("n").alias("n"), F.sum("n_target").alias("n_target")))
+    total = counts.agg(F.sum("n"), F.sum("n_target")).first()
+    return Model(counts, "n", total[0] or 0), Model(counts, "n_target", total[1] or 0)
+
+
+def score(documents: DataFrame, background: Model, target: Model, counted: bool = False) -> DataFrame:
+    """Scores of any documents; ``counted`` says that the models have counted all of them, which spares a scan."""
+    known = every = background.counts
+    if not counted:
+        own = documents.select(F.col("text").cast("string"), F.lit(False).alias("target")).mapInArrow(count_kernel, "before long, word long, n long, n_target long")
+        unseen = own.select(*BIGRAM).distinct().join(known.hint("merge"), BIGRAM, "left_anti")
+        every = known.union(unseen.select(*BIGRAM, F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("n_target")))
+    full = every.join(sums(known, "word").hint("merge"), "word", "left").join(sums(known, "before").hint("merge"), "before", "left").na.fill(0)
+    losses = full.select(*BIGRAM, target.loss().alias("target_loss"), background.loss().alias("background_loss"))
+    # equal texts of one doc_id are summed together and dealt out again
+    docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("text_hash", F.xxhash64("text"))
+    parts = docs.mapInArrow(part_kernel, "doc_id long, text_hash long, before long, word long, n int")
+    lost = parts.join(losses.hint("merge"), BIGRAM).select("doc_id", "text_hash", F.col("n").cast("long"), *[(F.col("n") * F.col(c)).alias(c) for c in ("target_loss", "background_loss")], F.lit(0).alias("copies"))
+    rows = docs.select("doc_id", "text_hash", F.lit(0).cast("long"), F.lit(0.0), F.lit(0.0), F.lit(1))
+    found = lost.union(rows).groupBy("doc_id", "text_hash").agg(*[F.sum(c).alias(c) for c in ("n", "target_loss", "background_loss", "copies")])
+    mean = lambda c: F.col(c) / F.greatest(F.col("n"), F.lit(1))
+    dealt = found.select("doc_id", F.expr("n div copies").alias("n_tokens"), mean("target_loss").alias("target_loss"), mean("background_loss").alias("background_loss"), F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int"))))
+    return dealt.select("doc_id", "n_tokens", "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
 
 
 def op10_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = spark.read.parquet(f"{sf_dir}/documents.parquet")
     good = spark.read.parquet(f"{sf_dir}/labels.parquet").where("quality = 1").select("doc_id")
-    return score(documents, *models(documents, good))
+    return score(documents, *models(documents, good), counted=True)

@@ -422,6 +422,21 @@ def test_cross_entropy_difference_is_the_formula(spark, edge, empty):
     assert lm_score.score(empty, *lm_score.models(empty, target)).count() == 0
 
 
+def test_bigram_counts_stay_exact_beyond_any_table(spark):
+    """More distinct bigrams than 2^20: every token is alone in its context, so every loss is known."""
+    n, each = 300, 5000
+    docs = table(spark, [(i, " ".join(f"w{i * each + j}" for j in range(each)), "s") for i in range(n)])
+    total, (a, b, c) = n * each, lm_score.MIXTURE
+    p = lambda two: a * two + b / total + c / lm_score.UNIGRAMS
+    want = -(np.log(p(1 / n)) + (each - 1) * np.log(p(1))) / each
+    background, target = lm_score.models(docs, docs.where("doc_id < 3").select("doc_id"))
+    got = lm_score.score(docs.where("doc_id >= 297"), background, target).collect()
+    assert len(got) == 3 and all(r["n_tokens"] == each for r in got)
+    assert [r["background_loss"] for r in got] == pytest.approx([want] * 3, rel=1e-9)
+    unseen = -np.log(c / lm_score.UNIGRAMS)
+    assert [r["target_loss"] for r in got] == pytest.approx([unseen] * 3, rel=1e-3)
+
+
 def test_tokens_split_at_ascii_blanks_only():
     t = Tokens([b"A\x0bb\xc2\xa0c \x1cd", b"", b"x"])
     assert t.lens.tolist() == [3, 0, 1] and t.vocabulary[0] == b"a"
