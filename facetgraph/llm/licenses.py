@@ -1,10 +1,10 @@
 """Licence scans with a positional rare-token index of licence templates.
 
-The index has, for each template word, its (template, position) postings. Of a file's licence words the
-ones that fewest documents contain (highest IDF, counted over all documents) are looked
-up; a posting at template position o met at file position p is a vote for the template starting
-at p - o. Starts on which the looked-up words agree are kept (intersection by relative position), the template is
-compared word by word there, and its mandatory key phrase must stand in full. A template
+The index has one posting (template, position) for each template: the word of its mandatory key phrase that
+fewest documents contain (highest IDF, counted over all documents). All places of these words in a file are
+looked up; a posting at template position o met at file position p proposes the template starting
+at p - o. There the key phrase must stand in full and AGREE licence words of the template in their
+places. As the phrase stands nowhere without its rarest word, no start is missed. A template
 gives its label and the share of its words that match.
 
 Base phrases are counted wherever their words stand consecutively and always give their labels.
@@ -47,8 +47,8 @@ TEMPLATES = (
     ("unlicense", "this is free and unencumbered software released into the public domain", "free and unencumbered software"),
     ("zlib", "this software is provided as is without any express or implied warranty", "provided as is without any express or implied warranty"),
 )
-#: Licence words that a file looks up, rarest first, and how many of them must agree on a start.
-RAREST, AGREE = 6, 2
+#: Licence words of a template that must stand in their places.
+AGREE = 2
 #: Words that no template is looked up by.
 COMMON = ("0", "1", "2", "3", "4", "a", "all", "and", "any", "are", "as", "by", "for", "in", "into", "is", "of", "or", "the", "this", "to", "under", "use", "v", "with")
 #: What ends a word; A-Z count as letters, and only they are lowered.
@@ -96,29 +96,25 @@ def stands(phrase: list[str], start: Column) -> Column:
     return out
 
 
+def phrase_offset(words: list[str], phrase: list[str]) -> int:
+    return next(o for o in range(len(words)) if words[o : o + len(phrase)] == phrase)
+
+
 def scan(documents: DataFrame) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score and matches (label, start, share)."""
     hits = with_hits(documents)
     seen = document_frequencies(hits)
     known = vocabulary()
     order = {w: r for r, w in enumerate(sorted(known, key=lambda w: (seen.get(w, 0), w)))}
-    rank = F.create_map(*[x for w in known for x in (F.lit(w), F.lit(order[w]))])
-    looked = F.slice(F.sort_array(F.array_distinct(F.transform("hits", lambda h: F.element_at(rank, h["w"])))), 1, RAREST)
-    df = barrier(hits, ("looked", looked))
-
-    posted: dict[int, list[int]] = {}
-    for t, (_, template, _) in enumerate(TEMPLATES):
-        for o, w in enumerate(template.split()):
-            if w in order:
-                posted.setdefault(order[w], []).append(t * SHIFT + o)
-    index = F.create_map(*[x for r, places in sorted(posted.items()) for x in (F.lit(r), F.array(*[F.lit(x) for x in places]))])
-    rare = F.filter(F.transform("hits", lambda h: F.struct(h["p"].alias("p"), F.element_at(rank, h["w"]).alias("r"))), lambda h: F.array_contains("looked", h["r"]))
-    # a vote names template t and start p - o as one number; starts before the text are left out
-    votes = F.flatten(F.transform(rare, lambda h: F.transform(F.filter(F.coalesce(F.element_at(index, h["r"]), F.array().cast("array<int>")), lambda x: x % SHIFT <= h["p"]), lambda x: F.floor(x / SHIFT) * F.lit(1 << 40) + h["p"] - x % SHIFT)))
-    df = barrier(df, ("votes", F.sort_array(votes)))
-    # sorted votes: a start on which AGREE looked-up words agree equals the vote AGREE - 1 places on
-    agreed = F.array_distinct(F.filter("votes", lambda v, i: F.coalesce(F.get("votes", i + AGREE - 1) == v, F.lit(False))))
-    df = barrier(df, ("starts", agreed))
+    posted: dict[str, list[int]] = {}
+    for t, (_, template, key) in enumerate(TEMPLATES):
+        rarest = min((w for w in key.split() if w in order), key=order.__getitem__)
+        posted.setdefault(rarest, []).append(t * SHIFT + phrase_offset(template.split(), key.split()) + key.split().index(rarest))
+    index = F.create_map(*[x for w, places in sorted(posted.items()) for x in (F.lit(w), F.array(*[F.lit(x) for x in places]))])
+    rare = F.filter("hits", lambda h: h["w"].isin(sorted(posted)))
+    # a start names template t and place p - o as one number; starts before the text are left out
+    starts = F.flatten(F.transform(rare, lambda h: F.transform(F.filter(F.element_at(index, h["w"]), lambda x: x % SHIFT <= h["p"]), lambda x: F.floor(x / SHIFT) * F.lit(1 << 40) + h["p"] - x % SHIFT)))
+    df = barrier(hits, ("starts", F.array_distinct(starts)))
 
     def share(template: list[str], start: Column) -> Column:
         total = F.lit(0)
@@ -128,9 +124,11 @@ def scan(documents: DataFrame) -> DataFrame:
 
     def checked(t: int, label: str, words: list[str], phrase: list[str]) -> Column:
         """Verified starts of template t."""
-        offset = next(o for o in range(len(words)) if words[o : o + len(phrase)] == phrase)
+        offset = phrase_offset(words, phrase)
         at = F.transform(F.filter("starts", lambda v: F.floor(v / (1 << 40)) == t), lambda v: (v % (1 << 40)).cast("int"))
         full = F.filter(at, lambda s: stands(phrase, s + offset))
+        if sum(w in order for w in phrase) < AGREE:
+            full = F.filter(full, lambda s: sum(F.when(word_at(s + j) == w, 1).otherwise(0) for j, w in enumerate(words) if w in order) >= AGREE)
         return F.transform(full, lambda s: F.struct(F.lit(label).alias("label"), s.alias("start"), share(words, s).alias("share")))
 
     def places(words: list[str], label: str) -> Column:

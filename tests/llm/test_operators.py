@@ -334,6 +334,14 @@ def test_license_scan_is_the_brute_force(spark, edge):
     assert licenses.scan(edge).count() == edge.count()
 
 
+def test_license_scan_finds_every_template_of_a_file_with_several(spark):
+    texts = {1: " x ".join(t for _, t, _ in licenses.TEMPLATES), 2: "All rights reserved. Redistribution and use in source and binary forms, with or without modification, are permitted"}
+    texts |= {i: "all rights reserved" for i in range(10, 30)}
+    got = {r["doc_id"]: r for r in licenses.scan(table(spark, [(i, t, "s") for i, t in texts.items()])).collect()}
+    assert set(got[1]["labels"].split(",")) == {label for label, _, _ in licenses.TEMPLATES} | {label for _, label in licenses.BASE}
+    assert got[2]["labels"] == "bsd,proprietary"
+
+
 # --- shared passages ---
 
 
