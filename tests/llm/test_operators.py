@@ -405,6 +405,18 @@ def test_every_shared_window_lies_in_a_passage(spark):
     assert [(i, a) for i, a in shared if not any(x <= a and a + least <= y for x, y in spans.get(i, []))] == []
 
 
+@pytest.mark.parametrize("once", [1, 9])
+def test_every_place_of_a_repeated_passage(spark, once):
+    rng = random.Random(5)
+    fresh = lambda n: [f"z{rng.randrange(5000)}" for _ in range(n)]
+    passage = fresh(60)
+    docs = [(5, " ".join(fresh(20) + passage + fresh(40) + passage + fresh(20)), "s"), (once, " ".join(fresh(15) + passage + fresh(15)), "s")]
+    spans = set()
+    for r in substring_dedup.shared_passages(table(spark, docs)).collect():
+        spans |= {(r["doc_id"], r["start_word"], r["end_word"]), (r["other_id"], r["other_start"], r["other_end"])}
+    assert spans == {(5, 20, 80), (5, 120, 180), (once, 15, 75)}
+
+
 def test_passage_edges(edge, empty):
     assert substring_dedup.shared_passages(empty).count() == 0
     found = {(r["doc_id"], r["other_id"]) for r in substring_dedup.shared_passages(edge).collect()}
