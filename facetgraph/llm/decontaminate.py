@@ -159,15 +159,16 @@ def clean(documents: DataFrame, benchmark: DataFrame, **settings) -> DataFrame:
     return with_hits(documents, benchmark, **settings).where(~contaminated(F.col("__hits"))).select(documents.columns)
 
 
-POSTINGS = pa.schema([("term", pa.string()), ("doc_id", pa.int64()), ("positions", pa.list_(pa.int32()))])
+POSTINGS = pa.schema([("term", pa.string()), ("doc_id", pa.int64()), ("positions", pa.list_(pa.int32())), ("text_hash", pa.int64())])
 
 
 def token_postings(documents: DataFrame) -> DataFrame:
-    """(term, doc_id, positions): the index as a table; write it partitioned or bucketed by term."""
+    """(term, doc_id, positions, text_hash): the index as a table; write it partitioned or bucketed by term. The hash tells rows with one doc_id apart."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(batch.schema.get_field_index("doc_id")).to_pylist()
+            text_hash = batch.column(batch.schema.get_field_index("text_hash")).to_numpy(zero_copy_only=False)
             for at, texts in text_chunks(batch):
                 t = Tokens(texts, alnum_words)
                 if not len(t.codes):
@@ -177,9 +178,9 @@ def token_postings(documents: DataFrame) -> DataFrame:
                 new = np.append(np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (doc[1:] != doc[:-1]))), len(code))
                 names = pa.array([t.vocabulary[c].decode("utf-8", "replace") for c in code[new[:-1]]], pa.string())
                 lists = pa.ListArray.from_arrays(pa.array(new, pa.int32()), pa.array(pos))
-                yield from emit(POSTINGS, [names, pa.array([ids[at + d] for d in doc[new[:-1]]], pa.int64()), lists])
+                yield from emit(POSTINGS, [names, pa.array([ids[at + d] for d in doc[new[:-1]]], pa.int64()), lists, text_hash[at + doc[new[:-1]]]])
 
-    return documents.select("doc_id", "text").mapInArrow(run, "term string, doc_id long, positions array<int>")
+    return documents.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(run, "term string, doc_id long, positions array<int>, text_hash long")
 
 
 def _terms(index: DataFrame, queries: DataFrame) -> DataFrame:
@@ -198,11 +199,13 @@ def phrase_matches(index: DataFrame, queries: DataFrame) -> DataFrame:
     """
     terms = _terms(index, queries)
     length = terms.groupBy("query_id").agg(F.count("*").alias("n"))
-    starts = lambda t: index.join(t, "term").select("query_id", "doc_id", F.explode("positions").alias("p"), "offset").select("query_id", "doc_id", (F.col("p") - F.col("offset")).alias("start"))
+    at = ["query_id", "doc_id", "text_hash", "start"]
+    starts = lambda t: index.join(t, "term").withColumn("p", F.explode("positions")).withColumn("start", F.col("p") - F.col("offset")).select(*at, "offset")
     candidates = starts(terms.where("rank = 1"))
-    rest = starts(terms.where("rank > 1")).join(candidates, ["query_id", "doc_id", "start"], "left_semi")
-    counted = candidates.union(rest).groupBy("query_id", "doc_id", "start").agg(F.count("*").alias("m"))
-    return counted.join(length, "query_id").where("m = n").select("query_id", "doc_id", "start")
+    rest = starts(terms.where("rank > 1")).join(candidates, at, "left_semi")
+    # equal rows of one doc_id repeat postings, so offsets are counted, not rows
+    counted = candidates.union(rest).groupBy(*at).agg(F.count_distinct("offset").alias("m"))
+    return counted.join(length, "query_id").where("m = n").select("query_id", "doc_id", "start").distinct()
 
 
 def proximity_matches(index: DataFrame, queries: DataFrame, within: int) -> DataFrame:
@@ -210,10 +213,11 @@ def proximity_matches(index: DataFrame, queries: DataFrame, within: int) -> Data
     terms = _terms(index, queries).dropDuplicates(["query_id", "term"])
     length = terms.groupBy("query_id").agg(F.count("*").alias("n"))
     pivot = terms.groupBy("query_id").agg(F.min_by("term", "rank").alias("term"))
-    places = index.join(pivot, "term").select("query_id", "doc_id", F.explode("positions").alias("start"))
-    lists = index.join(terms.select("query_id", "term"), "term").select("query_id", "doc_id", "positions")
-    near = places.join(lists, ["query_id", "doc_id"]).where(F.exists("positions", lambda p: F.abs(p - F.col("start")) <= within))
-    return near.groupBy("query_id", "doc_id", "start").agg(F.count("*").alias("m")).join(length, "query_id").where("m = n").select("query_id", "doc_id", "start")
+    places = index.join(pivot, "term").select("query_id", "doc_id", "text_hash", F.explode("positions").alias("start"))
+    lists = index.join(terms.select("query_id", "term"), "term").select("query_id", "doc_id", "text_hash", "term", "positions")
+    near = places.join(lists, ["query_id", "doc_id", "text_hash"]).where(F.exists("positions", lambda p: F.abs(p - F.col("start")) <= within))
+    counted = near.groupBy("query_id", "doc_id", "text_hash", "start").agg(F.count_distinct("term").alias("m"))
+    return counted.join(length, "query_id").where("m = n").select("query_id", "doc_id", "start").distinct()
 
 
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

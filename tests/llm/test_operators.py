@@ -168,6 +168,14 @@ def test_phrase_and_proximity_search(spark):
     assert near == {1, 2, 3}
 
 
+def test_phrase_and_proximity_search_of_repeated_rows(spark):
+    docs = table(spark, [(1, "the red fox", "s"), (1, "the red fox", "s"), (2, "a red fox", "s"), (2, "the", "s")])
+    index = decontaminate.token_postings(docs)
+    ask = spark.createDataFrame([(7, ["the", "red", "fox"])], "query_id long, words array<string>")
+    assert [(r["doc_id"], r["start"]) for r in decontaminate.phrase_matches(index, ask).collect()] == [(1, 0)]
+    assert {r["doc_id"] for r in decontaminate.proximity_matches(index, ask, 2).collect()} == {1}
+
+
 # --- mixing ---
 
 
