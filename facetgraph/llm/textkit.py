@@ -18,6 +18,9 @@ from pyspark.sql import functions as F
 
 #: Every byte that is no digit, lower-case letter or part of a non-ASCII character becomes a blank.
 WORD_TABLE = bytes(b if 0x30 <= b <= 0x39 or 0x61 <= b <= 0x7A or b >= 0x80 else 0x20 for b in range(256))
+#: The same with A-Z lowered, and the words between the six ASCII blanks with A-Z lowered.
+ALNUM = WORD_TABLE[:0x41] + bytes(range(0x61, 0x7B)) + WORD_TABLE[0x5B:]
+BLANK = bytes(0x20 if b in b" \t\n\r\v\f" else b + 0x20 if 0x41 <= b <= 0x5A else b for b in range(256))
 #: Text bytes that a kernel tokenises at once; bounds a worker's memory whatever the batch.
 CHUNK_BYTES = 2 << 20
 
@@ -52,27 +55,42 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-class Tokens:
-    """Words of several documents as one array of 64-bit hashes.
+class Words:
+    """Words of several documents as one array of 64-bit hashes: ``hashes[starts[i]:starts[i+1]]`` are document i's.
 
-    ``hashes[starts[i]:starts[i+1]]`` are document i's words; ``codes`` index
-    ``vocabulary``, the distinct words of the chunk.
+    No word becomes a Python object: the texts are one buffer, and a word's hash is the difference of two
+    prefix sums of it, a polynomial over its bytes, mixed with its length.
     """
 
-    def __init__(self, texts: list[bytes], split=blank_words):
-        parts = [split(t) for t in texts]
-        self.lens = np.fromiter(map(len, parts), np.int64, len(parts))
-        self.starts = np.concatenate([[0], np.cumsum(self.lens)]).astype(np.int64)
-        flat: list[bytes] = []
-        for p in parts:
-            flat += p
-        coded = pa.array(flat, pa.binary()).dictionary_encode()
-        self.vocabulary: list[bytes] = coded.dictionary.to_pylist()
-        self.codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
-        self.table = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in self.vocabulary), np.uint64, len(self.vocabulary))
-        self.hashes = self.table[self.codes] if len(flat) else np.empty(0, np.uint64)
-        self.docs = np.repeat(np.arange(len(parts)), self.lens)
-        self.pos = np.arange(len(flat)) - self.starts[self.docs]
+    BASE = 0x9E3779B97F4A7C15
+    _up = _down = np.empty(0, np.uint64)
+
+    def __init__(self, texts: list[bytes], table: bytes):
+        joined = b" ".join(texts).translate(table)
+        data = np.frombuffer(joined + b" ", np.uint8)
+        inside = data != 0x20
+        edge = np.flatnonzero(inside[1:] != inside[:-1]) + 1
+        if inside[0]:
+            edge = np.concatenate([[0], edge])
+        first, last = edge[::2], edge[1::2]
+        up, down = self._powers(len(data))
+        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((data.astype(np.uint64) + np.uint64(1)) * down[: len(data)], dtype=np.uint64)])
+        self.hashes = mix((sums[last] - sums[first]) * up[first] + mix((last - first).astype(np.uint64)))
+        ends = np.cumsum(np.fromiter(map(len, texts), np.int64, len(texts)) + 1)
+        self.starts = np.concatenate([[0], np.searchsorted(first, ends)]).astype(np.int64)
+        self._place()
+
+    @classmethod
+    def _powers(cls, n: int) -> tuple[np.ndarray, np.ndarray]:
+        if len(cls._up) < n:
+            grow = lambda base: np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(n, base, np.uint64)]), dtype=np.uint64)
+            cls._up, cls._down = grow(cls.BASE), grow(pow(cls.BASE, -1, 1 << 64))
+        return cls._up, cls._down
+
+    def _place(self) -> None:
+        self.lens = np.diff(self.starts)
+        self.docs = np.repeat(np.arange(len(self.lens)), self.lens)
+        self.pos = np.arange(self.starts[-1]) - self.starts[self.docs]
 
     def grams(self, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(hash, document, position) of every run of k words inside a document."""
@@ -81,7 +99,7 @@ class Tokens:
             return np.empty(0, np.uint64), np.empty(0, np.int64), np.empty(0, np.int64)
         acc = np.zeros(n, np.uint64)
         for j in range(k):
-            acc = acc * np.uint64(0x9E3779B97F4A7C15) + self.hashes[j : j + n]
+            acc = acc * np.uint64(self.BASE) + self.hashes[j : j + n]
         keep = self.pos[:n] + k <= self.lens[self.docs[:n]]
         return mix(acc[keep]), self.docs[:n][keep], self.pos[:n][keep]
 
@@ -97,6 +115,23 @@ class Tokens:
         return h, d
 
 
+class Tokens(Words):
+    """Words with their spellings: ``codes`` index ``vocabulary``, the distinct words of the chunk, whose hashes are ``table``."""
+
+    def __init__(self, texts: list[bytes], split=blank_words):
+        parts = [split(t) for t in texts]
+        self.starts = np.concatenate([[0], np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)))]).astype(np.int64)
+        flat: list[bytes] = []
+        for p in parts:
+            flat += p
+        coded = pa.array(flat, pa.binary()).dictionary_encode()
+        self.vocabulary: list[bytes] = coded.dictionary.to_pylist()
+        self.codes = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        self.table = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in self.vocabulary), np.uint64, len(self.vocabulary))
+        self.hashes = self.table[self.codes] if len(flat) else np.empty(0, np.uint64)
+        self._place()
+
+
 def signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 

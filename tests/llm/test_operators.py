@@ -88,10 +88,10 @@ def random_copies(n, seed):
     return out
 
 
-@pytest.mark.parametrize("block", [1024, 4])
-def test_ngram_join_is_the_brute_force(spark, block):
+@pytest.mark.parametrize(("block", "heap"), [(1024, 1 << 40), (1024, 0), (4, 2048)])
+def test_ngram_join_is_the_brute_force(spark, block, heap):
     rows = random_copies(140, 1)
-    got = ngram_join.near_duplicate_components(table(spark, [(i, t, "s") for i, t in rows]), block_rows=block)
+    got = ngram_join.near_duplicate_components(table(spark, [(i, t, "s") for i, t in rows]), block_rows=block, heap_most=heap)
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in got.collect()} == brute_components(rows)
 
 
@@ -103,7 +103,41 @@ def test_ngram_join_edges(edge, empty):
     assert ngram_join.near_duplicate_components(edge).count() == edge.count()
     assert ngram_join.near_duplicate_components(empty).count() == 0
     kept = ngram_join.one_of_each(edge)
-    assert kept.columns == edge.columns and kept.where("doc_id = 5").count() == 1 and kept.where("doc_id is null").count() == 1
+    # the row without doc_id is a copy of 104
+    assert kept.columns == edge.columns and kept.where("doc_id = 5").count() == 1 and kept.where("doc_id is null").count() == 0
+
+
+def test_one_of_each_is_decided_whatever_the_order(spark):
+    texts = {i: f"{i} " + " ".join(f"k{i}x{j}" for j in range(30)) for i in range(6)}
+    rows = [(None, texts[0], "a"), (None, texts[0], "b"), (1, texts[1], "a"), (None, texts[1], "a"), (2, texts[2], "a"), (2, texts[3], "a"), (2, texts[3], "a"), (None, "", "a"), (None, None, "a")]
+    got = [sorted(map(tuple, ngram_join.one_of_each(table(spark, r).repartition(n)).select("doc_id", "text", "source").collect()), key=str) for r, n in ((rows, 1), (rows[::-1], 3))]
+    assert got[0] == got[1]
+    assert [r[0] for r in got[0]].count(1) == 1 and [r[0] for r in got[0]].count(2) == 1 and sum(r[1] == texts[0] for r in got[0]) == 1
+    assert sum(not r[1] for r in got[0]) == 2
+
+
+def test_merge_skip_counts_what_reaches_the_threshold():
+    rng = random.Random(6)
+    for t in (1, 2, 4, 7):
+        lists = [sorted(rng.sample(range(40), rng.randrange(1, 25))) for _ in range(9)]
+        every = Counter(x for q in lists for x in q)
+        want = {x: c for x, c in every.items() if c >= t}
+        assert ngram_join.merge_skip(lists, t) == want == ngram_join.at_least([np.asarray(q) for q in lists], t, 0)
+
+
+def test_signatures_never_part_a_link():
+    rng = np.random.default_rng(2)
+    sets = [rng.integers(0, 1 << 63, rng.integers(1, 200), dtype=np.int64).astype(np.uint64) for _ in range(40)]
+    sets += [np.append(x[: len(x) * 9 // 10 + 1], rng.integers(0, 1 << 63, len(x) // 12, dtype=np.int64).astype(np.uint64)) for x in sets]
+    sets = sorted((np.unique(x) for x in sets), key=len)
+    n = np.array(list(map(len, sets)))
+    sigs = ngram_join.signatures(np.concatenate(sets), np.repeat(np.arange(len(sets)), n), n)
+    for num, den in ((80, 100), (30, 100)):
+        roots = ngram_join.near_by_signature(n, sigs, num, den).roots()
+        for a, b in itertools.combinations(range(len(sets)), 2):
+            both = len(np.intersect1d(sets[a], sets[b]))
+            if both and den * both >= num * (n[a] + n[b] - both):
+                assert roots[a] == roots[b]
 
 
 def test_components_of_a_long_path(spark):
