@@ -36,6 +36,12 @@ def written(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def settled(df: DataFrame) -> DataFrame:
+    """``df`` if every reading of it gives the same rows in the same order, as a plain scan does; else a written copy."""
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return written(df) if "Exchange" in plan or "MapIn" in plan else df
+
+
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """(node, component): the smallest node that edges (a, b) reach, for every node of an edge.
 

@@ -1,12 +1,19 @@
 """Cross-entropy difference between a target and a background n-gram model.
 
 Both are interpolated bigram models, alike in all but the documents they count: the target's are
-those that labels mark good, the background's are all. Bigrams are counted exactly, as
-rows of two 64-bit word hashes, in a shuffled table that grows with the corpus; words and
-contexts are sums of it. Every bigram gets its two losses there, and the distinct bigrams of each document are joined
-with them. A document's score is the mean over its tokens of target loss minus background loss, in nats; lower
+those that labels mark good, the background's are all. Bigrams, words and contexts are counted exactly, under 64-bit hashes, however many
+there are. A document's score is the mean over its tokens of target loss minus background loss, in nats; lower
 means closer to the target.
 
+Plan. Consecutive rows of a partition form chunks of text. A chunk asks for its distinct n-grams: they are cut into
+buckets by the first bits of their hashes, and each piece travels as one sorted and compressed row, so an n-gram that is
+everywhere travels once for each chunk. A bucket sums what all chunks
+say and answers each with both models' counts, in the order asked. The answers meet the chunk's text again, and its documents are
+scored there; no row stands for a single n-gram. Buckets grow in number with the text, and chunks with the buckets.
+
+A chunk is known by a hash of its content, so the two readings of the documents must chunk them alike; documents that come
+out of a shuffle are therefore written down first. A chunk without its answers is an error, never a wrong score.
+
 Rows. Null, empty and wordless texts have 0 tokens and score 0. Without target documents the target model falls
 back to the uniform unigram. Labels without documents and null labels count for nothing; a repeated label row
 counts its document once. Other columns are ignored; repeated documents are counted and scored each.
@@ -14,122 +21,209 @@ counts its document once. Other columns are ignored; repeated documents are coun
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+import xxhash
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetgraph.llm.graph import cut
-from facetgraph.llm.textkit import Tokens, alnum_words, emit, numbers, signed, text_chunks
+from facetgraph.llm.graph import settled, written
+from facetgraph.llm.textkit import ALNUM, Words, emit, mix, runs, sieve_kernel, sieve_of
 
 #: Words of the uniform estimate.
 UNIGRAMS = 1 << 18
 #: Weights of the bigram, unigram and uniform estimates.
 MIXTURE = (0.6, 0.39, 0.01)
-
-COUNTS = pa.schema([("before", pa.int64()), ("word", pa.int64()), ("n", pa.int64()), ("n_target", pa.int64())])
-PARTS = pa.schema([("doc_id", pa.int64()), ("text_hash", pa.int64()), ("before", pa.int64()), ("word", pa.int64()), ("n", pa.int32())])
-BIGRAM = ["before", "word"]
-
-
-def bigrams(tokens: Tokens) -> tuple[np.ndarray, np.ndarray]:
-    """Of each token: its predecessor's hash and its own; a document starts after word 0."""
-    before = np.zeros(len(tokens.hashes), np.uint64)
-    before[1:] = tokens.hashes[:-1]
-    before[tokens.pos == 0] = 0
-    return signed(before), signed(tokens.hashes)
-
-
-def grouped(*columns: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The order that sorts rows by ``columns``, and where in it each distinct row begins."""
-    order = np.lexsort(columns[::-1])
-    new = np.ones(len(order), bool)
-    new[1:] = np.any([c[order][1:] != c[order][:-1] for c in columns], axis=0)
-    return order, np.flatnonzero(new)
-
-
-def count_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(before, word, count over all documents, count over those with ``target``), summed by chunk."""
+#: Text bytes whose n-grams one bucket sums; least and most text bytes of a chunk, and those it has for each bucket.
+BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 16 << 20, 2 << 20, 32 << 20, 4 << 10
+
+ASK = pa.schema([("bucket", pa.int32()), ("role", pa.int32()), ("chunk", pa.binary()), ("piece", pa.binary()), ("tokens", pa.int64())])
+ASK_SQL = "bucket int, role int, chunk binary, piece binary, tokens long"
+#: Roles of asks: counted by the background model, by the target model, or by neither; the last and the first are answered.
+BACKGROUND, TARGET, UNCOUNTED = 0, 1, 2
+ANSWER = pa.schema([("chunk", pa.binary()), ("bucket", pa.int32()), ("piece", pa.binary()), ("tokens", pa.int64()), ("target_tokens", pa.int64())])
+ANSWER_SQL = "chunk binary, bucket int, piece binary, tokens long, target_tokens long"
+SCORE = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("target_loss", pa.float64()), ("background_loss", pa.float64())])
+SCORE_SQL = "doc_id long, n_tokens long, target_loss double, background_loss double"
+
+
+def pressed(*columns: np.ndarray) -> bytes:
+    """Arrays of 64-bit numbers, byte plane by byte plane, compressed; sorted keys and small counts shrink most."""
+    out = []
+    for c in columns:
+        body = pa.compress(np.ascontiguousarray(c).view(np.uint8).reshape(-1, 8).T.tobytes(), "zstd", asbytes=True) if len(c) else b""
+        out += [len(c).to_bytes(4, "little"), len(body).to_bytes(4, "little"), body]
+    return b"".join(out)
+
+
+def unpressed(data: bytes) -> list[np.ndarray]:
+    out, at = [], 0
+    while at < len(data):
+        n, size = int.from_bytes(data[at : at + 4], "little"), int.from_bytes(data[at + 4 : at + 8], "little")
+        body = pa.decompress(data[at + 8 : at + 8 + size], n * 8, "zstd", asbytes=True) if n else b""
+        out.append(np.frombuffer(body, np.uint8).reshape(8, -1).T.copy().view(np.uint64).reshape(-1) if n else np.empty(0, np.uint64))
+        at += 8 + size
+    return out
+
+
+def chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[pa.Array, list[bytes]]]:
+    """(doc_ids, texts) of consecutive rows, about ``most`` bytes of text each."""
+    ids, texts, size = [], [], 0
     for batch in batches:
-        target = np.array(batch.column(batch.schema.get_field_index("target")).to_pylist(), bool)
-        for at, texts in text_chunks(batch):
-            t = Tokens(texts, alnum_words)
-            if not len(t.codes):
+        own = batch.column(batch.schema.get_field_index("doc_id")).to_pylist()
+        for i, t in zip(own, batch.column(batch.schema.get_field_index("text")).cast(pa.binary()).to_pylist()):
+            t = t or b""
+            if size and size + len(t) > most:
+                yield pa.array(ids, pa.int64()), texts
+                ids, texts, size = [], [], 0
+            ids.append(i)
+            texts.append(t)
+            size += len(t)
+    if ids:
+        yield pa.array(ids, pa.int64()), texts
+
+
+def chunk_name(ids: pa.Array, texts: list[bytes]) -> bytes:
+    h = xxhash.xxh3_128(repr(ids.to_pylist()).encode())
+    h.update(np.fromiter(map(len, texts), np.int64, len(texts)).tobytes())
+    h.update(b"".join(texts))
+    return h.digest()
+
+
+def n_grams(words: Words) -> np.ndarray:
+    """Keys of each token's bigram, word and context, one row for each; a document starts after word 0."""
+    before = np.zeros(len(words.hashes), np.uint64)
+    before[1:] = words.hashes[:-1]
+    before[words.pos == 0] = 0
+    return np.stack([mix(before * np.uint64(Words.BASE) + words.hashes), mix(words.hashes + np.uint64(1)), mix(before + np.uint64(2))])
+
+
+def counted(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys, the place of each key among them, and their counts."""
+    distinct, place, n = np.unique(keys, return_inverse=True, return_counts=True)
+    return distinct, place.reshape(keys.shape), n
+
+
+def bucket_cuts(keys: np.ndarray, bits: int) -> np.ndarray:
+    """Where each bucket's keys begin among the sorted ``keys``, and their end."""
+    return np.append(np.searchsorted(keys, np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)), len(keys)) if bits else np.array([0, len(keys)])
+
+
+def ask_kernel(role: int, most: int, bits: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for ids, texts in chunks(batches, most):
+            words = Words(texts, ALNUM)
+            if not len(words.hashes):
                 continue
-            before, word = bigrams(t)
-            order, begin = grouped(before, word)
-            mine = target[at + t.docs][order].astype(np.int64)
-            yield from emit(COUNTS, [before[order][begin], word[order][begin], np.diff(np.append(begin, len(order))), np.add.reduceat(mine, begin)])
-
-
-def part_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The distinct bigrams of each document."""
-    for batch in batches:
-        ids, text_hash = batch.column(batch.schema.get_field_index("doc_id")), numbers(batch, "text_hash")
-        for at, texts in text_chunks(batch):
-            t = Tokens(texts, alnum_words)
-            before, word = bigrams(t)
-            order, begin = grouped(t.docs, before, word)
-            first = order[begin]
-            row = at + t.docs[first]
-            yield from emit(PARTS, [ids.take(pa.array(row)), text_hash[row], before[first], word[first], np.diff(np.append(begin, len(order))).astype(np.int32)])
-
-
-@dataclass
-class Model:
-    """``counts`` has a row for each bigram; ``column`` is this model's count in it and ``total`` its sum."""
-
-    counts: DataFrame
-    column: str
-    total: int
-
-    def loss(self) -> Column:
-        """Of a bigram with its count and those of its word and context."""
-        a, b, c = MIXTURE
-        one = F.col(f"word_{self.column}") / F.lit(self.total) if self.total else F.lit(1 / UNIGRAMS)
-        seen = F.col(f"before_{self.column}")
-        two = F.when(seen > 0, F.col(self.column) / seen).otherwise(one)
-        return -F.log(F.lit(a) * two + F.lit(b) * one + F.lit(c / UNIGRAMS))
-
-
-def sums(counts: DataFrame, by: str) -> DataFrame:
-    return counts.groupBy(by).agg(*[F.sum(n).alias(f"{by}_{n}") for n in ("n", "n_target")])
-
-
-def models(documents: DataFrame, targets: DataFrame) -> tuple[Model, Model]:
-    """Background and target models; ``targets`` are doc_ids."""
-    marked = targets.where("doc_id is not null").distinct().select("doc_id", F.lit(True).alias("__t"))
-    # a merge join at every size: labels grow with the documents, and adaptive execution can split it
-    rows = documents.select("doc_id", "text").join(marked.hint("merge"), "doc_id", "left").select("text", F.coalesce("__t", F.lit(False)).alias("target"))
-    counts = cut(rows.mapInArrow(count_kernel, "before long, word long, n long, n_target long").groupBy(*BIGRAM).agg(F.sum("n").alias("n"), F.sum("n_target").alias("n_target")))
-    total = counts.agg(F.sum("n"), F.sum("n_target")).first()
-    return Model(counts, "n", total[0] or 0), Model(counts, "n_target", total[1] or 0)
-
-
-def score(documents: DataFrame, background: Model, target: Model, counted: bool = False) -> DataFrame:
-    """Scores of any documents; ``counted`` says that the models have counted all of them, which spares a scan."""
-    known = every = background.counts
-    if not counted:
-        own = documents.select(F.col("text").cast("string"), F.lit(False).alias("target")).mapInArrow(count_kernel, "before long, word long, n long, n_target long")
-        unseen = own.select(*BIGRAM).distinct().join(known.hint("merge"), BIGRAM, "left_anti")
-        every = known.union(unseen.select(*BIGRAM, F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("n_target")))
-    full = every.join(sums(known, "word").hint("merge"), "word", "left").join(sums(known, "before").hint("merge"), "before", "left").na.fill(0)
-    losses = full.select(*BIGRAM, target.loss().alias("target_loss"), background.loss().alias("background_loss"))
-    # equal texts of one doc_id are summed together and dealt out again
-    docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("text_hash", F.xxhash64("text"))
-    parts = docs.mapInArrow(part_kernel, "doc_id long, text_hash long, before long, word long, n int")
-    lost = parts.join(losses.hint("merge"), BIGRAM).select("doc_id", "text_hash", F.col("n").cast("long"), *[(F.col("n") * F.col(c)).alias(c) for c in ("target_loss", "background_loss")], F.lit(0).alias("copies"))
-    rows = docs.select("doc_id", "text_hash", F.lit(0).cast("long"), F.lit(0.0), F.lit(0.0), F.lit(1))
-    found = lost.union(rows).groupBy("doc_id", "text_hash").agg(*[F.sum(c).alias(c) for c in ("n", "target_loss", "background_loss", "copies")])
-    mean = lambda c: F.col(c) / F.greatest(F.col("n"), F.lit(1))
-    dealt = found.select("doc_id", F.expr("n div copies").alias("n_tokens"), mean("target_loss").alias("target_loss"), mean("background_loss").alias("background_loss"), F.explode(F.array_repeat(F.lit(1), F.col("copies").cast("int"))))
-    return dealt.select("doc_id", "n_tokens", "target_loss", "background_loss", (F.col("target_loss") - F.col("background_loss")).alias("score"))
+            keys, _, n = counted(n_grams(words))
+            cuts = bucket_cuts(keys, bits)
+            used = np.flatnonzero(np.diff(cuts))
+            name = chunk_name(ids, texts) if role != TARGET else None
+            pieces = [pressed(keys[cuts[b] : cuts[b + 1]], n[cuts[b] : cuts[b + 1]].astype(np.uint64)) for b in used]
+            tokens = np.where(np.arange(len(used)) == 0, len(words.hashes), 0)
+            yield from emit(ASK, [used.astype(np.int32), np.full(len(used), role, np.int32), [name] * len(used), pieces, tokens], 512)
+
+    return run
+
+
+def sum_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Counts of a bucket's n-grams in both models, sent back to all that asked for them."""
+    for bucket in runs(batches, ["bucket"]):
+        role = bucket.column("role").to_numpy()
+        pieces = [unpressed(x) for x in bucket.column("piece").to_pylist()]
+        sizes = np.fromiter((len(k) for k, _ in pieces), np.int64, len(pieces))
+        keys, place = np.unique(np.concatenate([k for k, _ in pieces]), return_inverse=True)
+        n, by = np.concatenate([c for _, c in pieces]), np.repeat(role, sizes)
+        del pieces
+        total = [np.zeros(len(keys), np.uint64), np.zeros(len(keys), np.uint64)]
+        for model in (BACKGROUND, TARGET):
+            np.add.at(total[model], place[by == model], n[by == model])
+        ends = np.cumsum(sizes)
+        tokens = bucket.column("tokens").to_numpy()
+        sums = [int(tokens[role == BACKGROUND].sum()), int(tokens[role == TARGET].sum())]
+        names, number = bucket.column("chunk").to_pylist(), bucket.column("bucket")[0].as_py()
+        rows: list[tuple] = [(None, number, None, *sums)]
+        for i in np.flatnonzero(role != TARGET):
+            own = place[ends[i] - sizes[i] : ends[i]]
+            rows.append((names[i], number, pressed(total[0][own], total[1][own]), 0, 0))
+        yield from emit(ANSWER, [list(c) for c in zip(*rows)], 512)
+
+
+def text_kernel(most: int):
+    """The chunks themselves, as rows that sort before their answers."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for ids, texts in chunks(batches, most):
+            sink = pa.BufferOutputStream()
+            table = pa.RecordBatch.from_arrays([ids, pa.array(texts, pa.binary())], ["doc_id", "text"])
+            with pa.ipc.new_stream(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as w:
+                w.write_batch(table)
+            yield from emit(ANSWER, [[chunk_name(ids, texts)], [-1], [sink.getvalue().to_pybytes()], [0], [0]])
+
+    return run
+
+
+def losses(counts: np.ndarray, totals: list[int]) -> np.ndarray:
+    """Loss of each token in both models. ``counts``: model, (bigram, word, context), token."""
+    a, b, c = MIXTURE
+    out = []
+    for (two, one, seen), total in zip(counts.astype(np.float64), totals):
+        word = one / total if total else np.full(len(one), 1 / UNIGRAMS)
+        bigram = np.divide(two, seen, out=word.copy(), where=seen > 0)
+        out.append(-np.log(a * bigram + b * word + c / UNIGRAMS))
+    return np.stack(out)
+
+
+def score_kernel(totals: list[int]):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in runs(batches, ["chunk"]):
+            number, piece = group.column("bucket").to_numpy(), group.column("piece")
+            # equal chunks have equal answers, one set for each
+            answers = [unpressed(piece[int(np.flatnonzero(number == b)[0])].as_py()) for b in np.unique(number[number >= 0])]
+            for i in np.flatnonzero(number < 0):
+                table = pa.ipc.open_stream(piece[int(i)].as_py()).read_all()
+                texts = table.column("text").to_pylist()
+                words = Words(texts, ALNUM)
+                keys, place, _ = counted(n_grams(words))
+                counts = np.stack([np.concatenate([x[m] for x in answers]) if answers else np.empty(0, np.uint64) for m in (0, 1)])
+                if counts.shape[1] != len(keys):
+                    raise RuntimeError("a chunk of documents did not get the answers it asked for: the documents were read in another order")
+                lost = losses(counts[:, place], totals)
+                mean = [np.bincount(words.docs, weights=x, minlength=len(texts)) / np.maximum(1, words.lens) for x in lost]
+                yield from emit(SCORE, [table.column("doc_id").combine_chunks(), words.lens, mean[1], mean[0]])
+
+    return run
+
+
+def of_documents(documents: DataFrame) -> DataFrame:
+    return documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+
+
+def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = None) -> DataFrame:
+    """doc_id, n_tokens, target_loss, background_loss, score of ``scored`` (by default ``documents``).
+
+    The background model counts ``documents``, the target model those of them whose doc_id ``targets`` has.
+    """
+    documents = settled(of_documents(documents))
+    asked = documents if scored is None else settled(of_documents(scored))
+    size = int(documents.agg(F.sum(F.octet_length("text"))).first()[0] or 0)
+    bits = max(0, math.ceil(math.log2(max(1, size / BUCKET_BYTES))))
+    most = min(MOST_CHUNK, max(LEAST_CHUNK, CHUNK_SHARE << bits))
+    marked = targets.select(F.col("doc_id").cast("long")).where("doc_id is not null")
+    good = documents.mapInArrow(sieve_kernel(sieve_of(marked, "doc_id")), "doc_id long, text string").join(marked, "doc_id", "left_semi")
+    asks = documents.mapInArrow(ask_kernel(BACKGROUND, most, bits), ASK_SQL).union(good.mapInArrow(ask_kernel(TARGET, most, bits), ASK_SQL))
+    if scored is not None:
+        asks = asks.union(asked.mapInArrow(ask_kernel(UNCOUNTED, most, bits), ASK_SQL))
+    answers = written(asks.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(sum_kernel, ANSWER_SQL))
+    sums = answers.where("chunk is null").agg(F.sum("tokens"), F.sum("target_tokens")).first()
+    rows = asked.mapInArrow(text_kernel(most), ANSWER_SQL).union(answers.where("chunk is not null"))
+    found = rows.repartition("chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
+    return found.withColumn("score", F.col("target_loss") - F.col("background_loss"))
 
 
 def op10_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    good = spark.read.parquet(f"{sf_dir}/labels.parquet").where("quality = 1").select("doc_id")
-    return score(documents, *models(documents, good), counted=True)
+    return score(documents, spark.read.parquet(f"{sf_dir}/labels.parquet").where("quality = 1"))
