@@ -1,33 +1,35 @@
 """Benchmark decontamination with a distributed positional inverted index.
 
-The index is partitioned by document: a shard of documents holds, for each test
-term, the sorted positions at which the shard has it. A test window (13 consecutive
-words of an item, or all words of a shorter item) is answered on a shard by taking
-the shortest of its terms' lists, shifting it by the term's offset to candidate
-starts, and intersecting with the other lists, shifted likewise, from rare to frequent.
-Windows with a term that the shard lacks cost nothing. Documents are read once
-and nothing of them is shuffled; the windows travel, in slices of a checked size.
-
-``token_postings`` writes the same lists as a table (term, doc_id, positions) for standing
-indexes; ``phrase_matches`` and ``proximity_matches`` answer from it with joins,
-again from the rarest term.
+``build_index`` stores the training tokens' postings as a table. A row is a shard, some consecutive documents of a
+partition: its terms, for each term the sorted places where the shard has it, and where its documents begin. The table is
+partitioned by document, so nothing is shuffled to build it, and a frequent term is cut up by shards.
+
+A query is a run of words. On a shard it starts from the list of its rarest word there, shifted by the word's offset to candidate
+starts; the other words' lists, shifted likewise, are intersected with them from rare to frequent. Words that the shard lacks
+end the search at once. The texts are not looked at again. A proximity query asks instead that every word
+has a place near one of the rarest word's.
+
+Test windows (13 consecutive words of an item, or all words of a shorter item) are phrase queries. They travel to the shards in slices of a
+checked size, one slice on the driver at a time; with several slices the hits, not the documents, are put together by shard and row.
 
 Rows. Null and wordless texts have no words and no hits. A null benchmark text has no
 windows; an item without item_id still makes hits but is not listed. Repeated rows each get a
-row. Other columns are ignored.
+row. Other columns are ignored by the index and kept by ``clean``.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetgraph.llm.textkit import Tokens, alnum_words, emit, text_chunks
+from facetgraph.llm.graph import written
+from facetgraph.llm.textkit import ALNUM, Words, emit, in_sieve, numbers, sieve_of, text_chunks
 
 WINDOW = 13
 #: A document is contaminated when SHARE times its hit words reach its words.
@@ -35,59 +37,119 @@ SHARE = 20
 #: Bytes of benchmark text whose windows travel to the executors at once.
 SLICE_BYTES = 16 << 20
 
+SHARD = pa.schema([("shard", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("text_hashes", pa.list_(pa.int64())), ("starts", pa.list_(pa.int32())), ("terms", pa.list_(pa.int64())), ("lists", pa.list_(pa.int32())), ("places", pa.list_(pa.int32()))])
+SHARD_SQL = "shard long, doc_ids array<long>, text_hashes array<long>, starts array<int>, terms array<long>, lists array<int>, places array<int>"
 SPAN = pa.struct([("a", pa.int64()), ("b", pa.int64())])
-HITS = pa.schema([("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.int64())), ("spans", pa.list_(SPAN))])
-HITS_SQL = "n_words long, n_hit long, items array<long>, spans array<struct<a:long,b:long>>"
+HITS = pa.schema([("shard", pa.int64()), ("row", pa.int32()), ("doc_id", pa.int64()), ("text_hash", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.int64())), ("spans", pa.list_(SPAN))])
+HITS_SQL = "shard long, row int, doc_id long, text_hash long, n_words long, n_hit long, items array<long>, spans array<struct<a:long,b:long>>"
+FOUND = pa.schema([("query_id", pa.int64()), ("doc_id", pa.int64()), ("start", pa.int64())])
+
+
+def index_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        ids, hashes = batch.column(batch.schema.get_field_index("doc_id")), numbers(batch, "text_hash")
+        for at, texts in text_chunks(batch):
+            words, n = Words(texts, ALNUM), len(texts)
+            places = np.argsort(words.hashes, kind="stable").astype(np.int32)
+            terms, begin = np.unique(words.hashes[places], return_index=True)
+            rows = [[at], [ids.slice(at, n).to_pylist()], [hashes[at : at + n]], [words.starts], [terms.view(np.int64)], [np.append(begin, len(places))], [places]]
+            yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(rows, SHARD)], schema=SHARD)
+
+
+def build_index(documents: DataFrame) -> DataFrame:
+    """The stored index: one row for each shard of documents."""
+    docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("text_hash", F.xxhash64("text"))
+    return written(docs.mapInArrow(index_kernel, SHARD_SQL).withColumn("shard", F.monotonically_increasing_id()))
+
+
+class Shard:
+    """A row of the index, ready to be searched."""
+
+    def __init__(self, batch: pa.RecordBatch, i: int):
+        get = lambda name: batch.column(batch.schema.get_field_index(name))[i].values
+        self.shard = batch.column(batch.schema.get_field_index("shard"))[i].as_py()
+        self.doc_ids, self.text_hashes = get("doc_ids"), np.asarray(get("text_hashes"))
+        self.starts = np.asarray(get("starts")).astype(np.int64)
+        self.terms, self.lists, self.places = np.asarray(get("terms")).view(np.uint64), np.asarray(get("lists")), np.asarray(get("places"))
+
+    def numbers(self, terms: np.ndarray) -> np.ndarray:
+        """The shard's numbers of terms, -1 for those that it lacks."""
+        if not len(self.terms):
+            return np.full(len(terms), -1)
+        at = np.minimum(np.searchsorted(self.terms, terms), len(self.terms) - 1)
+        return np.where(self.terms[at] == terms, at, -1)
+
+    def list_of(self, number: int) -> np.ndarray:
+        return self.places[self.lists[number] : self.lists[number + 1]]
+
+    def document(self, place: np.ndarray) -> np.ndarray:
+        return np.searchsorted(self.starts, place, side="right") - 1
+
+    def phrase(self, row: np.ndarray) -> np.ndarray:
+        """Places where the terms stand consecutively in one document; ``row``: their numbers, none of them -1."""
+        rare = np.argsort(self.lists[row + 1] - self.lists[row], kind="stable").tolist()
+        at = self.list_of(row[rare[0]]) - rare[0]
+        for j in rare[1:]:
+            if not len(at):
+                return at
+            there = self.list_of(row[j])
+            want = at + j
+            at = at[there[np.minimum(np.searchsorted(there, want), len(there) - 1)] == want]
+        return at[(at >= 0) & (self.document(at) == self.document(at + len(row) - 1))] if len(at) else at
+
+    def proximity(self, row: np.ndarray, within: int) -> np.ndarray:
+        """Places of the rarest term with every other term at most ``within`` words away in the same document."""
+        rare = np.argsort(self.lists[row + 1] - self.lists[row], kind="stable")
+        at = self.list_of(row[rare[0]])
+        for j in rare[1:].tolist():
+            there = self.list_of(row[j])
+            low, high = self.starts[self.document(at)], self.starts[self.document(at) + 1]
+            at = at[np.searchsorted(there, np.maximum(low, at - within)) < np.searchsorted(there, np.minimum(high, at + within + 1))]
+        return at
 
 
+@dataclass
 class Windows:
     """Test windows as a matrix of term numbers, -1 beyond a short window's end."""
 
-    def __init__(self, items: list[tuple[int | None, str | None]], width: int):
-        self.terms: dict[bytes, int] = {}
+    terms: np.ndarray
+    matrix: np.ndarray
+    lens: np.ndarray
+    items: list[list[int]]
+
+    @classmethod
+    def of(cls, items: list[tuple[int | None, str | None]], width: int) -> Windows:
+        words = Words([(t or "").encode() for _, t in items], ALNUM)
+        terms, number = np.unique(words.hashes, return_inverse=True)
         seen: dict[tuple[int, ...], set] = {}
-        for item, text in items:
-            words = [self.terms.setdefault(w, len(self.terms)) for w in alnum_words((text or "").encode())]
-            for a in range(max(1, len(words) - width + 1) if words else 0):
-                seen.setdefault(tuple(words[a : a + width]), set()).add(item)
-        self.lens = np.fromiter(map(len, seen), np.int64, len(seen))
-        self.matrix = np.full((len(seen), width), -1, np.int64)
+        for (item, _), a, b in zip(items, words.starts.tolist(), words.starts[1:].tolist()):
+            row = number[a:b].tolist()
+            for at in range(max(1, len(row) - width + 1) if row else 0):
+                seen.setdefault(tuple(row[at : at + width]), set()).add(item)
+        matrix = np.full((len(seen), width), -1, np.int64)
         for i, w in enumerate(seen):
-            self.matrix[i, : len(w)] = w
-        self.items = [[x for x in s if x is not None] for s in seen.values()]
-
-
-def hits(texts: list[bytes], windows: Windows) -> tuple[np.ndarray, np.ndarray, list[tuple[int, int, int]], list[tuple[int, int]]]:
-    """Words of each text, hit marks of all words, (text, start, end) occurrences, (text, item) pairs."""
-    tokens = Tokens(texts, alnum_words)
-    number = np.fromiter((windows.terms.get(w, -1) for w in tokens.vocabulary), np.int64, len(tokens.vocabulary))
-    terms = number[tokens.codes] if len(tokens.codes) else np.empty(0, np.int64)
-    places = np.flatnonzero(terms >= 0)
-    places = places[np.argsort(terms[places], kind="stable")]
-    count = np.bincount(terms[places], minlength=len(windows.terms) + 1)
-    starts = np.cumsum(count) - count
-    count[-1] = len(terms) + 1  # what lies beyond a short window is on every list
-    lists = count[windows.matrix]
-    mark = np.zeros(len(terms) + 1, np.int64)
-    spans, pairs = [], set()
-    for w in np.flatnonzero(lists.min(axis=1) > 0) if len(lists) and len(terms) else ():
-        n, row = int(windows.lens[w]), windows.matrix[w]
-        rare = np.argsort(lists[w, :n], kind="stable")
-        first = int(rare[0])
-        at = places[starts[row[first]] : starts[row[first]] + count[row[first]]] - first
-        at = at[(at >= 0) & (at + n <= len(terms))]
-        for j in rare[1:].tolist():
-            if not len(at):
-                break
-            at = at[terms[at + j] == row[j]]
-        at = at[tokens.docs[at] == tokens.docs[at + n - 1]] if len(at) else at
-        for s in at.tolist():
-            mark[s] += 1
-            mark[s + n] -= 1
-            d = int(tokens.docs[s])
-            spans.append((d, int(tokens.pos[s]), int(tokens.pos[s]) + n))
-            pairs.update((d, i) for i in windows.items[w])
-    return tokens.lens, np.bincount(tokens.docs, weights=np.cumsum(mark[:-1]) > 0, minlength=len(texts)).astype(np.int64), spans, sorted(pairs)
+            matrix[i, : len(w)] = w
+        return cls(terms, matrix, np.fromiter(map(len, seen), np.int64, len(seen)), [[x for x in s if x is not None] for s in seen.values()])
+
+
+def hits(shard: Shard, windows: Windows) -> tuple[np.ndarray, dict[int, list[tuple[int, int]]], dict[int, set]]:
+    """Hit words of each document of the shard, the merged spans and the items of those that have any."""
+    own = np.append(shard.numbers(windows.terms), -2)
+    rows = own[windows.matrix]
+    spans: dict[int, list[tuple[int, int]]] = {}
+    items: dict[int, set] = {}
+    for w in np.flatnonzero((rows != -1).all(axis=1)):
+        n = int(windows.lens[w])
+        at = shard.phrase(rows[w, :n])
+        for d, p in zip(shard.document(at).tolist(), at.tolist()):
+            p -= int(shard.starts[d])
+            spans.setdefault(d, []).append((p, p + n))
+            items.setdefault(d, set()).update(windows.items[w])
+    spans = {d: merge_spans(x) for d, x in spans.items()}
+    hit = np.zeros(len(shard.starts) - 1, np.int64)
+    for d, x in spans.items():
+        hit[d] = sum(b - a for a, b in x)
+    return hit, spans, items
 
 
 def merge_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -100,128 +162,109 @@ def merge_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return out
 
 
-def hit_udf(windows: Windows) -> Column:
-    @F.pandas_udf(HITS_SQL)
-    def found(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        for series in batches:
-            batch = pa.RecordBatch.from_arrays([pa.array(series, pa.string(), from_pandas=True)], ["text"])
-            rows: list[tuple] = []
-            for _, texts in text_chunks(batch):
-                lens, n_hit, spans, pairs = hits(texts, windows)
-                by: dict[int, list] = {}
-                own: dict[int, list] = {}
-                for d, a, b in spans:
-                    by.setdefault(d, []).append((a, b))
-                for d, i in pairs:
-                    own.setdefault(d, []).append(i)
-                rows += [(int(lens[d]), int(n_hit[d]), own.get(d, []), [{"a": a, "b": b} for a, b in merge_spans(by.get(d, []))]) for d in range(len(texts))]
-            yield pd.DataFrame(rows, columns=HITS.names)
-
-    return found(F.col("text").cast("string"))
-
-
-def _united(n_words: pd.Series, spans: pd.Series, items: pd.Series) -> pd.DataFrame:
-    rows = []
-    for n, s, i in zip(n_words, spans, items):
-        both = merge_spans([(x["a"], x["b"]) for x in s])
-        rows.append((n, sum(b - a for a, b in both), sorted(set(i)), [{"a": a, "b": b} for a, b in both]))
-    return pd.DataFrame(rows, columns=HITS.names)
-
-
-def slices(benchmark: DataFrame, width: int, slice_bytes: int) -> list[Windows]:
-    """The benchmark's windows, in slices that each hold about ``slice_bytes`` of text."""
-    rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string"))
+def hits_kernel(windows: Windows, every: bool):
+    """A row for each document, or for those with hits."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                shard = Shard(batch, i)
+                hit, spans, items = hits(shard, windows)
+                rows = np.arange(len(hit)) if every else np.flatnonzero(hit)
+                listed = [sorted(items.get(d, ())) for d in rows.tolist()]
+                marked = [[{"a": a, "b": b} for a, b in spans.get(d, ())] for d in rows.tolist()]
+                yield from emit(HITS, [np.full(len(rows), shard.shard), rows.astype(np.int32), shard.doc_ids.take(pa.array(rows)), shard.text_hashes[rows], np.diff(shard.starts)[rows], hit[rows], listed, marked])
+
+    return run
+
+
+def united_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        spans = [merge_spans([(x["a"], x["b"]) for x in s]) for s in batch.column(batch.schema.get_field_index("spans")).to_pylist()]
+        items = [sorted(set(x)) for x in batch.column(batch.schema.get_field_index("items")).to_pylist()]
+        get = lambda name: batch.column(batch.schema.get_field_index(name))
+        yield pa.RecordBatch.from_arrays([get("shard"), get("row"), get("doc_id"), get("text_hash"), get("n_words"), pa.array([sum(b - a for a, b in s) for s in spans], pa.int64()), pa.array(items, pa.list_(pa.int64())), pa.array([[{"a": a, "b": b} for a, b in s] for s in spans], pa.list_(SPAN))], schema=HITS)
+
+
+def slices(benchmark: DataFrame, width: int, slice_bytes: int) -> Iterator[Windows]:
+    """The benchmark's windows, in slices that each hold about ``slice_bytes`` of text; one is read at a time."""
+    rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("text is not null")
     size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     n = max(1, -(-int(size) // slice_bytes))
-    part = rows.withColumn("part", F.pmod(F.xxhash64("text"), F.lit(n)))
-    return [Windows([(r["item_id"], r["text"]) for r in part.where(F.col("part") == i).collect()], width) for i in range(n)]
+    part = rows.withColumn("part", F.pmod(F.xxhash64("item_id", "text"), F.lit(n)))
+    for i in range(n):
+        yield Windows.of([(r["item_id"], r["text"]) for r in part.where(F.col("part") == i).collect()], width)
 
 
-def with_hits(documents: DataFrame, benchmark: DataFrame, name: str = "__hits", width: int = WINDOW, slice_bytes: int = SLICE_BYTES) -> DataFrame:
-    """``documents`` with a struct of n_words, n_hit, items and merged hit spans; one pass for each slice of the benchmark."""
-    found = [documents.withColumn(name, hit_udf(w)) for w in slices(benchmark, width, slice_bytes)]
-    if len(found) == 1:
-        return found[0]
-    rows = found[0]
-    for more in found[1:]:
-        rows = rows.union(more)
-    grouped = rows.groupBy(*documents.columns).agg(F.count("*").alias("__n"), F.max(f"{name}.n_words").alias("__w"), F.flatten(F.collect_list(f"{name}.spans")).alias("__s"), F.flatten(F.collect_list(f"{name}.items")).alias("__i"))
-    times = F.explode(F.sequence(F.lit(1), (F.col("__n") / len(found)).cast("int")))
-    return grouped.withColumn("__t", times).select(*documents.columns, F.pandas_udf(_united, HITS_SQL)("__w", "__s", "__i").alias(name))
+def document_hits(index: DataFrame, benchmark: DataFrame, width: int = WINDOW, slice_bytes: int = SLICE_BYTES) -> DataFrame:
+    """shard, row, doc_id, text_hash, n_words, n_hit, items and merged hit spans of every indexed document."""
+    parts = slices(benchmark, width, slice_bytes)
+    first = next(parts)
+    found = index.mapInArrow(hits_kernel(first, True), HITS_SQL)
+    # of later slices only the documents with hits
+    more = [index.mapInArrow(hits_kernel(w, False), HITS_SQL) for w in parts]
+    if not more:
+        return found
+    for x in more:
+        found = found.union(x)
+    key = ["shard", "row"]
+    whole = found.groupBy(*key).agg(*[F.first(c).alias(c) for c in ("doc_id", "text_hash", "n_words")], F.lit(0).cast("long").alias("n_hit"), F.flatten(F.collect_list("items")).alias("items"), F.flatten(F.collect_list("spans")).alias("spans"))
+    return whole.mapInArrow(united_kernel, HITS_SQL)
 
 
-def contaminated(hit: Column) -> Column:
-    return (hit["n_hit"] > 0) & (SHARE * hit["n_hit"] >= hit["n_words"])
+def contaminated(n_hit: Column, n_words: Column) -> Column:
+    return (n_hit > 0) & (SHARE * n_hit >= n_words)
 
 
 def clean(documents: DataFrame, benchmark: DataFrame, **settings) -> DataFrame:
-    """``documents`` without the contaminated ones, with their own columns."""
-    return with_hits(documents, benchmark, **settings).where(~contaminated(F.col("__hits"))).select(documents.columns)
+    """``documents`` without the contaminated ones, with their own columns.
 
+    Rows whose hash the contaminated ones' sieve lacks pass at once; the others are joined with them by doc_id and text hash.
+    """
+    bad = document_hits(build_index(documents), benchmark, **settings).where(contaminated(F.col("n_hit"), F.col("n_words")))
+    bad = written(bad.select(F.col("doc_id").alias("__d"), F.col("text_hash").alias("__t")).distinct())
+    table = sieve_of(bad, "__t")
 
-POSTINGS = pa.schema([("term", pa.string()), ("doc_id", pa.int64()), ("positions", pa.list_(pa.int32())), ("text_hash", pa.int64())])
+    @F.pandas_udf("boolean")
+    def maybe(hashes: pd.Series) -> pd.Series:
+        return pd.Series(in_sieve(table, hashes.to_numpy()))
 
+    marked = documents.withColumn("__h", F.xxhash64(F.col("text").cast("string"))).withColumn("__maybe", maybe("__h"))
+    held = marked.where("__maybe").join(bad, F.col("doc_id").cast("long").eqNullSafe(F.col("__d")) & (F.col("__h") == F.col("__t")), "left_anti")
+    return marked.where(~F.col("__maybe")).select(documents.columns).union(held.select(documents.columns))
 
-def token_postings(documents: DataFrame) -> DataFrame:
-    """(term, doc_id, positions, text_hash): the index as a table; write it partitioned or bucketed by term. The hash tells rows with one doc_id apart."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids = batch.column(batch.schema.get_field_index("doc_id")).to_pylist()
-            text_hash = batch.column(batch.schema.get_field_index("text_hash")).to_numpy(zero_copy_only=False)
-            for at, texts in text_chunks(batch):
-                t = Tokens(texts, alnum_words)
-                if not len(t.codes):
-                    continue
-                order = np.lexsort((t.pos, t.codes, t.docs))
-                code, doc, pos = t.codes[order], t.docs[order], t.pos[order].astype(np.int32)
-                new = np.append(np.flatnonzero(np.append(True, (code[1:] != code[:-1]) | (doc[1:] != doc[:-1]))), len(code))
-                names = pa.array([t.vocabulary[c].decode("utf-8", "replace") for c in code[new[:-1]]], pa.string())
-                lists = pa.ListArray.from_arrays(pa.array(new, pa.int32()), pa.array(pos))
-                yield from emit(POSTINGS, [names, pa.array([ids[at + d] for d in doc[new[:-1]]], pa.int64()), lists, text_hash[at + doc[new[:-1]]]])
-
-    return documents.select("doc_id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(run, "term string, doc_id long, positions array<int>, text_hash long")
-
-
-def _terms(index: DataFrame, queries: DataFrame) -> DataFrame:
-    """(query_id, term, offset, df, rank): a query's words, the rarest first."""
-    words = queries.select("query_id", F.posexplode("words").alias("offset", "term"))
-    df = index.join(words.select("term").distinct(), "term", "left_semi").groupBy("term").agg(F.count("*").alias("df"))
-    by = Window.partitionBy("query_id").orderBy("df", "offset")
-    return words.join(df, "term", "left").fillna({"df": 0}).withColumn("rank", F.row_number().over(by))
-
-
-def phrase_matches(index: DataFrame, queries: DataFrame) -> DataFrame:
-    """(query_id, doc_id, start) where a query's ``words`` stand consecutively.
-
-    The rarest word's postings give candidate starts; the other words' shifted
-    starts are intersected with them by counting, for candidates alone.
+def search(index: DataFrame, queries: DataFrame, within: int | None = None) -> DataFrame:
+    """(query_id, doc_id, start): where a query's ``words`` stand consecutively, or with ``within`` the places of its rarest word in the shard
+    with every other word at most so many words away. Words are taken as documents' words are; a query without words finds nothing.
+
+    Queries are few against the index; they reach the shards in slices of SLICE_BYTES.
     """
-    terms = _terms(index, queries)
-    length = terms.groupBy("query_id").agg(F.count("*").alias("n"))
-    at = ["query_id", "doc_id", "text_hash", "start"]
-    starts = lambda t: index.join(t, "term").withColumn("p", F.explode("positions")).withColumn("start", F.col("p") - F.col("offset")).select(*at, "offset")
-    candidates = starts(terms.where("rank = 1"))
-    rest = starts(terms.where("rank > 1")).join(candidates, at, "left_semi")
-    # equal rows of one doc_id repeat postings, so offsets are counted, not rows
-    counted = candidates.union(rest).groupBy(*at).agg(F.count_distinct("offset").alias("m"))
-    return counted.join(length, "query_id").where("m = n").select("query_id", "doc_id", "start").distinct()
-
-
-def proximity_matches(index: DataFrame, queries: DataFrame, within: int) -> DataFrame:
-    """(query_id, doc_id, start): places of a query's rarest word with every other word at most ``within`` words away."""
-    terms = _terms(index, queries).dropDuplicates(["query_id", "term"])
-    length = terms.groupBy("query_id").agg(F.count("*").alias("n"))
-    pivot = terms.groupBy("query_id").agg(F.min_by("term", "rank").alias("term"))
-    places = index.join(pivot, "term").select("query_id", "doc_id", "text_hash", F.explode("positions").alias("start"))
-    lists = index.join(terms.select("query_id", "term"), "term").select("query_id", "doc_id", "text_hash", "term", "positions")
-    near = places.join(lists, ["query_id", "doc_id", "text_hash"]).where(F.exists("positions", lambda p: F.abs(p - F.col("start")) <= within))
-    counted = near.groupBy("query_id", "doc_id", "text_hash", "start").agg(F.count_distinct("term").alias("m"))
-    return counted.join(length, "query_id").where("m = n").select("query_id", "doc_id", "start").distinct()
+    rows = queries.select(F.col("query_id").cast("long"), F.array_join("words", " ").alias("text"))
+    n = max(1, -(-int(rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // SLICE_BYTES))
+    out = None
+    for i in range(n):
+        asked = [(r["query_id"], Words([r["text"].encode()], ALNUM).hashes) for r in rows.where(F.pmod(F.xxhash64("query_id"), F.lit(n)) == i).collect()]
+
+        def run(batches: Iterator[pa.RecordBatch], asked=asked) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for j in range(batch.num_rows):
+                    shard = Shard(batch, j)
+                    for query, terms in asked:
+                        row = shard.numbers(terms if within is None else np.unique(terms))
+                        if not len(row) or (row < 0).any():
+                            continue
+                        at = shard.phrase(row) if within is None else shard.proximity(row, within)
+                        d = shard.document(at)
+                        yield from emit(FOUND, [np.full(len(at), query), shard.doc_ids.take(pa.array(d, pa.int64())), at - shard.starts[d]])
+
+        found = index.mapInArrow(run, "query_id long, doc_id long, start long")
+        out = found if out is None else out.union(found)
+    return out.distinct()
 
 
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    documents = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    found = with_hits(documents, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select("doc_id", F.col("__hits").alias("h"))
-    listed = F.array_join(F.array_sort(F.transform("h.items", lambda i: i.cast("string"))), ",")
-    return found.select("doc_id", "h.n_words", "h.n_hit", F.size("h.items").cast("long").alias("n_items"), F.sha2(listed, 256).alias("items_sha256"), contaminated(F.col("h")).alias("contaminated"))
+    index = build_index(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    found = document_hits(index, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+    listed = F.array_join(F.array_sort(F.transform("items", lambda i: i.cast("string"))), ",")
+    return found.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(listed, 256).alias("items_sha256"), contaminated(F.col("n_hit"), F.col("n_words")).alias("contaminated"))

@@ -173,7 +173,10 @@ def test_decontamination_is_the_brute_force(spark, edge):
             windows.setdefault(tuple(x[a : a + 13]), set()).add(i)
     bench = spark.createDataFrame(items, "item_id long, text string")
     for size in (16 << 20, 200):  # one slice, several slices
-        got = {r["doc_id"]: r["__hits"] for r in decontaminate.with_hits(table(spark, [(i, t, "s") for i, t in docs]), bench, slice_bytes=size).collect()}
+        index = decontaminate.build_index(table(spark, [(i, t, "s") for i, t in docs]))
+        got = {r["doc_id"]: r for r in decontaminate.document_hits(index, bench, slice_bytes=size).collect()}
+        bad = {i for i, r in got.items() if r["n_hit"] and 20 * r["n_hit"] >= r["n_words"]}
+        assert bad and {r["doc_id"] for r in decontaminate.clean(table(spark, [(i, t, "s") for i, t in docs]), bench, slice_bytes=size).collect()} == set(got) - bad
         for i, t in docs:
             x, hit, found = words(t), set(), set()
             for w, who in windows.items():
@@ -185,29 +188,50 @@ def test_decontamination_is_the_brute_force(spark, edge):
             assert sum(s["b"] - s["a"] for s in got[i]["spans"]) == len(hit)
 
 
+def test_decontamination_query_is_the_brute_force(spark, tmp_path):
+    rng = random.Random(21)
+    fresh = lambda n: [f"t{rng.randrange(60)}" for _ in range(n)]
+    items = [(i, " ".join(fresh(n))) for i, n in ((11, 30), (2, 14), (30, 13), (4, 6), (None, 20))] + [(5, None), (6, "")]
+    docs = [(i, " ".join(fresh(20) + items[i % 5][1].split()[: rng.randrange(5, 31)] + fresh(rng.randrange(400)))) for i in range(50)] + [(60, None), (61, ""), (7, "t1"), (None, items[0][1])]
+    table(spark, [(i, t, "s") for i, t in docs]).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(items, "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    want = []
+    for i, t in docs:
+        x, hit, found = words(t), set(), set()
+        for item, b in items:
+            y = words(b)
+            for a in range(max(1, len(y) - 12) if y else 0):
+                w = y[a : a + 13]
+                for p in range(len(x) - len(w) + 1):
+                    if x[p : p + len(w)] == w:
+                        hit.update(range(p, p + len(w)))
+                        found |= {item} - {None}
+        want.append((i, len(x), len(hit), len(found), hashlib.sha256(",".join(sorted(map(str, found))).encode()).hexdigest(), bool(hit) and 20 * len(hit) >= len(x)))
+    got = [tuple(r) for r in decontaminate.op8_decontaminate(spark, str(tmp_path)).select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated").collect()]
+    assert sorted(got, key=str) == sorted(want, key=str) and any(w[-1] for w in want) and not all(w[-1] for w in want)
+
+
 def test_decontamination_edges(spark, edge, empty):
     bench = spark.createDataFrame([(1, "w1 w2")], "item_id long, text string")
-    assert decontaminate.with_hits(edge, bench).count() == edge.count()
-    assert decontaminate.clean(empty, bench).count() == 0
+    assert decontaminate.document_hits(decontaminate.build_index(edge), bench).count() == edge.count()
+    assert decontaminate.clean(empty, bench).count() == 0 and decontaminate.clean(edge, bench).columns == edge.columns
     assert decontaminate.clean(edge, bench.where("false")).count() == edge.count()
 
 
-def test_phrase_and_proximity_search(spark):
-    docs = table(spark, [(1, "the red fox and the dog", "s"), (2, "red the fox", "s"), (3, "the red fox the red fox", "s")])
-    index = decontaminate.token_postings(docs)
-    ask = spark.createDataFrame([(7, ["the", "red", "fox"])], "query_id long, words array<string>")
-    got = sorted((r["doc_id"], r["start"]) for r in decontaminate.phrase_matches(index, ask).collect())
-    assert got == [(1, 0), (3, 0), (3, 3)]
-    near = {r["doc_id"] for r in decontaminate.proximity_matches(index, ask, 2).collect()}
-    assert near == {1, 2, 3}
+def test_clean_tells_rows_of_one_id_apart(spark):
+    docs = table(spark, [(1, "a b c", "s"), (1, "x y z", "s"), (None, "a b c", "s"), (None, "q", "s"), (2, None, "s"), (1, "a b c", "s")])
+    bench = spark.createDataFrame([(1, "A b, C")], "item_id long, text string")
+    assert sorted((str(r["doc_id"]), str(r["text"])) for r in decontaminate.clean(docs, bench).collect()) == [("1", "x y z"), ("2", "None"), ("None", "q")]
 
 
-def test_phrase_and_proximity_search_of_repeated_rows(spark):
-    docs = table(spark, [(1, "the red fox", "s"), (1, "the red fox", "s"), (2, "a red fox", "s"), (2, "the", "s")])
-    index = decontaminate.token_postings(docs)
-    ask = spark.createDataFrame([(7, ["the", "red", "fox"])], "query_id long, words array<string>")
-    assert [(r["doc_id"], r["start"]) for r in decontaminate.phrase_matches(index, ask).collect()] == [(1, 0)]
-    assert {r["doc_id"] for r in decontaminate.proximity_matches(index, ask, 2).collect()} == {1}
+def test_phrase_and_proximity_search(spark):
+    rows = [(1, "the red fox and the dog"), (2, "red the fox"), (3, "the red fox the red fox"), (1, "the red fox and the dog"), (4, "the red"), (5, "fox"), (6, None), (7, "red a b c d the e f fox")]
+    index = decontaminate.build_index(table(spark, [(i, t, "s") for i, t in rows]))
+    ask = spark.createDataFrame([(7, ["the", "red", "fox"]), (8, ["fox", "the"]), (9, [])], "query_id long, words array<string>")
+    got = sorted(map(tuple, decontaminate.search(index, ask).collect()))
+    assert got == [(7, 1, 0), (7, 3, 0), (7, 3, 3), (8, 3, 2)]
+    near = {(r["query_id"], r["doc_id"]) for r in decontaminate.search(index, ask, 2).collect()}
+    assert near == {(7, 1), (7, 2), (7, 3), (8, 1), (8, 2), (8, 3)}
 
 
 # --- mixing ---
@@ -471,7 +495,7 @@ def test_passage_edges(edge, empty):
 def test_cross_entropy_difference_is_the_formula(spark, edge, empty):
     docs = table(spark, [(1, "a b a b", "s"), (2, "c d", "s"), (3, None, "s")])
     target = spark.createDataFrame([(1,), (1,), (None,), (77,)], "doc_id long")
-    got = {r["doc_id"]: r for r in lm_score.score(docs, *lm_score.models(docs, target)).collect()}
+    got = {r["doc_id"]: r for r in lm_score.score(docs, target).collect()}
     a, b, c = lm_score.MIXTURE
     p = lambda two, one: a * two + b * one + c / lm_score.UNIGRAMS
     back = [p(1 / 2, 2 / 6), p(1, 2 / 6), p(1, 2 / 6), p(1, 2 / 6)]
@@ -480,8 +504,43 @@ def test_cross_entropy_difference_is_the_formula(spark, edge, empty):
     assert got[1]["background_loss"] == pytest.approx(-np.mean(np.log(back)), abs=1e-3)
     assert got[1]["target_loss"] == pytest.approx(-np.mean(np.log(near)), abs=1e-3)
     assert got[1]["score"] < 0 < got[2]["score"] and got[3]["score"] == 0 and got[3]["n_tokens"] == 0
-    assert lm_score.score(edge, *lm_score.models(edge, target.where("false"))).count() == edge.count()
-    assert lm_score.score(empty, *lm_score.models(empty, target)).count() == 0
+    assert lm_score.score(edge, target.where("false")).count() == edge.count()
+    assert lm_score.score(empty, target).count() == 0
+
+
+def brute_scores(rows, good):
+    """The two mean losses of each row, from plain dictionaries."""
+    counts = [(Counter(), Counter(), Counter()) for _ in range(2)]
+    for i, t in rows:
+        x = words(t)
+        for two, one, seen in counts[: 1 + (i in good)]:
+            two.update(zip([""] + x, x))
+            one.update(x)
+            seen.update(([""] + x)[:-1])
+    a, b, c = lm_score.MIXTURE
+
+    def loss(m, u, w):
+        two, one, seen = counts[m]
+        uni = one[w] / one.total() if one.total() else 1 / lm_score.UNIGRAMS
+        return -np.log(a * (two[u, w] / seen[u] if seen[u] else uni) + b * uni + c / lm_score.UNIGRAMS)
+
+    return [(i, len(x), *(float(np.mean([loss(m, u, w) for u, w in zip([""] + x, x)])) if x else 0.0 for m in (1, 0))) for i, x in ((i, words(t)) for i, t in rows)]
+
+
+def test_lm_scores_are_the_brute_force_over_many_chunks_and_buckets(spark, monkeypatch):
+    rng = random.Random(12)
+    rows = [(i, " ".join(f"w{int(rng.paretovariate(0.7)) % 500}" for _ in range(rng.randrange(0, 60)))) for i in range(300)] + [(7, "w1 w2"), (7, "w1 w2"), (900, None)]
+    good = set(range(0, 300, 7))
+    monkeypatch.setattr(lm_score, "BUCKET_BYTES", 4000)
+    monkeypatch.setattr(lm_score, "LEAST_CHUNK", 900)
+    monkeypatch.setattr(lm_score, "CHUNK_SHARE", 10)
+    marks = spark.createDataFrame([(i,) for i in good], "doc_id long")
+    want = sorted(brute_scores(rows, good))
+    docs = table(spark, [(i, t, "s") for i, t in rows])
+    got = sorted(map(tuple, lm_score.score(docs.repartition(5), marks).select("doc_id", "n_tokens", "target_loss", "background_loss").collect()))
+    assert [g[:2] for g in got] == [w[:2] for w in want] and np.allclose([g[2:] for g in got], [w[2:] for w in want])
+    some = sorted(map(tuple, lm_score.score(docs, marks, docs.where("doc_id < 50")).select("doc_id", "n_tokens", "target_loss", "background_loss").collect()))
+    assert np.allclose(some, [w for w in want if w[0] < 50])
 
 
 def test_bigram_counts_stay_exact_beyond_any_table(spark):
@@ -491,8 +550,7 @@ def test_bigram_counts_stay_exact_beyond_any_table(spark):
     total, (a, b, c) = n * each, lm_score.MIXTURE
     p = lambda two: a * two + b / total + c / lm_score.UNIGRAMS
     want = -(np.log(p(1 / n)) + (each - 1) * np.log(p(1))) / each
-    background, target = lm_score.models(docs, docs.where("doc_id < 3").select("doc_id"))
-    got = lm_score.score(docs.where("doc_id >= 297"), background, target).collect()
+    got = lm_score.score(docs, docs.where("doc_id < 3").select("doc_id"), docs.where("doc_id >= 297")).collect()
     assert len(got) == 3 and all(r["n_tokens"] == each for r in got)
     assert [r["background_loss"] for r in got] == pytest.approx([want] * 3, rel=1e-9)
     unseen = -np.log(c / lm_score.UNIGRAMS)
