@@ -28,5 +28,7 @@ def training_labels(labels: DataFrame, column: str, folds: int, held_out: int) -
 
 
 def texts_of(documents: DataFrame, sample: DataFrame) -> DataFrame:
-    """The sample with its texts; it is broadcast, being SAMPLE_ROWS rows at most."""
-    return documents.select("doc_id", F.col("text").cast("string")).join(F.broadcast(sample), "doc_id")
+    """The sample with its texts, one for each row of it however often a doc_id is repeated: the least. The sample is broadcast, being SAMPLE_ROWS rows a class at most."""
+    own = [c for c in sample.columns if c != "doc_id"]
+    found = documents.select("doc_id", F.col("text").cast("string")).join(F.broadcast(sample), "doc_id")
+    return found.groupBy("doc_id", *own).agg(F.min("text").alias("text"))

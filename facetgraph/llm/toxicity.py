@@ -4,8 +4,8 @@ Terms are a document's distinct words, their first letters, and first letters se
 adds a weight for each term and, for each pair of terms, the product of their
 factors: a term that is harmless alone can count beside another, which additive
 weights cannot say. It is fitted on the driver from a bounded sample of labelled
-rows (``labelled.SAMPLE_ROWS``) over the TERMS terms that tell the classes apart
-best, and scores every text whole, in Arrow batches and without a shuffle.
+rows (``labelled.SAMPLE_ROWS``) over all hashed terms that at least SEEN of them hold, whatever
+their classes, so that terms which tell something only in pairs take part. It scores every text whole, in Arrow batches and without a shuffle.
 
 Rows. Null and empty texts get the score of a text without terms. Without labels of both classes every
 score is the share of toxic labels (0 if there are none). Rows without doc_id are scored too (held_out null).
@@ -27,10 +27,12 @@ from pyspark.sql import functions as F
 from facetgraph.llm.labelled import fold, sample_ids, texts_of, training_labels
 from facetgraph.llm.textkit import Tokens, alnum_words, text_chunks
 
-BUCKETS, TERMS, FACTORS, STEM = 1 << 18, 2048, 8, 4
+BUCKETS, SEEN, FACTORS, STEM = 1 << 18, 3, 8, 4
 #: A stem that occurs so often is a further term.
 REPEATS = (2, 4)
-EPOCHS, BATCH, RATE, DECAY, SEED = 20, 128, 0.03, 2e-4, 11
+EPOCHS, BATCH, RATE, DECAY, SEED = 9, 128, 0.025, 2e-4, 11
+#: Terms that count in full for telling the classes apart alone, and how fast the others count less.
+TELLING, SHARP = 1024, 4
 FOLDS, HELD_OUT, CUT = 3, 1, 0.7
 
 
@@ -64,8 +66,12 @@ class Machine:
         return out
 
 
-def best_terms(docs: list[np.ndarray], y: np.ndarray) -> np.ndarray:
-    """Buckets with the largest two-class chi-square of document counts."""
+def term_scales(docs: list[np.ndarray], y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets that at least SEEN documents hold, and how far each counts, up to 1.
+
+    A term counts by how well it tells the classes apart alone (the two-class chi statistic, against that of the TELLING-th best), or by
+    how many documents hold it, whichever is more: a rare term without a class of its own can hardly be learnt, a frequent one may matter beside others.
+    """
     count = np.zeros((2, BUCKETS))
     for label in (0, 1):
         chosen = [d for d, z in zip(docs, y) if z == label]
@@ -74,45 +80,57 @@ def best_terms(docs: list[np.ndarray], y: np.ndarray) -> np.ndarray:
     n = np.array([(y == 0).sum(), (y == 1).sum()], float)
     seen, rate = count.sum(0), (count + 0.5) / (n + 1)[:, None]
     spread = np.abs(rate[1] - rate[0]) / np.sqrt((seen + 1) / (n.sum() + 2) * (1 / max(n[0], 1) + 1 / max(n[1], 1)))
-    spread[seen < 2] = 0
-    best = np.argsort(-spread, kind="stable")[:TERMS]
-    return best[spread[best] > 0]
+    terms = np.flatnonzero(seen >= SEEN)
+    best = np.sort(spread[terms])[::-1]
+    bar = best[min(TELLING, len(best)) - 1] if len(best) else 1.0
+    return terms, np.maximum(np.minimum(1, (spread[terms] / bar) ** SHARP), np.sqrt(seen[terms] / n.sum()))
+
+
+def summed(values: np.ndarray, group: np.ndarray, n: int) -> np.ndarray:
+    """Rows of ``values`` summed by group."""
+    return np.stack([np.bincount(group, weights=values[:, f], minlength=n) for f in range(values.shape[1])], axis=1)
 
 
-def fit(docs: list[np.ndarray], y: np.ndarray) -> Machine:
-    """docs[i]: hashed terms of document i; y: 0 or 1. Adam on the logistic loss."""
+def fit(docs: list[np.ndarray], y: np.ndarray, epochs: int = EPOCHS) -> Machine:
+    """docs[i]: hashed terms of document i; y: 0 or 1. Adam on the logistic loss; a step moves the terms of its batch alone."""
     place = np.full(BUCKETS, -1, np.int32)
     share = float(y.mean()) if len(y) else 0.0
     if not 0 < share < 1:
         return Machine(place, -40.0 if share == 0 else 40.0, np.zeros(1), np.zeros((1, 1)))
-    chosen = best_terms(docs, y)
+    chosen, scale = term_scales(docs, y)
     place[chosen] = np.arange(len(chosen), dtype=np.int32)
     rows = [p[p >= 0] for p in (place[d] for d in docs)]
     rng = np.random.default_rng(SEED)
     k = len(chosen)
-    params = [np.array([np.log(share / (1 - share))]), np.zeros(k), rng.normal(0, 0.01, (k, FACTORS))]
-    m, s, step = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params], 0
-    for _ in range(EPOCHS):
+    bias = np.array([np.log(share / (1 - share))])
+    # the weight and the factors of a term side by side
+    both = np.concatenate([np.zeros((k, 1)), rng.normal(0, 0.01, (k, FACTORS))], axis=1)
+    m, s, m0, s0, step = np.zeros_like(both), np.zeros_like(both), 0.0, 0.0, 0
+    for _ in range(epochs):
         order = rng.permutation(len(rows))
         for a in range(0, len(order), BATCH):
             pick = order[a : a + BATCH]
             lens = np.fromiter((len(rows[i]) for i in pick), np.int64, len(pick))
             doc, term = np.repeat(np.arange(len(pick)), lens), np.concatenate([rows[i] for i in pick])
-            v = params[2][term]
-            total = np.zeros((len(pick), FACTORS))
-            np.add.at(total, doc, v)
+            used, own = np.unique(term, return_inverse=True)
+            x = scale[used][:, None]
+            now = both[used]
+            mine = (now * x)[own]
+            v = mine[:, 1:]
+            total = summed(v, doc, len(pick))
             squares = np.bincount(doc, weights=(v * v).sum(1), minlength=len(pick))
-            z = params[0][0] + np.bincount(doc, weights=params[1][term], minlength=len(pick)) + 0.5 * ((total**2).sum(1) - squares)
+            z = bias[0] + np.bincount(doc, weights=mine[:, 0], minlength=len(pick)) + 0.5 * ((total**2).sum(1) - squares)
             g = (1 / (1 + np.exp(-np.clip(z, -40, 40))) - y[pick]) / len(pick)
-            gw = np.bincount(term, weights=g[doc], minlength=k) + DECAY * params[1]
-            gv = DECAY * params[2]
-            np.add.at(gv := gv.copy(), term, g[doc][:, None] * (total[doc] - v))
+            grad = x * summed(np.concatenate([g[doc][:, None], g[doc][:, None] * (total[doc] - v)], axis=1), own, len(used)) + DECAY * now
             step += 1
-            for j, grad in enumerate((np.array([g.sum()]), gw, gv)):
-                m[j] = 0.9 * m[j] + 0.1 * grad
-                s[j] = 0.999 * s[j] + 0.001 * grad**2
-                params[j] -= RATE * (m[j] / (1 - 0.9**step)) / (np.sqrt(s[j] / (1 - 0.999**step)) + 1e-8)
-    return Machine(place, float(params[0][0]), params[1], params[2])
+            m[used], s[used] = 0.9 * m[used] + 0.1 * grad, 0.999 * s[used] + 0.001 * grad**2
+            both[used] -= RATE * (m[used] / (1 - 0.9**step)) / (np.sqrt(s[used] / (1 - 0.999**step)) + 1e-8)
+            m0, s0 = 0.9 * m0 + 0.1 * g.sum(), 0.999 * s0 + 0.001 * g.sum() ** 2
+            bias -= RATE * (m0 / (1 - 0.9**step)) / (np.sqrt(s0 / (1 - 0.999**step)) + 1e-8)
+    both *= scale[:, None]
+    if not k:
+        both = np.zeros((1, 1 + FACTORS))
+    return Machine(place, float(bias[0]), both[:, 0].copy(), both[:, 1:].copy())
 
 
 def terms_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

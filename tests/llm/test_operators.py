@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from facetgraph.llm import decontaminate, labelled, licenses, lm_score, mixing, ngram_join, quality, sharding, substring_dedup, syncmers, toxicity
 from facetgraph.llm.graph import components
-from facetgraph.llm.textkit import Tokens, sieve_kernel, sieve_of
+from facetgraph.llm.textkit import ALNUM, BLANK, Tokens, Words, alnum_words, blank_words, sieve_kernel, sieve_of
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, size long, shard int, h long, label int, leader long, seed long"
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -304,6 +304,29 @@ def test_factorization_machine_learns_a_pair_that_no_weight_can():
     assert ((z > 0) == (y[1000:] == 1)).mean() > 0.95
 
 
+def test_factorization_machine_learns_a_pair_amid_many_terms():
+    """Neither term of the pair tells anything alone, and 20,000 background terms are frequent enough to be kept."""
+    rng = np.random.default_rng(1)
+    docs, y = [], []
+    for _ in range(4000):
+        a, b = rng.integers(0, 2, 2)
+        docs.append(np.unique(np.concatenate([[10] * a, [20] * b, 1000 + rng.integers(0, 20_000, 30)])).astype(np.int32))
+        y.append(int(a == b))
+    y = np.array(y, float)
+    terms, scale = toxicity.term_scales(docs[:3000], y[:3000])
+    assert len(terms) > 10_000 and {10, 20} <= set(terms.tolist())
+    m = toxicity.fit(docs[:3000], y[:3000], 30)
+    held = docs[3000:]
+    z = m.logits(np.repeat(np.arange(len(held)), [len(d) for d in held]), np.concatenate(held), len(held))
+    assert ((z > 0) == (y[3000:] == 1)).mean() > 0.9
+
+
+def test_a_repeated_document_is_sampled_once(spark):
+    docs = table(spark, [(1, t, "s") for t in ("b", "a", "a")] + [(2, None, "s"), (3, "c", "s")])
+    sample = spark.createDataFrame([(1, 1), (2, 0)], "doc_id long, label int")
+    assert sorted(map(tuple, labelled.texts_of(docs, sample).select("doc_id", "label", "text").collect())) == [(1, 1, "a"), (2, 0, None)]
+
+
 def test_machine_formula():
     m = toxicity.Machine(np.array([0, 1, 2] + [-1] * (toxicity.BUCKETS - 3)), 0.5, np.array([1.0, 2.0, 3.0]), np.array([[1.0, 0.0], [2.0, 1.0], [0.0, 4.0]]))
     assert m.logits(np.array([0, 0, 0]), np.array([0, 1, 2]), 1)[0] == pytest.approx(0.5 + 6 + (1 * 2) + 0 + 1 * 4)
@@ -560,3 +583,19 @@ def test_bigram_counts_stay_exact_beyond_any_table(spark):
 def test_tokens_split_at_ascii_blanks_only():
     t = Tokens([b"A\x0bb\xc2\xa0c \x1cd", b"", b"x"])
     assert t.lens.tolist() == [3, 0, 1] and t.vocabulary[0] == b"a"
+
+
+def test_words_are_the_tokens_whatever_the_blocks(monkeypatch):
+    rng = random.Random(3)
+    texts = [" ".join(rng.choice(["Ab", "ab", "\xe9t\xe9", "x" * 40, "\x00y", "q-r", "\u212a"]) for _ in range(rng.randrange(40))).encode() for _ in range(60)]
+    for split, table_ in ((alnum_words, ALNUM), (blank_words, BLANK)):
+        want = Tokens(texts, split)
+        one = Words(texts, table_)
+        assert want.lens.tolist() == one.lens.tolist() and want.pos.tolist() == one.pos.tolist()
+        assert len(set(zip(want.hashes.tolist(), one.hashes.tolist()))) == len(set(want.hashes.tolist())) == len(set(one.hashes.tolist()))
+        monkeypatch.setattr(Words, "BLOCK", 50)
+        assert Words(texts, table_).hashes.tolist() == one.hashes.tolist()
+        monkeypatch.setattr(Words, "LONG", 30)
+        assert len(set(Words(texts, table_).hashes.tolist())) == len(set(one.hashes.tolist()))
+        monkeypatch.undo()
+    assert Words([], ALNUM).lens.tolist() == [] and Words([b"", b" "], ALNUM).lens.tolist() == [0, 0]
