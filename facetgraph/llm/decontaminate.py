@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.graph import written
-from facetgraph.llm.textkit import ALNUM, Words, emit, in_sieve, numbers, sieve_of, text_chunks
+from facetgraph.llm.textkit import ALNUM, Words, emit, in_sieve, numbers, pressed, sieve_of, text_chunks, unpressed
 
 WINDOW = 13
 #: A document is contaminated when SHARE times its hit words reach its words.
@@ -37,8 +37,9 @@ SHARE = 20
 #: Bytes of benchmark text whose windows travel to the executors at once.
 SLICE_BYTES = 16 << 20
 
-SHARD = pa.schema([("shard", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("text_hashes", pa.list_(pa.int64())), ("starts", pa.list_(pa.int32())), ("terms", pa.list_(pa.int64())), ("lists", pa.list_(pa.int32())), ("places", pa.list_(pa.int32()))])
-SHARD_SQL = "shard long, doc_ids array<long>, text_hashes array<long>, starts array<int>, terms array<long>, lists array<int>, places array<int>"
+#: ``postings``: packed arrays of the documents' first places, the sorted terms, where each term's list begins, and the lists.
+SHARD = pa.schema([("shard", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("text_hashes", pa.list_(pa.int64())), ("postings", pa.binary())])
+SHARD_SQL = "shard long, doc_ids array<long>, text_hashes array<long>, postings binary"
 SPAN = pa.struct([("a", pa.int64()), ("b", pa.int64())])
 HITS = pa.schema([("shard", pa.int64()), ("row", pa.int32()), ("doc_id", pa.int64()), ("text_hash", pa.int64()), ("n_words", pa.int64()), ("n_hit", pa.int64()), ("items", pa.list_(pa.int64())), ("spans", pa.list_(SPAN))])
 HITS_SQL = "shard long, row int, doc_id long, text_hash long, n_words long, n_hit long, items array<long>, spans array<struct<a:long,b:long>>"
@@ -52,7 +53,8 @@ def index_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             words, n = Words(texts, ALNUM), len(texts)
             places = np.argsort(words.hashes, kind="stable").astype(np.int32)
             terms, begin = np.unique(words.hashes[places], return_index=True)
-            rows = [[at], [ids.slice(at, n).to_pylist()], [hashes[at : at + n]], [words.starts], [terms.view(np.int64)], [np.append(begin, len(places))], [places]]
+            lists = np.append(begin, len(places)).astype(np.int32)
+            rows = [[at], [ids.slice(at, n).to_pylist()], [hashes[at : at + n]], [pressed(words.starts.astype(np.int32), terms, lists, places)]]
             yield pa.RecordBatch.from_arrays([pa.array(x, f.type) for x, f in zip(rows, SHARD)], schema=SHARD)
 
 
@@ -69,8 +71,8 @@ class Shard:
         get = lambda name: batch.column(batch.schema.get_field_index(name))[i].values
         self.shard = batch.column(batch.schema.get_field_index("shard"))[i].as_py()
         self.doc_ids, self.text_hashes = get("doc_ids"), np.asarray(get("text_hashes"))
-        self.starts = np.asarray(get("starts")).astype(np.int64)
-        self.terms, self.lists, self.places = np.asarray(get("terms")).view(np.uint64), np.asarray(get("lists")), np.asarray(get("places"))
+        starts, self.terms, lists, places = unpressed(batch.column(batch.schema.get_field_index("postings"))[i].as_py())
+        self.starts, self.lists, self.places = starts.astype(np.int64), lists.astype(np.int64), places.astype(np.int64)
 
     def numbers(self, terms: np.ndarray) -> np.ndarray:
         """The shard's numbers of terms, -1 for those that it lacks."""

@@ -31,14 +31,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.graph import settled, written
-from facetgraph.llm.textkit import ALNUM, Words, emit, mix, runs, sieve_kernel, sieve_of
+from facetgraph.llm.textkit import ALNUM, Words, emit, mix, pressed, runs, sieve_kernel, sieve_of, unpressed
 
 #: Words of the uniform estimate.
 UNIGRAMS = 1 << 18
 #: Weights of the bigram, unigram and uniform estimates.
 MIXTURE = (0.6, 0.39, 0.01)
 #: Text bytes whose n-grams one bucket sums; least and most text bytes of a chunk, and those it has for each bucket.
-BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 16 << 20, 2 << 20, 32 << 20, 4 << 10
+BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 8 << 20, 2 << 20, 32 << 20, 4 << 10
+#: Tasks that sum buckets or score chunks, at most; one holds its rows in memory, so there are as many as buckets up to this.
+MOST_TASKS = 16_384
 
 ASK = pa.schema([("bucket", pa.int32()), ("role", pa.int32()), ("chunk", pa.binary()), ("piece", pa.binary()), ("tokens", pa.int64())])
 ASK_SQL = "bucket int, role int, chunk binary, piece binary, tokens long"
@@ -50,25 +52,6 @@ SCORE = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("target_lo
 SCORE_SQL = "doc_id long, n_tokens long, target_loss double, background_loss double"
 
 
-def pressed(*columns: np.ndarray) -> bytes:
-    """Arrays of 64-bit numbers, byte plane by byte plane, compressed; sorted keys and small counts shrink most."""
-    out = []
-    for c in columns:
-        body = pa.compress(np.ascontiguousarray(c).view(np.uint8).reshape(-1, 8).T.tobytes(), "zstd", asbytes=True) if len(c) else b""
-        out += [len(c).to_bytes(4, "little"), len(body).to_bytes(4, "little"), body]
-    return b"".join(out)
-
-
-def unpressed(data: bytes) -> list[np.ndarray]:
-    out, at = [], 0
-    while at < len(data):
-        n, size = int.from_bytes(data[at : at + 4], "little"), int.from_bytes(data[at + 4 : at + 8], "little")
-        body = pa.decompress(data[at + 8 : at + 8 + size], n * 8, "zstd", asbytes=True) if n else b""
-        out.append(np.frombuffer(body, np.uint8).reshape(8, -1).T.copy().view(np.uint64).reshape(-1) if n else np.empty(0, np.uint64))
-        at += 8 + size
-    return out
-
-
 def chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[pa.Array, list[bytes]]]:
     """(doc_ids, texts) of consecutive rows, about ``most`` bytes of text each."""
     ids, texts, size = [], [], 0
@@ -145,11 +128,12 @@ def sum_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokens = bucket.column("tokens").to_numpy()
         sums = [int(tokens[role == BACKGROUND].sum()), int(tokens[role == TARGET].sum())]
         names, number = bucket.column("chunk").to_pylist(), bucket.column("bucket")[0].as_py()
-        rows: list[tuple] = [(None, number, None, *sums)]
-        for i in np.flatnonzero(role != TARGET):
-            own = place[ends[i] - sizes[i] : ends[i]]
-            rows.append((names[i], number, pressed(total[0][own], total[1][own]), 0, 0))
-        yield from emit(ANSWER, [list(c) for c in zip(*rows)], 512)
+        yield from emit(ANSWER, [[None], [number], [None], [sums[0]], [sums[1]]])
+        asked = np.flatnonzero(role != TARGET)
+        for some in np.array_split(asked, max(1, len(asked) // 64)):
+            own = [place[ends[i] - sizes[i] : ends[i]] for i in some]
+            zero = np.zeros(len(some), np.int64)
+            yield from emit(ANSWER, [[names[i] for i in some], np.full(len(some), number), [pressed(total[0][x], total[1][x]) for x in own], zero, zero])
 
 
 def text_kernel(most: int):
@@ -217,10 +201,11 @@ def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = N
     asks = documents.mapInArrow(ask_kernel(BACKGROUND, most, bits), ASK_SQL).union(good.mapInArrow(ask_kernel(TARGET, most, bits), ASK_SQL))
     if scored is not None:
         asks = asks.union(asked.mapInArrow(ask_kernel(UNCOUNTED, most, bits), ASK_SQL))
-    answers = written(asks.repartition("bucket").sortWithinPartitions("bucket").mapInArrow(sum_kernel, ANSWER_SQL))
+    tasks = min(MOST_TASKS, 1 << bits)
+    answers = written(asks.repartition(tasks, "bucket").sortWithinPartitions("bucket").mapInArrow(sum_kernel, ANSWER_SQL))
     sums = answers.where("chunk is null").agg(F.sum("tokens"), F.sum("target_tokens")).first()
     rows = asked.mapInArrow(text_kernel(most), ANSWER_SQL).union(answers.where("chunk is not null"))
-    found = rows.repartition("chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
+    found = rows.repartition(tasks, "chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
     return found.withColumn("score", F.col("target_loss") - F.col("background_loss"))
 
 

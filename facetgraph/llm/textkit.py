@@ -63,6 +63,8 @@ class Words:
     """
 
     BASE = 0x9E3779B97F4A7C15
+    #: Bytes whose sums are in memory at once; longer words than LONG are hashed by themselves.
+    BLOCK, LONG = 4 << 20, 1 << 20
     _up = _down = np.empty(0, np.uint64)
 
     def __init__(self, texts: list[bytes], table: bytes):
@@ -73,9 +75,19 @@ class Words:
         if inside[0]:
             edge = np.concatenate([[0], edge])
         first, last = edge[::2], edge[1::2]
-        up, down = self._powers(len(data))
-        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((data.astype(np.uint64) + np.uint64(1)) * down[: len(data)], dtype=np.uint64)])
-        self.hashes = mix((sums[last] - sums[first]) * up[first] + mix((last - first).astype(np.uint64)))
+        self.hashes = np.empty(len(first), np.uint64)
+        at = 0
+        while at < len(first):
+            base = int(first[at])
+            stop = max(at + 1, int(np.searchsorted(first, base + self.BLOCK)))
+            end = min(int(last[stop - 1]), base + self.BLOCK + self.LONG)
+            up, down = self._powers(end - base + 1)
+            sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((data[base:end].astype(np.uint64) + np.uint64(1)) * down[: end - base], dtype=np.uint64)])
+            x, y = first[at:stop] - base, np.minimum(last[at:stop], end) - base
+            self.hashes[at:stop] = mix((sums[y] - sums[x]) * up[x] + mix((last[at:stop] - first[at:stop]).astype(np.uint64)))
+            at = stop
+        for i in np.flatnonzero(last - first > self.LONG):
+            self.hashes[i] = xxhash.xxh3_64_intdigest(joined[first[i] : last[i]], 3)
         ends = np.cumsum(np.fromiter(map(len, texts), np.int64, len(texts)) + 1)
         self.starts = np.concatenate([[0], np.searchsorted(first, ends)]).astype(np.int64)
         self._place()
@@ -136,6 +148,27 @@ def signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 
 
+def pressed(*columns: np.ndarray) -> bytes:
+    """Arrays of numbers, each byte plane by byte plane and compressed; sorted keys and small counts shrink most."""
+    out = []
+    for c in columns:
+        width = c.dtype.itemsize
+        body = pa.compress(np.ascontiguousarray(c).view(np.uint8).reshape(-1, width).T.tobytes(), "zstd", asbytes=True) if len(c) else b""
+        out += [bytes([width]), len(c).to_bytes(4, "little"), len(body).to_bytes(4, "little"), body]
+    return b"".join(out)
+
+
+def unpressed(data: bytes) -> list[np.ndarray]:
+    """The arrays, as unsigned numbers of their widths."""
+    out, at = [], 0
+    while at < len(data):
+        width, n, size = data[at], int.from_bytes(data[at + 1 : at + 5], "little"), int.from_bytes(data[at + 5 : at + 9], "little")
+        body = pa.decompress(data[at + 9 : at + 9 + size], n * width, "zstd", asbytes=True) if n else b""
+        out.append(np.frombuffer(body, np.uint8).reshape(width, -1).T.copy().view(f"u{width}").reshape(-1) if n else np.empty(0, f"u{width}"))
+        at += 9 + size
+    return out
+
+
 def runs(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
     """Groups of a stream sorted by ``keys``: one table for each, only one in memory."""
     held: list[pa.RecordBatch] = []
