@@ -84,17 +84,20 @@ def positional_matches(left: DataFrame, right: DataFrame, least: int = 2) -> Dat
     return pairs.groupBy("doc_id", "other_id", (F.col("other_at") - F.col("at")).alias("shift")).agg(F.count("*").alias("matches")).where(F.col("matches") >= least)
 
 
-def with_next(documents: DataFrame, columns: list[str]) -> DataFrame:
+def with_next(documents: DataFrame, columns: list[str], ids: DataFrame | None = None) -> DataFrame:
     """doc_id and ``columns``, and of each column next_<column>: its value in the row of the next doc_id.
 
+    ``ids``: the same rows' doc_ids, from which alone the ranges are found, so that costly columns are computed once.
+
     Rows go to id ranges of about RANGE_ROWS rows; each range also receives the first row of the range after it, so that
     every row meets its successor inside one range and no range is more than a share of the table.
     """
     spark = documents.sparkSession
     rows = documents.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LOWEST)).alias("__key"), "doc_id", *columns)
-    n = rows.count()
+    keys = (documents if ids is None else ids).select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LOWEST)).alias("__key"))
+    n = keys.count()
     ranges = min(MAX_RANGES, max(64, n // RANGE_ROWS))
-    bounds = rows.select("__key").agg(F.percentile_approx("__key", [i / ranges for i in range(1, ranges)], 100_000)).first()[0] or [0]
+    bounds = keys.agg(F.percentile_approx("__key", [i / ranges for i in range(1, ranges)], 100_000)).first()[0] or [0]
     bounds = sorted(set(bounds))
     edges, steps = F.lit(bounds), len(bounds).bit_length() + 1
     half = F.lit(2).cast("int")
@@ -104,7 +107,7 @@ def with_next(documents: DataFrame, columns: list[str]) -> DataFrame:
         lambda s, _: F.when(s["lo"] >= s["hi"], s).when(F.get(edges, ((s["lo"] + s["hi"]) / half).cast("int")) <= F.col("__key"), F.struct((((s["lo"] + s["hi"]) / half).cast("int") + 1).alias("lo"), s["hi"].alias("hi"))).otherwise(F.struct(s["lo"].alias("lo"), ((s["lo"] + s["hi"]) / half).cast("int").alias("hi"))),
     )
     ranged = barrier(rows, "__range", found["lo"])
-    firsts = ranged.groupBy("__range").agg(F.min("__key").alias("first")).orderBy("__range").collect()  # MAX_RANGES rows at most
+    firsts = barrier(keys, "__range", found["lo"]).groupBy("__range").agg(F.min("__key").alias("first")).orderBy("__range").collect()  # MAX_RANGES rows at most
     heads = [(firsts[i]["first"], firsts[i - 1]["__range"]) for i in range(len(firsts))] or [(0, 0)]
     values = ", ".join(f"({k if k > LOWEST else 'CAST(' + repr(str(k)) + ' AS BIGINT)'}, {r})" for k, r in heads)
     copies = spark.sql(f"SELECT CAST(col1 AS BIGINT) AS __key, CAST(col2 AS INT) AS __before FROM VALUES {values}")
@@ -119,7 +122,7 @@ def with_next(documents: DataFrame, columns: list[str]) -> DataFrame:
 def op5_syncmer_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     own = syncmers(documents, F.col("text"), "__a").select("doc_id", "text", sketch(F.col("__a")).alias("sketch"))
-    pairs = with_next(own, ["text", "sketch"])
+    pairs = with_next(own, ["text", "sketch"], documents)
     n = F.length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.col("next_text"), F.lit(1), half))
