@@ -287,6 +287,34 @@ def test_shards_are_equal_and_slots_gapless(edge, empty):
     assert sharding.shard_rows(empty, shards=4).count() == 0
 
 
+def test_sharding_query_is_its_contract(spark, tmp_path):
+    import zlib
+
+    rows = [(i, f"text {i % 7} é" if i % 5 else None, "s") for i in range(500)] + [(None, "same", "s")] * 300 + [(9, "same", "s")] * 200
+    table(spark, rows).repartition(7).write.parquet(f"{tmp_path}/documents.parquet")
+    runs_ = [sorted((tuple(r) for r in sharding.op3_shard_documents(spark, str(tmp_path)).collect()), key=str) for _ in range(2)]
+    assert runs_[0] == runs_[1]
+    raw = lambda t: (t or "").encode()
+    assert sorted((str(r[0]), r[1], r[2]) for r in runs_[0]) == sorted((str(i), len(raw(t)) + 8, zlib.crc32(raw(t))) for i, t, _ in rows)
+    by = {}
+    for _, _, _, law, shard, slot, grown in runs_[0]:
+        assert law == "rows" and grown is None
+        by.setdefault(shard, []).append(slot)
+    assert set(by) == set(range(24)) and all(sorted(x) == list(range(len(x))) for x in by.values()) and {len(x) for x in by.values()} <= {41, 42}
+
+
+def test_sharding_is_uniform_and_buckets_keep_slots_gapless(spark):
+    docs = spark.range(0, 6000, 1, 5).select(F.col("id").alias("doc_id"), F.lit("").alias("text"))
+    got = sharding.shard_rows(docs, 6, cell_rows=50).collect()
+    for s in range(6):
+        mine = [r for r in got if r["__shard"] == s]
+        assert sorted(r["__slot"] for r in mine) == list(range(1000))
+        # from each fifth of the ids about a fifth, and slots that tell nothing of ids
+        share = Counter(r["doc_id"] // 1200 for r in mine)
+        assert all(140 < c < 260 for c in share.values())
+        assert abs(np.corrcoef([r["doc_id"] for r in mine], [r["__slot"] for r in mine])[0, 1]) < 0.15
+
+
 # --- classifiers ---
 
 
