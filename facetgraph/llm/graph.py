@@ -22,20 +22,39 @@ def shared_folder(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """``df`` written to the shared checkpoint folder, so that a lost executor costs no recomputation."""
-    shared_folder(df.sparkSession)
-    return df.checkpoint()
+#: Tables that ``written`` made, in order.
+_TABLES: list[str] = []
 
 
 def written(df: DataFrame) -> DataFrame:
-    """``df`` as a Parquet table in the shared folder: as safe as a checkpoint, and compressed."""
+    """``df`` as a Parquet table in the shared folder: as safe as a checkpoint against lost executors, and compressed."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/table-{uuid.uuid4().hex}"
+    _TABLES.append(path)
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Cuts lineage.
+cut = written
+
+
+def tables_written() -> int:
+    return len(_TABLES)
+
+
+def remove(spark: SparkSession, *paths: str) -> None:
+    for path in paths:
+        place = spark._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
+
+
+def sweep(spark: SparkSession, since: int) -> None:
+    """Removes the tables written since; nothing may read them any more."""
+    remove(spark, *_TABLES[since:])
+    del _TABLES[since:]
+
+
 def settled(df: DataFrame) -> DataFrame:
     """``df`` if every reading of it gives the same rows in the same order, as a plain scan does; else a written copy."""
     plan = df._jdf.queryExecution().executedPlan().toString()
