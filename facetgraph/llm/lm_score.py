@@ -5,14 +5,9 @@ those that labels mark good, the background's are all. Bigrams, words and contex
 there are. A document's score is the mean over its tokens of target loss minus background loss, in nats; lower
 means closer to the target.
 
-Plan. Consecutive rows of a partition form chunks of text. A chunk asks for its distinct n-grams: they are cut into
-buckets by the first bits of their hashes, and each piece travels as one sorted and compressed row, so an n-gram that is
-everywhere travels once for each chunk. A bucket sums what all chunks
-say and answers each with both models' counts, in the order asked. The answers meet the chunk's text again, and its documents are
-scored there; no row stands for a single n-gram. Buckets grow in number with the text, and chunks with the buckets.
-
-A chunk is known by a hash of its content, so the two readings of the documents must chunk them alike; documents that come
-out of a shuffle are therefore written down first. A chunk without its answers is an error, never a wrong score.
+Plan. Chunks of text ask for their distinct bigrams and words by packed rows, buckets sum what all chunks say and answer with both
+models' counts, and the answers meet the chunk's text again, where its documents are scored (see ``exchange``); no row stands for a single n-gram.
+A chunk without its answers is an error, never a wrong score.
 
 Rows. Null, empty and wordless texts have 0 tokens and score 0. Without target documents the target model falls
 back to the uniform unigram. Labels without documents and null labels count for nothing; a repeated label row
@@ -21,15 +16,14 @@ counts its document once. Other columns are ignored; repeated documents are coun
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from facetgraph.llm.exchange import Plan, bucket_cuts, chunk_name, chunks, of_documents, text_rows, unpacked_chunk
 from facetgraph.llm.graph import settled, written
 from facetgraph.llm.textkit import ALNUM, Words, emit, mix, pressed, runs, sieve_kernel, sieve_of, unpressed
 
@@ -37,11 +31,6 @@ from facetgraph.llm.textkit import ALNUM, Words, emit, mix, pressed, runs, sieve
 UNIGRAMS = 1 << 18
 #: Weights of the bigram, unigram and uniform estimates.
 MIXTURE = (0.6, 0.39, 0.01)
-#: Text bytes whose n-grams one bucket sums; least and most text bytes of a chunk, and those it has for each bucket.
-BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 8 << 20, 2 << 20, 32 << 20, 4 << 10
-#: Tasks that sum buckets or score chunks, at most; one holds its rows in memory, so there are as many as buckets up to this.
-MOST_TASKS = 16_384
-
 ASK = pa.schema([("bucket", pa.int32()), ("role", pa.int32()), ("chunk", pa.binary()), ("piece", pa.binary()), ("tokens", pa.int64())])
 ASK_SQL = "bucket int, role int, chunk binary, piece binary, tokens long"
 #: Roles of asks: counted by the background model, by the target model, or by neither; the last and the first are answered.
@@ -52,60 +41,33 @@ SCORE = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("target_lo
 SCORE_SQL = "doc_id long, n_tokens long, target_loss double, background_loss double"
 
 
-def chunks(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[pa.Array, list[bytes]]]:
-    """(doc_ids, texts) of consecutive rows, about ``most`` bytes of text each."""
-    ids, texts, size = [], [], 0
-    for batch in batches:
-        own = batch.column(batch.schema.get_field_index("doc_id")).to_pylist()
-        for i, t in zip(own, batch.column(batch.schema.get_field_index("text")).cast(pa.binary()).to_pylist()):
-            t = t or b""
-            if size and size + len(t) > most:
-                yield pa.array(ids, pa.int64()), texts
-                ids, texts, size = [], [], 0
-            ids.append(i)
-            texts.append(t)
-            size += len(t)
-    if ids:
-        yield pa.array(ids, pa.int64()), texts
-
-
-def chunk_name(ids: pa.Array, texts: list[bytes]) -> bytes:
-    h = xxhash.xxh3_128(repr(ids.to_pylist()).encode())
-    h.update(np.fromiter(map(len, texts), np.int64, len(texts)).tobytes())
-    h.update(b"".join(texts))
-    return h.digest()
-
-
 def n_grams(words: Words) -> np.ndarray:
-    """Keys of each token's bigram, word and context, one row for each; a document starts after word 0."""
+    """Keys of each token's bigram, of its word and of the word before, one row for each; a document starts after word 0."""
     before = np.zeros(len(words.hashes), np.uint64)
     before[1:] = words.hashes[:-1]
     before[words.pos == 0] = 0
-    return np.stack([mix(before * np.uint64(Words.BASE) + words.hashes), mix(words.hashes + np.uint64(1)), mix(before + np.uint64(2))])
-
-
-def counted(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct keys, the place of each key among them, and their counts."""
-    distinct, place, n = np.unique(keys, return_inverse=True, return_counts=True)
-    return distinct, place.reshape(keys.shape), n
+    return np.stack([mix(before * np.uint64(Words.BASE) + words.hashes), mix(words.hashes + np.uint64(1)), mix(before + np.uint64(1))])
 
 
-def bucket_cuts(keys: np.ndarray, bits: int) -> np.ndarray:
-    """Where each bucket's keys begin among the sorted ``keys``, and their end."""
-    return np.append(np.searchsorted(keys, np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)), len(keys)) if bits else np.array([0, len(keys)])
+def counted(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct keys, the places of the tokens' keys among them, and how often each is seen, and is the word before."""
+    grams = n_grams(words)
+    keys, place = np.unique(grams, return_inverse=True)
+    place = place.reshape(grams.shape)
+    return keys, place, *(np.bincount(x.ravel(), minlength=len(keys)).astype(np.uint64) for x in (place[:2], place[2]))
 
 
-def ask_kernel(role: int, most: int, bits: int):
+def ask_kernel(role: int, plan: Plan):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for ids, texts in chunks(batches, most):
+        for ids, texts in chunks(batches, plan.chunk_bytes):
             words = Words(texts, ALNUM)
             if not len(words.hashes):
                 continue
-            keys, _, n = counted(n_grams(words))
-            cuts = bucket_cuts(keys, bits)
+            keys, _, seen, before = counted(words)
+            cuts = bucket_cuts(keys, plan.bits)
             used = np.flatnonzero(np.diff(cuts))
             name = chunk_name(ids, texts) if role != TARGET else None
-            pieces = [pressed(keys[cuts[b] : cuts[b + 1]], n[cuts[b] : cuts[b + 1]].astype(np.uint64)) for b in used]
+            pieces = [pressed(*(x[cuts[b] : cuts[b + 1]] for x in (keys, seen, before))) for b in used]
             tokens = np.where(np.arange(len(used)) == 0, len(words.hashes), 0)
             yield from emit(ASK, [used.astype(np.int32), np.full(len(used), role, np.int32), [name] * len(used), pieces, tokens], 512)
 
@@ -117,37 +79,24 @@ def sum_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for bucket in runs(batches, ["bucket"]):
         role = bucket.column("role").to_numpy()
         pieces = [unpressed(x) for x in bucket.column("piece").to_pylist()]
-        sizes = np.fromiter((len(k) for k, _ in pieces), np.int64, len(pieces))
-        keys, place = np.unique(np.concatenate([k for k, _ in pieces]), return_inverse=True)
-        n, by = np.concatenate([c for _, c in pieces]), np.repeat(role, sizes)
+        sizes = np.fromiter((len(x[0]) for x in pieces), np.int64, len(pieces))
+        keys, seen, before = (np.concatenate(x) for x in zip(*pieces))
         del pieces
-        total = [np.zeros(len(keys), np.uint64), np.zeros(len(keys), np.uint64)]
+        keys, place = np.unique(keys, return_inverse=True)
+        by, totals = np.repeat(role, sizes), []
         for model in (BACKGROUND, TARGET):
-            np.add.at(total[model], place[by == model], n[by == model])
-        ends = np.cumsum(sizes)
-        tokens = bucket.column("tokens").to_numpy()
-        sums = [int(tokens[role == BACKGROUND].sum()), int(tokens[role == TARGET].sum())]
+            mine = np.flatnonzero(by == model)
+            for n in (seen, before):
+                totals.append(np.zeros(len(keys), np.uint64))
+                np.add.at(totals[-1], place[mine], n[mine])
+        ends, tokens = np.cumsum(sizes), bucket.column("tokens").to_numpy()
         names, number = bucket.column("chunk").to_pylist(), bucket.column("bucket")[0].as_py()
-        yield from emit(ANSWER, [[None], [number], [None], [sums[0]], [sums[1]]])
+        yield from emit(ANSWER, [[None], [number], [None], *([int(tokens[role == x].sum())] for x in (BACKGROUND, TARGET))])
         asked = np.flatnonzero(role != TARGET)
         for some in np.array_split(asked, max(1, len(asked) // 64)):
             own = [place[ends[i] - sizes[i] : ends[i]] for i in some]
             zero = np.zeros(len(some), np.int64)
-            yield from emit(ANSWER, [[names[i] for i in some], np.full(len(some), number), [pressed(total[0][x], total[1][x]) for x in own], zero, zero])
-
-
-def text_kernel(most: int):
-    """The chunks themselves, as rows that sort before their answers."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for ids, texts in chunks(batches, most):
-            sink = pa.BufferOutputStream()
-            table = pa.RecordBatch.from_arrays([ids, pa.array(texts, pa.binary())], ["doc_id", "text"])
-            with pa.ipc.new_stream(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as w:
-                w.write_batch(table)
-            yield from emit(ANSWER, [[chunk_name(ids, texts)], [-1], [sink.getvalue().to_pybytes()], [0], [0]])
-
-    return run
+            yield from emit(ANSWER, [[names[i] for i in some], np.full(len(some), number), [pressed(*(t[x] for t in totals)) for x in own], zero, zero])
 
 
 def losses(counts: np.ndarray, totals: list[int]) -> np.ndarray:
@@ -167,25 +116,21 @@ def score_kernel(totals: list[int]):
             number, piece = group.column("bucket").to_numpy(), group.column("piece")
             # equal chunks have equal answers, one set for each
             answers = [unpressed(piece[int(np.flatnonzero(number == b)[0])].as_py()) for b in np.unique(number[number >= 0])]
+            told = [np.concatenate(x) for x in zip(*answers)] if answers else [np.empty(0, np.uint64)] * 4
             for i in np.flatnonzero(number < 0):
-                table = pa.ipc.open_stream(piece[int(i)].as_py()).read_all()
-                texts = table.column("text").to_pylist()
+                ids, texts = unpacked_chunk(piece[int(i)].as_py())
                 words = Words(texts, ALNUM)
-                keys, place, _ = counted(n_grams(words))
-                counts = np.stack([np.concatenate([x[m] for x in answers]) if answers else np.empty(0, np.uint64) for m in (0, 1)])
-                if counts.shape[1] != len(keys):
+                keys, place, _, _ = counted(words)
+                if len(told[0]) != len(keys):
                     raise RuntimeError("a chunk of documents did not get the answers it asked for: the documents were read in another order")
-                lost = losses(counts[:, place], totals)
+                counts = np.stack([[seen[place[0]], seen[place[1]], before[place[2]]] for seen, before in (told[:2], told[2:])])
+                lost = losses(counts, totals)
                 mean = [np.bincount(words.docs, weights=x, minlength=len(texts)) / np.maximum(1, words.lens) for x in lost]
-                yield from emit(SCORE, [table.column("doc_id").combine_chunks(), words.lens, mean[1], mean[0]])
+                yield from emit(SCORE, [ids, words.lens, mean[1], mean[0]])
 
     return run
 
 
-def of_documents(documents: DataFrame) -> DataFrame:
-    return documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-
-
 def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = None) -> DataFrame:
     """doc_id, n_tokens, target_loss, background_loss, score of ``scored`` (by default ``documents``).
 
@@ -193,19 +138,16 @@ def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = N
     """
     documents = settled(of_documents(documents))
     asked = documents if scored is None else settled(of_documents(scored))
-    size = int(documents.agg(F.sum(F.octet_length("text"))).first()[0] or 0)
-    bits = max(0, math.ceil(math.log2(max(1, size / BUCKET_BYTES))))
-    most = min(MOST_CHUNK, max(LEAST_CHUNK, CHUNK_SHARE << bits))
+    plan = Plan.of(documents)
     marked = targets.select(F.col("doc_id").cast("long")).where("doc_id is not null")
     good = documents.mapInArrow(sieve_kernel(sieve_of(marked, "doc_id")), "doc_id long, text string").join(marked, "doc_id", "left_semi")
-    asks = documents.mapInArrow(ask_kernel(BACKGROUND, most, bits), ASK_SQL).union(good.mapInArrow(ask_kernel(TARGET, most, bits), ASK_SQL))
+    asks = documents.mapInArrow(ask_kernel(BACKGROUND, plan), ASK_SQL).union(good.mapInArrow(ask_kernel(TARGET, plan), ASK_SQL))
     if scored is not None:
-        asks = asks.union(asked.mapInArrow(ask_kernel(UNCOUNTED, most, bits), ASK_SQL))
-    tasks = min(MOST_TASKS, 1 << bits)
-    answers = written(asks.repartition(tasks, "bucket").sortWithinPartitions("bucket").mapInArrow(sum_kernel, ANSWER_SQL))
+        asks = asks.union(asked.mapInArrow(ask_kernel(UNCOUNTED, plan), ASK_SQL))
+    answers = written(asks.repartition(plan.tasks, "bucket").sortWithinPartitions("bucket").mapInArrow(sum_kernel, ANSWER_SQL))
     sums = answers.where("chunk is null").agg(F.sum("tokens"), F.sum("target_tokens")).first()
-    rows = asked.mapInArrow(text_kernel(most), ANSWER_SQL).union(answers.where("chunk is not null"))
-    found = rows.repartition(tasks, "chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
+    rows = text_rows(asked, plan, ANSWER, ANSWER_SQL).union(answers.where("chunk is not null"))
+    found = rows.repartition(plan.tasks, "chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
     return found.withColumn("score", F.col("target_loss") - F.col("background_loss"))
 
 
