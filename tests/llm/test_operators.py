@@ -11,7 +11,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from facetgraph.llm import decontaminate, labelled, licenses, lm_score, mixing, ngram_join, quality, sharding, substring_dedup, syncmers, toxicity
+from facetgraph.llm import decontaminate, exchange, labelled, licenses, lm_score, mixing, ngram_join, quality, sharding, substring_dedup, syncmers, toxicity
 from facetgraph.llm.graph import components
 from facetgraph.llm.textkit import ALNUM, BLANK, Tokens, Words, alnum_words, blank_words, sieve_kernel, sieve_of
 
@@ -582,9 +582,9 @@ def test_lm_scores_are_the_brute_force_over_many_chunks_and_buckets(spark, monke
     rng = random.Random(12)
     rows = [(i, " ".join(f"w{int(rng.paretovariate(0.7)) % 500}" for _ in range(rng.randrange(0, 60)))) for i in range(300)] + [(7, "w1 w2"), (7, "w1 w2"), (900, None)]
     good = set(range(0, 300, 7))
-    monkeypatch.setattr(lm_score, "BUCKET_BYTES", 4000)
-    monkeypatch.setattr(lm_score, "LEAST_CHUNK", 900)
-    monkeypatch.setattr(lm_score, "CHUNK_SHARE", 10)
+    monkeypatch.setattr(exchange, "BUCKET_BYTES", 4000)
+    monkeypatch.setattr(exchange, "LEAST_CHUNK", 900)
+    monkeypatch.setattr(exchange, "CHUNK_SHARE", 10)
     marks = spark.createDataFrame([(i,) for i in good], "doc_id long")
     want = sorted(brute_scores(rows, good))
     docs = table(spark, [(i, t, "s") for i, t in rows])
