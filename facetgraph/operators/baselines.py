@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -30,19 +32,22 @@ def oracle_partition(entities: DataFrame, predicates: list[P.Predicate], params:
     return rows.groupBy("shard").applyInArrow(kernel, I.NODE)
 
 
-def search_partition(index: DataFrame, queries: DataFrame, params: K.Params, k: int = 10, efs: int = 40, exclude_self: bool = True) -> DataFrame:
+def search_partition(index: DataFrame, queries: DataFrame, params: K.Params, k: int = 10, efs: int | tuple[int, ...] = 40, exclude_self: bool = True) -> DataFrame:
     """Each query goes to its own predicate's graph."""
+    beams = (efs,) if isinstance(efs, int) else tuple(efs)
 
     def kernel(key: tuple, nodes: pa.Table, asked: pa.Table) -> pa.Table:
         rows: list[tuple] = []
         if nodes.num_rows:
             g = I.graph_of(nodes, params)
             for i in range(asked.num_rows):
-                qid = asked["query_id"][i].as_py()
-                hits, c, route = K.search(g, np.asarray(asked["qvec"][i].as_py(), np.float64), k, efs, None, "plain", qid if exclude_self else None)
-                count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, route, nodes["shard"][0].as_py())
-                rows += [(qid, v, d, *count) for d, v in hits] or [(qid, None, None, *count)]
-        return pa.table([pa.array(list(x), f.type) for x, f in zip(zip(*rows), I.FOUND_ARROW)] if rows else [pa.array([], f.type) for f in I.FOUND_ARROW], schema=I.FOUND_ARROW)
+                qid, q = asked["query_id"][i].as_py(), np.asarray(asked["qvec"][i].as_py(), np.float64)
+                for beam in beams:
+                    began = time.perf_counter()
+                    hits, c, route = K.search(g, q, k, beam, None, "plain", qid if exclude_self else None)
+                    count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, route, nodes["shard"][0].as_py(), beam, time.perf_counter() - began)
+                    rows += [(qid, v, d, *count) for d, v in hits] or [(qid, None, None, *count)]
+        return I.found_table(rows)
 
     asked = queries.select("query_id", "qvec", F.col("pred_id").alias("to_shard"))
     return index.groupBy("shard").cogroup(asked.groupBy("to_shard")).applyInArrow(kernel, I.FOUND)
@@ -136,6 +141,7 @@ def label_graph_search(entities: DataFrame, queries: DataFrame, predicates: list
             else:
                 g = (label_filtered if kind == "filtered" else label_stitched)(ids, vecs, labels, **settings)
             for i in range(asked.num_rows):
+                began = time.perf_counter()
                 qid, pred, q = asked["query_id"][i].as_py(), asked["pred_id"][i].as_py(), np.asarray(asked["qvec"][i].as_py(), np.float64)
                 ok, own, c = labels == pred, (qid if exclude_self else None), K.Counters()
                 if kind.startswith("fused"):
@@ -153,9 +159,9 @@ def label_graph_search(entities: DataFrame, queries: DataFrame, predicates: list
                 else:
                     found = []
                 hits = sorted((float(((vecs[v] - q) ** 2).sum()), int(ids[v])) for v in found if ok[v] and ids[v] != own)[:k]
-                count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, kind, int(key[0].as_py()))
+                count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, kind, int(key[0].as_py()), efs, time.perf_counter() - began)
                 rows += [(qid, v, d, *count) for d, v in hits] or [(qid, None, None, *count)]
-        return pa.table([pa.array(list(x), f.type) for x, f in zip(zip(*rows), I.FOUND_ARROW)] if rows else [pa.array([], f.type) for f in I.FOUND_ARROW], schema=I.FOUND_ARROW)
+        return I.found_table(rows)
 
     rows = I.assign_shards(entities.select("id", "vec", F.col(column).alias("value")), shards)
     asked = queries.select("query_id", "qvec", "pred_id").join(F.broadcast(rows.select(F.col("shard").alias("to_shard")).distinct()))

@@ -7,7 +7,7 @@ evaluated by Catalyst at query time and reach the shards as lists of the predica
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import time
 
 import numpy as np
 import pyarrow as pa
@@ -21,9 +21,11 @@ from facetgraph.operators.exact import rank_topk
 NODE = "shard int, id long, top_level int, vec array<double>, lists array<array<struct<dst:long,dist:double>>>, pruned long"
 LIST = pa.list_(pa.list_(pa.struct([("dst", pa.int64()), ("dist", pa.float64())])))
 NODE_ARROW = pa.schema([("shard", pa.int32()), ("id", pa.int64()), ("top_level", pa.int32()), ("vec", pa.list_(pa.float64())), ("lists", LIST), ("pruned", pa.int64())])
-FOUND = "query_id long, id long, dist double, n_dist long, n_visited long, n_pred_eval long, n_passed long, n_hops long, route string, shard int"
-FOUND_ARROW = pa.schema([("query_id", pa.int64()), ("id", pa.int64()), ("dist", pa.float64()), ("n_dist", pa.int64()), ("n_visited", pa.int64()), ("n_pred_eval", pa.int64()), ("n_passed", pa.int64()), ("n_hops", pa.int64()), ("route", pa.string()), ("shard", pa.int32())])
+FOUND = "query_id long, id long, dist double, n_dist long, n_visited long, n_pred_eval long, n_passed long, n_hops long, route string, shard int, efs int, seconds double"
+FOUND_ARROW = pa.schema([("query_id", pa.int64()), ("id", pa.int64()), ("dist", pa.float64()), ("n_dist", pa.int64()), ("n_visited", pa.int64()), ("n_pred_eval", pa.int64()), ("n_passed", pa.int64()), ("n_hops", pa.int64()), ("route", pa.string()), ("shard", pa.int32()), ("efs", pa.int32()), ("seconds", pa.float64())])
 LEVELS = 24
+#: Bytes of vectors that one task builds and searches.
+SHARD_BYTES = 256 << 20
 MULTIPLIER = 2246822519
 
 
@@ -79,21 +81,33 @@ def graph_of(table: pa.Table, p: K.Params) -> K.Graph:
     ids, vecs, top = matrix(table)
     n = len(ids)
     levels: list[list[np.ndarray]] = [[K.NOTHING] * n for _ in range(int(top.max()) + 1 if n else 0)]
-    for v, rows in enumerate(table["lists"].to_pylist()):
-        for level, near in enumerate(rows):
-            if near:
-                levels[level][v] = np.searchsorted(ids, [x["dst"] for x in near])
+    if n:
+        by_node = table["lists"].combine_chunks()
+        by_level = by_node.values
+        dst = np.searchsorted(ids, np.asarray(by_level.values.field("dst")))
+        first, cuts = np.asarray(by_node.offsets).tolist(), np.asarray(by_level.offsets).tolist()
+        for v in range(n):
+            for level, i in enumerate(range(first[v], first[v + 1])):
+                if cuts[i + 1] > cuts[i]:
+                    levels[level][v] = dst[cuts[i] : cuts[i + 1]]
     return K.Graph(ids, vecs, top, levels, int(np.lexsort((ids, -top))[0]) if n else 0, p)
 
 
-def build(vectors: DataFrame, params: K.Params, shards: int = 1, by: str = "hash") -> DataFrame:
-    """The index of (id, vec): vectors go to their shards in one shuffle, each shard is built by one task."""
+def shards_for(vectors: DataFrame, shard_bytes: int = SHARD_BYTES) -> int:
+    """Shards so that each holds about ``shard_bytes`` of vectors."""
+    size = vectors.agg(F.sum(8 * F.size("vec"))).first()[0] or 0
+    return max(1, -(-int(size) // shard_bytes))
+
+
+def build(vectors: DataFrame, params: K.Params, shards: int | None = None, by: str = "hash") -> DataFrame:
+    """The index of (id, vec): vectors go to their shards in one shuffle, each shard is built by one task. By default a shard holds SHARD_BYTES of vectors."""
 
     def kernel(table: pa.Table) -> pa.Table:
         ids, vecs, top = matrix(table)
         return table_of(K.build(ids, vecs, top, params), table["shard"][0].as_py())
 
-    rows = assign_shards(vectors.select("id", "vec").where("vec is not null"), shards, by)
+    known = vectors.select("id", "vec").where("vec is not null")
+    rows = assign_shards(known, shards_for(known) if shards is None else shards, by)
     return rows.withColumn("top_level", level_of(F.col("id"), params.m, params.seed)).groupBy("shard").applyInArrow(kernel, NODE)
 
 
@@ -105,6 +119,14 @@ def save(index: DataFrame, path: str) -> None:
     index.write.mode("overwrite").partitionBy("shard").parquet(path)
 
 
+def store(index: DataFrame, path: str, name: str, buckets: int = 8) -> DataFrame:
+    """The index as a table bucketed by shard: searches read it in place, and only queries and the numbers of passed predicates travel to it."""
+    spark = index.sparkSession
+    spark.sql(f"DROP TABLE IF EXISTS {name}")
+    index.write.mode("overwrite").option("path", path).bucketBy(buckets, "shard").sortBy("shard").saveAsTable(name)
+    return spark.table(name)
+
+
 def load(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.schema(NODE).parquet(path)
 
@@ -119,57 +141,70 @@ def passing(entities: DataFrame, predicates: list[P.Predicate]) -> DataFrame:
     return entities.select("id", P.passes(predicates).alias("passes"))
 
 
-def search(index: DataFrame, entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], params: K.Params, k: int = 10, efs: int = 40, lookup: str = "auto", exclude_self: bool = True, fallback: bool = True, over: str | None = None) -> DataFrame:
-    """Raw per-shard results with counters (see ``topk`` and ``stats``).
+def search(index: DataFrame, entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], params: K.Params, k: int = 10, efs: int | tuple[int, ...] = 40, lookup: str = "auto", exclude_self: bool = True, fallback: bool = True, over: str | None = None) -> DataFrame:
+    """Raw per-shard results with counters and seconds (see ``topk`` and ``stats``); several beam widths ``efs`` are searched in one pass.
 
     ``over``: post-filter. The walk ignores the predicate and collects k ("K"), k / s of the shard ("K/s"), or doubles
     its width until k pass ("double"); what fails is dropped afterwards.
     """
 
-    def kernel(key: tuple, nodes: pa.Table, asked: pa.Table) -> pa.Table:
+    beams = (efs,) if isinstance(efs, int) else tuple(efs)
+
+    def kernel(key: tuple, nodes: pa.Table, sent: pa.Table) -> pa.Table:
         rows: list[tuple] = []
+        asked = sent.filter(pa.compute.is_valid(sent["query_id"]))
         if nodes.num_rows and asked.num_rows:
-            nodes = nodes.sort_by("id")
             g = graph_of(nodes, params)
-            lists = nodes["passes"].combine_chunks()
-            who, flat = np.repeat(np.arange(len(g.ids)), np.asarray(pa.compute.list_value_length(lists.fill_null([])))), np.asarray(lists.flatten())
+            passed = sent.filter(pa.compute.is_valid(sent["node"]))
+            lists = passed["passes"].combine_chunks()
+            at = np.minimum(np.searchsorted(g.ids, passed["node"].to_numpy()), len(g.ids) - 1)
+            at = np.where(g.ids[at] == passed["node"].to_numpy(), at, -1)
+            who, flat = np.repeat(at, np.asarray(pa.compute.list_value_length(lists))), np.asarray(lists.flatten())
+            who, flat = who[who >= 0], flat[who >= 0]
             bits: dict[int, np.ndarray] = {}
-            for i in range(asked.num_rows):
-                pred = asked["pred_id"][i].as_py()
+            shard = nodes["shard"][0].as_py()
+            vectors = np.asarray(asked["qvec"].combine_chunks().flatten(), np.float64).reshape(asked.num_rows, -1)
+            for qid, pred, q in zip(asked["query_id"].to_pylist(), asked["pred_id"].to_pylist(), vectors):
                 if pred not in bits:
                     bits[pred] = np.zeros(len(g.ids), bool)
                     bits[pred][who[flat == pred]] = True
-                ok, q, qid = bits[pred], np.asarray(asked["qvec"][i].as_py(), np.float64), asked["query_id"][i].as_py()
-                own = qid if exclude_self else None
-                if over is None:
-                    hits, c, route = K.search(g, q, k, efs, ok, lookup, own, fallback)
-                else:
-                    hits, c, route = post_filter(g, q, k, efs, ok, own, over)
-                count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, route, nodes["shard"][0].as_py())
-                rows += [(qid, v, d, *count) for d, v in hits] or [(qid, None, None, *count)]
-        return pa.table([pa.array(list(x), f.type) for x, f in zip(zip(*rows), FOUND_ARROW)] if rows else [pa.array([], f.type) for f in FOUND_ARROW], schema=FOUND_ARROW)
-
-    nodes = index.join(passing(entities, predicates), "id", "left").select("shard", "id", "top_level", "vec", "lists", F.coalesce("passes", F.array().cast("array<int>")).alias("passes"))
+                ok, own = bits[pred], qid if exclude_self else None
+                for beam in beams:
+                    began = time.perf_counter()
+                    hits, c, route = K.search(g, q, k, beam, ok, lookup, own, fallback) if over is None else post_filter(g, q, k, beam, ok, own, over)
+                    count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, route, shard, beam, time.perf_counter() - began)
+                    rows += [(qid, v, d, *count) for d, v in hits] or [(qid, None, None, *count)]
+        return found_table(rows)
+
+    # of the index only ids and shards meet the entities; vectors and lists stay where they are
+    where_ = index.select(F.col("id").alias("node"), F.col("shard").alias("to_shard")).join(passing(entities, predicates).where(F.size("passes") > 0).withColumnRenamed("id", "node"), "node")
+    nothing = lambda t, name: F.lit(None).cast(t).alias(name)
+    marks = where_.select("to_shard", F.col("node").cast("long").alias("node"), F.col("passes").alias("passes"), nothing("long", "query_id"), nothing("array<double>", "qvec"), nothing("int", "pred_id"))
     shards = index.select(F.col("shard").alias("to_shard")).distinct()
-    asked = queries.select("query_id", "qvec", "pred_id").join(F.broadcast(shards), how="inner")
-    return nodes.groupBy("shard").cogroup(asked.groupBy("to_shard")).applyInArrow(kernel, FOUND)
+    asked = queries.select("query_id", F.col("qvec").cast("array<double>").alias("qvec"), F.col("pred_id").cast("int").alias("pred_id")).join(F.broadcast(shards), how="inner")
+    sent = marks.union(asked.select("to_shard", nothing("long", "node"), nothing("array<int>", "passes"), F.col("query_id").cast("long"), "qvec", "pred_id"))
+    return index.select("shard", "id", "top_level", "vec", "lists").groupBy("shard").cogroup(sent.groupBy("to_shard")).applyInArrow(kernel, FOUND)
+
+
+def found_table(rows: list[tuple]) -> pa.Table:
+    return pa.table([pa.array(list(x), f.type) for x, f in zip(zip(*rows), FOUND_ARROW)] if rows else [pa.array([], f.type) for f in FOUND_ARROW], schema=FOUND_ARROW)
 
 
 def post_filter(g: K.Graph, q: np.ndarray, k: int, efs: int, ok: np.ndarray, own: int | None, over: str) -> tuple[list, K.Counters, str]:
-    n, s = len(g.ids), float(ok.mean()) if len(ok) else 0.0
+    """Walks by plain lists, whatever passes, and drops what fails; "double" widens one walk until k pass."""
+    n, s, c = len(g.ids), float(ok.mean()) if len(ok) else 0.0, K.Counters()
     if not s:
-        return [], K.Counters(), "empty"
-    number = {int(x): i for i, x in enumerate(g.ids)}
-    want = min(n, k if over == "K" else -(-k // s) if over == "K/s" else k)
-    total = K.Counters()
+        return [], c, "empty"
+    want = min(n, k if over != "K/s" else int(-(-k // s)))
+    walk = K.Walk(g, q, K.descend(g, q, c), 0, ok, c)
     while True:
-        found, c, _ = K.search(g, q, int(want), max(efs, int(want)), np.ones(n, bool), "plain", own, False)
-        for name in vars(total):
-            setattr(total, name, getattr(total, name) + getattr(c, name))
-        hits = [(d, v) for d, v in found if ok[number[v]]][:k]
+        # one place more, since the query itself may be among the found
+        near = walk.widen(max(efs, want + 1))
+        found = [(d, v) for d, v in near if own is None or g.ids[v] != own][:want]
+        hits = [(d, int(g.ids[v])) for d, v in found if ok[v]]
         if over != "double" or len(hits) >= k or want >= n:
-            total.n_pred_eval += len(found)
-            return hits, total, "postfilter"
+            c.n_pred_eval += len(found)
+            return sorted(hits)[:k], c, "postfilter"
         want = min(n, want * 2)
 
 

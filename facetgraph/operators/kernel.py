@@ -150,6 +150,46 @@ def search_layer(g: Graph, q: np.ndarray, entries: list[tuple[float, int]], ef:
     return [(d, v) for d, _, v in best]
 
 
+class Walk:
+    """A best-first walk over one level by plain lists that can be widened: what a narrower beam scored is not scored again."""
+
+    def __init__(self, g: Graph, q: np.ndarray, entries: list[tuple[float, int]], level: int, tally: np.ndarray, c: Counters):
+        self.g, self.q, self.lists, self.tally, self.c = g, q, g.levels[level], tally, c
+        self.seen = {v for _, v in entries}
+        self.open, self.scored = list(entries), sorted((d, int(g.ids[v]), v) for d, v in entries)
+        heapq.heapify(self.open)
+
+    def widen(self, ef: int) -> list[tuple[float, int]]:
+        """The nearest ``ef``, as ``search_layer`` finds them with that beam."""
+        c = self.c
+        while self.open and not (len(self.scored) >= ef and self.open[0][0] > self.scored[ef - 1][0]):
+            _, v = heapq.heappop(self.open)
+            c.n_hops += 1
+            fresh = [x for x in self.lists[v].tolist() if x not in self.seen]
+            if not fresh:
+                continue
+            self.seen.update(fresh)
+            c.n_visited += len(fresh)
+            c.n_dist += len(fresh)
+            c.n_passed += int(self.tally[fresh].sum())
+            for x, d in zip(fresh, self.g.dist(self.q, fresh).tolist()):
+                heapq.heappush(self.open, (d, x))
+                insort(self.scored, (d, int(self.g.ids[x]), x))
+        return [(d, v) for d, _, v in self.scored[:ef]]
+
+
+def descend(g: Graph, q: np.ndarray, c: Counters) -> list[tuple[float, int]]:
+    """The entry to level 0 by plain lists."""
+    at = [(float(g.dist(q, [g.entry])[0]), g.entry)]
+    c.n_dist += 1
+    everything = np.ones(len(g.ids), bool)
+    for level in range(len(g.levels) - 1, 0, -1):
+        upper = Counters()
+        at = search_layer(g, q, at, 1, lambda v, lists=g.levels[level]: lists[v].tolist(), everything, upper) or at
+        c.n_dist, c.n_hops = c.n_dist + upper.n_dist, c.n_hops + upper.n_hops
+    return at
+
+
 def search(g: Graph, q: np.ndarray, k: int, efs: int, passing: np.ndarray | None = None, lookup: str = "auto", exclude: int | None = None, fallback: bool = True) -> tuple[list[tuple[float, int]], Counters, str]:
     """The k nearest passing nodes as (distance, id); counters; how they were found: graph, fallback (exact, when the walk met nothing), or empty."""
     c = Counters()
@@ -219,8 +259,12 @@ def _settle(g: Graph, level: int, nodes: np.ndarray, lists: list[np.ndarray]) ->
     if p.kind == "lean" or (p.kind == "dense" and level >= p.n_compressed):
         return [x[: p.width] for x in lists]
     if p.kind == "dense":
-        # H is filled from each candidate's always-kept prefix alone: it survives whatever happens to the candidate's own tail
-        return [np.asarray(prune.two_hop(x.tolist(), lambda c: where[c][: p.m_beta].tolist(), p.m_beta, p.width), np.int64) for x in lists]
+        # what a kept candidate leads to is its stored list; of one that is still to come, the prefix that is always stored
+        stored: dict[int, np.ndarray] = {}
+        for v, x in zip(nodes.tolist(), lists):
+            reach = lambda c: (stored[c] if c in stored else where[c][: p.m_beta]).tolist()
+            stored[v] = np.asarray(prune.two_hop(x.tolist(), reach, p.m_beta, p.width), np.int64)
+        return [stored[v] for v in nodes.tolist()]
     most = p.m * (p.m0_factor if level == 0 else 1)
     pairwise = lambda c, kept: g.dist(g.vecs[c], kept)
     return [np.asarray(prune.rng(x.tolist(), g.dist(g.vecs[v], x).tolist() if len(x) else [], pairwise, most), np.int64) for v, x in zip(nodes.tolist(), lists)]
