@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from facetgraph.llm.textkit import emit
 
 #: Text bytes whose keys one bucket holds; least and most text bytes of a chunk, and those it has for each bucket.
-BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 8 << 20, 8 << 20, 32 << 20, 4 << 10
+BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 8 << 20, 4 << 20, 32 << 20, 4 << 10
 #: Tasks of an exchange, at most; one holds its rows in memory, so there are as many as buckets up to this.
 MOST_TASKS = 16_384
 

@@ -41,20 +41,30 @@ SCORE = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("target_lo
 SCORE_SQL = "doc_id long, n_tokens long, target_loss double, background_loss double"
 
 
-def n_grams(words: Words) -> np.ndarray:
-    """Keys of each token's bigram, of its word and of the word before, one row for each; a document starts after word 0."""
+def counted(words: Words, placed: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray | None]:
+    """Distinct keys of bigrams and words, sorted; how often each is seen, and, of words, stands before another; a document starts after word 0.
+
+    ``placed``: also where, among the keys, each token's bigram, word and word before are.
+    """
+    first = words.pos == 0
     before = np.zeros(len(words.hashes), np.uint64)
     before[1:] = words.hashes[:-1]
-    before[words.pos == 0] = 0
-    return np.stack([mix(before * np.uint64(Words.BASE) + words.hashes), mix(words.hashes + np.uint64(1)), mix(before + np.uint64(1))])
-
-
-def counted(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct keys, the places of the tokens' keys among them, and how often each is seen, and is the word before."""
-    grams = n_grams(words)
-    keys, place = np.unique(grams, return_inverse=True)
-    place = place.reshape(grams.shape)
-    return keys, place, *(np.bincount(x.ravel(), minlength=len(keys)).astype(np.uint64) for x in (place[:2], place[2]))
+    before[first] = 0
+    pairs = np.unique(mix(before * np.uint64(Words.BASE) + words.hashes), return_inverse=placed, return_counts=True)
+    spelt, word, n = np.unique(words.hashes, return_inverse=True, return_counts=True)
+    word = word.reshape(-1)
+    followed = np.bincount(word[words.pos + 1 < words.lens[words.docs]], minlength=len(spelt))
+    keys = np.concatenate([pairs[0], mix(spelt + np.uint64(1)), mix(np.ones(1, np.uint64))])
+    order = np.argsort(keys)
+    seen = np.concatenate([pairs[-1], n, [0]])[order].astype(np.uint64)
+    stands = np.concatenate([np.zeros(len(pairs[0]), np.int64), followed, [np.count_nonzero(first)]])[order].astype(np.uint64)
+    if not placed:
+        return keys[order], seen, stands, None
+    rank = np.empty(len(keys), np.int64)
+    rank[order] = np.arange(len(keys))
+    own = rank[len(pairs[0]) + word]
+    prior = np.append(rank[-1], own[:-1]) if len(own) else own
+    return keys[order], seen, stands, np.stack([rank[pairs[1].reshape(-1)], own, np.where(first, rank[-1], prior)])
 
 
 def ask_kernel(role: int, plan: Plan):
@@ -63,7 +73,7 @@ def ask_kernel(role: int, plan: Plan):
             words = Words(texts, ALNUM)
             if not len(words.hashes):
                 continue
-            keys, _, seen, before = counted(words)
+            keys, seen, before, _ = counted(words)
             cuts = bucket_cuts(keys, plan.bits)
             used = np.flatnonzero(np.diff(cuts))
             name = chunk_name(ids, texts) if role != TARGET else None
@@ -120,9 +130,11 @@ def score_kernel(totals: list[int]):
             for i in np.flatnonzero(number < 0):
                 ids, texts = unpacked_chunk(piece[int(i)].as_py())
                 words = Words(texts, ALNUM)
-                keys, place, _, _ = counted(words)
-                if len(told[0]) != len(keys):
+                keys, _, _, place = counted(words, True)
+                if len(words.hashes) and len(told[0]) != len(keys):
                     raise RuntimeError("a chunk of documents did not get the answers it asked for: the documents were read in another order")
+                if not len(words.hashes):
+                    told = [np.zeros(1, np.uint64)] * 4
                 counts = np.stack([[seen[place[0]], seen[place[1]], before[place[2]]] for seen, before in (told[:2], told[2:])])
                 lost = losses(counts, totals)
                 mean = [np.bincount(words.docs, weights=x, minlength=len(texts)) / np.maximum(1, words.lens) for x in lost]
