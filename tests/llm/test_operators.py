@@ -474,6 +474,70 @@ def test_chaining_is_the_quadratic_recurrence():
         assert score == pytest.approx(max(best.values()))
 
 
+def test_chaining_is_optimal_under_its_gap():
+    assert substring_dedup.chains_of([(0, 0, 500), (510, 900, 30), (545, 941, 30)], 0.1, 40)[0] == [0] and [1, 2] in substring_dedup.chains_of([(0, 0, 500), (510, 900, 30), (545, 941, 30)], 0.1, 40)
+    rng = random.Random(18)
+    for _ in range(200):
+        segs = sorted({(rng.randrange(150), rng.randrange(150), rng.randrange(4, 14)) for _ in range(14)})
+        best = {}
+        for i, (p, o, z) in enumerate(segs):
+            gaps = [(j, p - segs[j][0] - segs[j][2], o - segs[j][1] - segs[j][2]) for j in range(i)]
+            best[i] = z + max([0.0] + [best[j] - 0.05 * (a + b) for j, a, b in gaps if 0 <= a <= 20 and 0 <= b <= 20])
+        chain = substring_dedup.chains_of(segs, 0.05, 20)[0]
+        score = sum(segs[i][2] for i in chain) - 0.05 * sum(segs[b][0] - segs[a][0] - segs[a][2] + segs[b][1] - segs[a][1] - segs[a][2] for a, b in zip(chain, chain[1:]))
+        assert score == pytest.approx(max(best.values()))
+
+
+def test_seeds_are_the_least_of_their_windows():
+    rng = np.random.default_rng(4)
+    lens = np.array([0, 3, 9, 10, 11, 60, 1, 200])
+    h = rng.integers(0, 1 << 63, lens.sum(), dtype=np.int64).astype(np.uint64)
+    h[40:50] = h[40]
+    d = np.repeat(np.arange(len(lens)), lens)
+    for w in (1, 4, 10, 26):
+        want = np.zeros(len(h), bool)
+        for a, n in zip(np.cumsum(lens) - lens, lens):
+            for i in range(max(1, n - w + 1) if n else 0):
+                window = (h[a + i : a + min(n, i + w)] >> np.uint64(24)).tolist()
+                want[a + i + len(window) - 1 - window[::-1].index(min(window))] = True
+        assert (substring_dedup.minimizers(h, d, lens, w) == want).all()
+
+
+def test_recall_of_edited_passages(spark):
+    """Passages of 60 to 300 words with changed, dropped and added words, against the passages that were planted."""
+    rng = random.Random(31)
+    fresh = lambda n: [f"z{rng.randrange(6000)}" for _ in range(n)]
+    docs, planted = [], {}
+    for kind, share in enumerate((0.05, 0.1, 0.125, 0.15)):
+        for size in (60, 100, 300):
+            for _ in range(10):
+                a, passage = len(docs), fresh(size)
+                edited = []
+                for j, w in enumerate(passage):
+                    # every eighth word for the third kind, else at random, a tenth of them dropped and a tenth added
+                    hit = j % 8 == 3 if kind == 2 else rng.random() < share
+                    edited += [w] if not hit else fresh(1) if kind == 2 or (r := rng.random()) < 0.8 else [] if r < 0.9 else [w, *fresh(1)]
+                planted[a + 1, a] = (kind, size)
+                docs += [(a, fresh(rng.randrange(50)) + passage + fresh(40)), (a + 1, fresh(rng.randrange(90)) + edited + fresh(10))]
+    got = {}
+    for r in substring_dedup.shared_passages(table(spark, [(i, " ".join(w), "s") for i, w in docs])).collect():
+        got[r["doc_id"], r["other_id"]] = max(got.get((r["doc_id"], r["other_id"]), 0), r["end_word"] - r["start_word"])
+    assert set(got) <= set(planted)
+    found = Counter((kind, size) for pair, (kind, size) in planted.items() if got.get(pair, 0) >= 0.8 * size - 5)
+    total = Counter(planted.values())
+    assert all(found[x] == total[x] for x in total if x[1] == 300)
+    assert sum(found.values()) / sum(total.values()) > 0.9, found
+
+
+def test_passage_whose_halves_stand_elsewhere(spark):
+    rng = random.Random(41)
+    fresh = lambda n: [f"z{rng.randrange(6000)}" for _ in range(n)]
+    p = fresh(80)
+    docs = {1: p[:40], 8: p[:40], 2: p[40:], 9: p[40:], 3: p, 4: p}
+    got = substring_dedup.shared_passages(table(spark, [(i, " ".join(fresh(30) + x + fresh(30)), "s") for i, x in docs.items()])).collect()
+    assert [(r["doc_id"], r["other_id"], r["start_word"], r["end_word"]) for r in got if r["end_word"] - r["start_word"] >= 80] == [(4, 3, 30, 110)]
+
+
 def test_planted_passages_are_found_and_clean_documents_are_not(spark):
     rng = random.Random(9)
     fresh = lambda n: [f"z{rng.randrange(5000)}" for _ in range(n)]
