@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from facetgraph.functions import predicates as P
-from facetgraph.operators.exact import TOPK, rank_topk
+from facetgraph.operators.exact import TOPK, _batches, merge, rank_topk
 
 #: Vectors that the coarse and the product quantisers are fitted on, at most.
 FIT_ROWS = 20_000
@@ -81,18 +81,19 @@ def build(vectors: DataFrame, nlist: int) -> tuple[DataFrame, np.ndarray]:
 
 def search(lists: DataFrame, centers: np.ndarray, entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], k: int = 10, nprobe: int = 4, codec: str = "flat", rerank: int = 4, exclude_self: bool = True) -> DataFrame:
     """Filter inside the ``nprobe`` nearest lists; coded distances pick ``rerank`` * k candidates a batch, whose distances are then exact."""
-    if any(p.op in ("regex", "any", "all") or any(c.op in ("regex", "any", "all") for c in p.children) for p in predicates):
-        raise P.UnsupportedPredicate("inverted lists answer neither regex nor list predicates here")
     code = Codec(codec, sample_matrix(lists)) if codec != "flat" else Codec("flat", centers)
-    asked = queries.select("query_id", "qvec", "pred_id").collect()
-    q = np.array([r[1] for r in asked], np.float64).reshape(len(asked), -1)
-    qid, pred = np.array([r[0] for r in asked]), np.array([r[2] for r in asked])
-    d = np.einsum("ij,ij->i", centers, centers)[None, :] - 2 * q @ centers.T
-    probe = np.argsort(d, axis=1)[:, : min(nprobe, len(centers))]
-    by_list: dict[int, list[int]] = {}
-    for i, row in enumerate(probe):
-        for c in row.tolist():
-            by_list.setdefault(c, []).append(i)
+    rows = lists.select("id", "vec", "list").join(entities.select("id", P.passes(predicates).alias("passes")).where(F.size("passes") > 0), "id")
+    parts = []
+    for qid, q, pred in _batches(queries):
+        d = np.einsum("ij,ij->i", centers, centers)[None, :] - 2 * q @ centers.T
+        probe = np.argsort(d, axis=1)[:, : min(nprobe, len(centers))]
+        by_list: dict[int, np.ndarray] = {c: np.flatnonzero((probe == c).any(axis=1)) for c in np.unique(probe).tolist()}
+        parts.append(rows.where(F.col("list").isin(list(by_list))).mapInArrow(_probe(qid, q, pred, by_list, code, k, rerank, exclude_self), TOPK))
+    return merge(parts, k) if parts else rank_topk(queries.where("false").select("query_id", F.col("query_id").alias("id"), F.lit(0.0).alias("dist")), 0)
+
+
+def _probe(qid: np.ndarray, q: np.ndarray, pred: np.ndarray, by_list: dict[int, np.ndarray], code: Codec, k: int, rerank: int, exclude_self: bool):
+    """One batch of rows against the queries that probe their lists; which rows pass which query's predicate is one boolean matrix a batch."""
     schema = pa.schema([("query_id", pa.int64()), ("id", pa.int64()), ("dist", pa.float64())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -101,17 +102,19 @@ def search(lists: DataFrame, centers: np.ndarray, entities: DataFrame, queries:
                 continue
             x = np.asarray(b.column("vec").flatten(), np.float64).reshape(b.num_rows, -1)
             y, own, at = code.decode(x), b.column("id").to_numpy(), b.column("list").to_numpy()
-            passes = b.column("passes").to_pylist()
+            lists = b.column("passes")
+            ok_by = np.zeros((int(pred.max()) + 1, b.num_rows), bool)
+            flat, who = np.asarray(lists.flatten()), np.repeat(np.arange(b.num_rows), np.asarray(pa.compute.list_value_length(lists)))
+            known = flat < len(ok_by)
+            ok_by[flat[known], who[known]] = True
             for c in np.unique(at).tolist():
-                rows = np.flatnonzero(at == c)
-                for i in by_list.get(c, ()):
-                    ok = np.array([r for r in rows if pred[i] in passes[r] and not (exclude_self and own[r] == qid[i])], np.int64)
+                mine = at == c
+                for i in by_list.get(c, np.empty(0, np.int64)).tolist():
+                    ok = np.flatnonzero(mine & ok_by[pred[i]] & ((own != qid[i]) | (not exclude_self)))
                     if not len(ok):
                         continue
                     near = ok[np.argsort(((y[ok] - q[i]) ** 2).sum(1), kind="stable")[: k * (1 if code.codec == "flat" else rerank)]]
                     diff = x[near] - q[i]
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(near), qid[i])), pa.array(own[near]), pa.array(np.einsum("ij,ij->i", diff, diff))], schema=schema)
 
-    wanted = sorted(by_list)
-    rows = lists.where(F.col("list").isin(wanted)).join(entities.select("id", P.passes(predicates).alias("passes")), "id").select("id", "vec", "list", "passes")
-    return rank_topk(rows.mapInArrow(run, TOPK), k)
+    return run

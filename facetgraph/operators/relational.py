@@ -7,20 +7,22 @@ from pyspark.sql import functions as F
 
 
 def asof_join(left: DataFrame, right: DataFrame, left_ts: str, right_ts: str, keep: str, bucket: str = "day") -> DataFrame:
-    """The latest right row at or before each left row, over time buckets.
+    """The latest right row at or before each left row; of several at one time the greatest ``keep``.
 
-    Each left row meets the rows of its own bucket and the last row of the nearest earlier one, which a
-    running maximum over the bucket table gives: no left row meets the whole right side.
+    Both sides are one stream, sorted inside time buckets, where each left row takes the last right row before it; a bucket without
+    one takes it from the buckets before, by a running maximum over one row for each bucket. Work is linear in the rows but for the sort.
     """
-    b = lambda c: F.date_trunc(bucket, F.col(c))
-    r = right.select(F.col(right_ts).alias("__ts"), F.col(keep).alias("__keep"), b(right_ts).alias("__b"))
-    ends = r.groupBy("__b").agg(F.max(F.struct("__ts", "__keep")).alias("__last"))
-    l = left.withColumn("__b", b(left_ts)).withColumn("__row", F.monotonically_increasing_id())
-    marks = ends.select("__b", "__last").unionByName(l.select("__b").distinct().withColumn("__last", F.lit(None)), allowMissingColumns=True).groupBy("__b").agg(F.max("__last").alias("__last"))
-    carried = marks.withColumn("__before", F.max("__last").over(Window.orderBy("__b").rowsBetween(Window.unboundedPreceding, -1))).select("__b", "__before")
-    own = l.join(r, "__b", "left").where(F.col("__ts").isNull() | (F.col("__ts") <= F.col(left_ts)))
-    best = own.groupBy("__row").agg(F.max(F.when(F.col("__ts").isNotNull(), F.struct("__ts", "__keep"))).alias("__best"))
-    return l.join(carried, "__b", "left").join(best, "__row", "left").withColumn("__hit", F.coalesce("__best", "__before")).select(*left.columns, F.col("__hit.__ts").alias(right_ts), F.col("__hit.__keep").alias(keep))
+    b = lambda c: F.date_trunc(bucket, F.col(c)).alias("__b")
+    hit = F.struct(F.col(right_ts).alias("__ts"), F.col(keep).alias("__keep"))
+    r = right.select(b(right_ts), F.col(right_ts).alias("__at"), F.lit(0).alias("__side"), hit.alias("__hit"))
+    l = left.select(b(left_ts), F.col(left_ts).alias("__at"), F.lit(1).alias("__side"), F.struct(*left.columns).alias("__row"))
+    both = r.unionByName(l, allowMissingColumns=True)
+    order = Window.partitionBy("__b").orderBy("__at", "__side", "__hit").rowsBetween(Window.unboundedPreceding, 0)
+    met = both.withColumn("__own", F.last("__hit", ignorenulls=True).over(order)).where("__side = 1")
+    ends = both.groupBy("__b").agg(F.max("__hit").alias("__last"))
+    carried = ends.select("__b", F.max("__last").over(Window.orderBy("__b").rowsBetween(Window.unboundedPreceding, -1)).alias("__before"))
+    found = met.join(carried, "__b", "left").select("__row", F.coalesce("__own", "__before").alias("__hit"))
+    return found.select(*[F.col("__row")[c].alias(c) for c in left.columns], F.col("__hit.__ts").alias(right_ts), F.col("__hit.__keep").alias(keep))
 
 
 def range_join(points: DataFrame, ranges: DataFrame, at: str, low: str, high: str, unit: str = "month") -> DataFrame:

@@ -31,6 +31,11 @@ class Workload:
     view: str = "vec"
     step: int = T.QUERY_STEP
 
+    @property
+    def first(self) -> int:
+        """Anchors are no queries where keywords are named after them."""
+        return T.ANCHORS if self.view == "vec" else 0
+
 
 def turn(n: int) -> tuple[Callable[[], Column], str]:
     return (lambda: F.pmod(F.floor(F.col("id") / T.QUERY_STEP), F.lit(n)).cast("int")), f"(id // {T.QUERY_STEP}) % {n}"
@@ -54,11 +59,13 @@ WORKLOADS = {
     "regex": Workload(tuple(P.regex("caption", x) for x in PATTERNS), *turn(5)),
     "kw_no": _keyword(*turn(T.ANCHORS)),
     "kw_pos": _keyword(lambda: F.get("keywords", F.lit(0)).cast("int"), "keywords[1]"),
+    "kw_neg": _keyword(lambda: F.col("worst").cast("int"), "worst"),
     "price": Workload(tuple(P.between("o_totalprice", 60_000.0 * i, 60_000.0 * (i + 1)) for i in range(6)), *turn(6)),
     "outlier": Workload(tuple(P.ne("label", c) for c in range(10)), lambda: F.col("label"), "label"),
     "mixed": Workload((P.eq("cat12", 3), ~P.eq("label", 4), P.in_("lang", ["fr", "de"]) | P.gt("props_k", 90), P.is_null("brands"), P.like("caption", "Th%"), P.lt("props_k", 5), P.always(), P.never()), *turn(8)),
     "lang_same": Workload(tuple(P.eq("lang", x) for x in LANGS), lambda: F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1, "list_position(['de', 'en', 'es', 'fr'], lang) - 1", view="doc", step=50),
     "lang_other": Workload(tuple(P.ne("lang", x) for x in LANGS), lambda: F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1, "list_position(['de', 'en', 'es', 'fr'], lang) - 1", view="doc", step=50),
+    "lang_next": Workload(tuple(P.eq("lang", x) for x in LANGS), lambda: F.pmod(F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")), F.lit(4)).cast("int"), "list_position(['de', 'en', 'es', 'fr'], lang) % 4", view="doc", step=50),
     "topic": Workload(tuple(P.in_("source", [f"src{i}", f"src{i + 10}"]) & P.between("n_chars", 500, 4000) for i in range(10)), *turn(10), view="doc", step=50),
     "doc12": Workload(tuple(P.eq("cat12", c) for c in range(1, 13)), *turn(12), view="doc", step=50),
 }
@@ -69,7 +76,7 @@ def entities(spark: SparkSession, directory: str, w: Workload) -> DataFrame:
 
 
 def queries(rows: DataFrame, w: Workload) -> DataFrame:
-    return T.query_set(rows, w.pick(), w.step)
+    return T.query_set(rows, w.pick(), w.step, w.first)
 
 
 SQL_ENTITY_DOC = (
@@ -83,7 +90,7 @@ entity AS (SELECT dv.id, dv.vec, d.lang, d.source, d.n_chars, (1 + ((d.doc_id *
 def sql_with(w: Workload) -> str:
     """CTEs entity, ok (id, vec, passes) and queries."""
     view = SQL_ENTITY_DOC if w.view == "doc" else T.SQL_ENTITY_VEC
-    return f"WITH {view},\nok AS (SELECT id, vec, {P.sql_passes(list(w.predicates))} AS passes FROM entity),\n{T.sql_queries(w.pick_sql, w.step)}"
+    return f"WITH {view},\nok AS (SELECT id, vec, {P.sql_passes(list(w.predicates))} AS passes FROM entity),\n{T.sql_queries(w.pick_sql, w.step, first=w.first)}"
 
 
 def sql_topk(w: Workload, k: int = 10, metric: str = "l2_squared") -> str:

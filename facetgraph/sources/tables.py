@@ -17,6 +17,19 @@ def load(spark: SparkSession, directory: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{directory}/{name}.parquet")
 
 
+def load_text(spark: SparkSession, path: str, schema: str, form: str = "csv") -> DataFrame:
+    """A table from CSV with a header, or from JSON lines. Arrays in CSV are written as JSON in one field; null and bad rows are told by ``_bad``."""
+    if form == "json":
+        return spark.read.schema(f"{schema}, _bad string").option("columnNameOfCorruptRecord", "_bad").json(path)
+    if form != "csv":
+        raise ValueError("form must be csv or json")
+    wanted = spark.createDataFrame([], schema).schema
+    nested = {f.name for f in wanted.fields if f.dataType.typeName() in ("array", "struct", "map")}
+    flat = ", ".join(f"`{f.name}` {'string' if f.name in nested else f.dataType.simpleString()}" for f in wanted.fields)
+    raw = spark.read.schema(f"{flat}, _bad string").option("header", True).option("columnNameOfCorruptRecord", "_bad").option("escape", '"').csv(path)
+    return raw.select(*[F.from_json(f.name, f.dataType.simpleString()).alias(f.name) if f.name in nested else F.col(f.name) for f in wanted.fields], "_bad")
+
+
 def views(spark: SparkSession, directory: str) -> dict[str, DataFrame]:
     out = {name: load(spark, directory, name) for name in TABLES}
     for name, df in out.items():
@@ -35,15 +48,16 @@ def brands_of_order(spark: SparkSession, directory: str) -> DataFrame:
 
 
 def keywords_of(vectors: DataFrame) -> DataFrame:
-    """id, keywords: of the first ANCHORS vectors the KEYWORDS with the largest inner product, ties by id; the anchors are few and travel as a literal."""
+    """id, keywords, worst: of the first ANCHORS vectors the KEYWORDS with the largest inner product, ties by id, and the last one; the anchors are few and travel as a literal."""
     anchors = vectors.where(F.col("id") < ANCHORS).orderBy("id").select("id", "vec").collect()
     literal = F.array(*[F.struct(F.lit(a["id"]).cast("long").alias("a"), F.array(*[F.lit(float(x)) for x in a["vec"]]).alias("v")) for a in anchors])
     scored = F.transform(literal, lambda z: F.struct((-V.inner_product(F.col("vec"), z["v"])).alias("s"), z["a"].alias("a")))
-    return vectors.select("id", F.transform(F.slice(F.array_sort(scored), 1, KEYWORDS), lambda z: z["a"]).alias("keywords"))
+    ranked = vectors.select("id", F.array_sort(scored).alias("r"))
+    return ranked.select("id", F.transform(F.slice("r", 1, KEYWORDS), lambda z: z["a"]).alias("keywords"), F.get("r", F.size("r") - 1)["a"].alias("worst"))
 
 
 def entity_vec(spark: SparkSession, directory: str, keywords: bool = False) -> DataFrame:
-    """id, vec, label, cat12, o_date, o_totalprice, brands, caption, lang, source, props_k, ev_ts and, on request, keywords."""
+    """id, vec, label, cat12, o_date, o_totalprice, brands, caption, lang, source, props_k, ev_ts and, on request, keywords and worst."""
     emb = load(spark, directory, "embeddings")
     docs = load(spark, directory, "documents")
     n = docs.count()
@@ -80,9 +94,9 @@ def query_conv(spark: SparkSession, directory: str) -> DataFrame:
     return text_vector(turns, "query_id", "text").withColumnRenamed("vec", "qvec")
 
 
-def query_set(entities: DataFrame, pred_id, step: int = QUERY_STEP) -> DataFrame:
-    """query_id, qvec, pred_id: the stated query set, every ``step``-th entity."""
-    chosen = entities.where((F.pmod(F.col("id"), F.lit(step)) == 0) & (F.col("id") >= ANCHORS))
+def query_set(entities: DataFrame, pred_id, step: int = QUERY_STEP, first: int = ANCHORS) -> DataFrame:
+    """query_id, qvec, pred_id: the stated query set, every ``step``-th entity from ``first``."""
+    chosen = entities.where((F.pmod(F.col("id"), F.lit(step)) == 0) & (F.col("id") >= first))
     return chosen.select(F.col("id").alias("query_id"), F.col("vec").alias("qvec"), pred_id.cast("int").alias("pred_id"))
 
 
@@ -91,9 +105,9 @@ SQL_BRANDS = "SELECT l_orderkey AS order_id, list_sort(list(DISTINCT p_brand)) A
 SQL_ENTITY_VEC = f"""brand_lists AS ({SQL_BRANDS}),
 base AS (SELECT vec_id AS id, embedding::DOUBLE[] AS vec, label, (1 + ((vec_id * 2654435761) % 4294967296) % 12)::INT AS cat12 FROM embeddings),
 anchors AS (SELECT id AS a, vec AS av FROM base WHERE id < {ANCHORS}),
-kw AS (SELECT id, list(a ORDER BY r) AS keywords FROM (
-  SELECT id, a, row_number() OVER (PARTITION BY id ORDER BY {V.sql_distance('inner_product', 'vec', 'av')}, a) AS r FROM base, anchors) WHERE r <= {KEYWORDS} GROUP BY id),
-entity AS (SELECT b.*, o.o_orderdate AS o_date, o.o_totalprice, l.brands, d.text AS caption, d.lang, d.source, json_extract_string(e.props, '$.k')::INT AS props_k, e.ts AS ev_ts, kw.keywords
+kw AS (SELECT id, list(a ORDER BY r) FILTER (WHERE r <= {KEYWORDS}) AS keywords, arg_max(a, r) AS worst FROM (
+  SELECT id, a, row_number() OVER (PARTITION BY id ORDER BY {V.sql_distance('inner_product', 'vec', 'av')}, a) AS r FROM base, anchors) GROUP BY id),
+entity AS (SELECT b.*, o.o_orderdate AS o_date, o.o_totalprice, l.brands, d.text AS caption, d.lang, d.source, json_extract_string(e.props, '$.k')::INT AS props_k, e.ts AS ev_ts, kw.keywords, kw.worst
   FROM base b LEFT JOIN orders o ON o.o_orderkey = b.id LEFT JOIN brand_lists l ON l.order_id = b.id LEFT JOIN events e ON e.event_id = b.id
   LEFT JOIN documents d ON d.doc_id = b.id % (SELECT count(*) FROM documents) LEFT JOIN kw ON kw.id = b.id)"""
 
@@ -107,5 +121,5 @@ def sql_text_vector(name: str, source: str, key: str) -> str:
 {name} AS (SELECT {key}, list_transform(v, lambda x: x / sqrt({V.sql_fold('v', 'v', 'z[1] * z[2]')})) AS vec FROM {name}_full)"""
 
 
-def sql_queries(pred: str, step: int = QUERY_STEP, entity: str = "entity") -> str:
-    return f"queries AS (SELECT id AS query_id, vec AS qvec, ({pred})::INT AS pred_id FROM {entity} WHERE id % {step} = 0 AND id >= {ANCHORS})"
+def sql_queries(pred: str, step: int = QUERY_STEP, entity: str = "entity", first: int = ANCHORS) -> str:
+    return f"queries AS (SELECT id AS query_id, vec AS qvec, ({pred})::INT AS pred_id FROM {entity} WHERE id % {step} = 0 AND id >= {first})"

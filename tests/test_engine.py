@@ -108,8 +108,13 @@ def test_unsupported_predicates(entity, asked):
     p = [P.regex("caption", "a")]
     with pytest.raises(P.UnsupportedPredicate):
         baselines.label_graph_search(entity, asked, p, "filtered")
-    with pytest.raises(P.UnsupportedPredicate):
-        ivf.search(entity, None, entity, asked, p)
+
+
+def test_inverted_lists_take_any_predicate(entity, asked):
+    preds = [P.regex("caption", "a"), P.contains_any("brands", ["Brand#11", "Brand#32"])]
+    q = asked.withColumn("pred_id", F.pmod("query_id", F.lit(2)).cast("int"))
+    lists, centers = ivf.build(entity.select("id", "vec"), 8)
+    assert rows(ivf.search(lists, centers, entity, q, preds, 10, 8).select("query_id", "rank", "id")) == rows(exact.prefilter(entity, q, preds).select("query_id", "rank", "id"))
 
 
 def test_empty_and_null_cases(spark, entity, asked):
