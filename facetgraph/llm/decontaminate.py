@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.graph import written
-from facetgraph.llm.textkit import ALNUM, Words, emit, in_sieve, numbers, pressed, sieve_of, text_chunks, unpressed
+from facetgraph.llm.textkit import ALNUM, Words, arrow, emit, in_sieve, numbers, pressed, sieve_of, text_chunks, unpressed
 
 WINDOW = 13
 #: A document is contaminated when SHARE times its hit words reach its words.
@@ -61,7 +61,7 @@ def index_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def build_index(documents: DataFrame) -> DataFrame:
     """The stored index: one row for each shard of documents."""
     docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).withColumn("text_hash", F.xxhash64("text"))
-    return written(docs.mapInArrow(index_kernel, SHARD_SQL).withColumn("shard", F.monotonically_increasing_id()))
+    return written(docs.transform(arrow, index_kernel, SHARD_SQL).withColumn("shard", F.monotonically_increasing_id()))
 
 
 class Shard:
@@ -202,16 +202,16 @@ def document_hits(index: DataFrame, benchmark: DataFrame, width: int = WINDOW, s
     """shard, row, doc_id, text_hash, n_words, n_hit, items and merged hit spans of every indexed document."""
     parts = slices(benchmark, width, slice_bytes)
     first = next(parts)
-    found = index.mapInArrow(hits_kernel(first, True), HITS_SQL)
+    found = index.transform(arrow, hits_kernel(first, True), HITS_SQL)
     # of later slices only the documents with hits
-    more = [index.mapInArrow(hits_kernel(w, False), HITS_SQL) for w in parts]
+    more = [index.transform(arrow, hits_kernel(w, False), HITS_SQL) for w in parts]
     if not more:
         return found
     for x in more:
         found = found.union(x)
     key = ["shard", "row"]
     whole = found.groupBy(*key).agg(*[F.first(c).alias(c) for c in ("doc_id", "text_hash", "n_words")], F.lit(0).cast("long").alias("n_hit"), F.flatten(F.collect_list("items")).alias("items"), F.flatten(F.collect_list("spans")).alias("spans"))
-    return whole.mapInArrow(united_kernel, HITS_SQL)
+    return whole.transform(arrow, united_kernel, HITS_SQL)
 
 
 def contaminated(n_hit: Column, n_words: Column) -> Column:
@@ -260,7 +260,7 @@ def search(index: DataFrame, queries: DataFrame, within: int | None = None) -> D
                         d = shard.document(at)
                         yield from emit(FOUND, [np.full(len(at), query), shard.doc_ids.take(pa.array(d, pa.int64())), at - shard.starts[d]])
 
-        found = index.mapInArrow(run, "query_id long, doc_id long, start long")
+        found = index.transform(arrow, run, "query_id long, doc_id long, start long")
         out = found if out is None else out.union(found)
     return out.distinct()
 

@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from facetgraph.llm.textkit import emit
+from facetgraph.llm.textkit import arrow, emit
 
 #: Text bytes whose keys one bucket holds; least and most text bytes of a chunk, and those it has for each bucket.
 BUCKET_BYTES, LEAST_CHUNK, MOST_CHUNK, CHUNK_SHARE = 8 << 20, 4 << 20, 32 << 20, 4 << 10
@@ -100,4 +100,4 @@ def text_rows(documents: DataFrame, plan: Plan, schema: pa.Schema, sql: str) ->
             given = {"chunk": chunk_name(ids, texts), "bucket": -1, "piece": packed_chunk(ids, texts)}
             yield from emit(schema, [[given.get(name, 0)] for name in schema.names])
 
-    return documents.mapInArrow(run, sql)
+    return documents.transform(arrow, run, sql)

@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 
 from facetgraph.llm.exchange import Plan, bucket_cuts, chunk_name, chunks, of_documents, text_rows, unpacked_chunk
 from facetgraph.llm.graph import settled, written
-from facetgraph.llm.textkit import ALNUM, Words, emit, mix, pressed, runs, sieve_kernel, sieve_of, unpressed
+from facetgraph.llm.textkit import ALNUM, Words, arrow, emit, mix, pressed, runs, sieve_kernel, sieve_of, unpressed
 
 #: Words of the uniform estimate.
 UNIGRAMS = 1 << 18
@@ -152,14 +152,14 @@ def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = N
     asked = documents if scored is None else settled(of_documents(scored))
     plan = Plan.of(documents)
     marked = targets.select(F.col("doc_id").cast("long")).where("doc_id is not null")
-    good = documents.mapInArrow(sieve_kernel(sieve_of(marked, "doc_id")), "doc_id long, text string").join(marked, "doc_id", "left_semi")
-    asks = documents.mapInArrow(ask_kernel(BACKGROUND, plan), ASK_SQL).union(good.mapInArrow(ask_kernel(TARGET, plan), ASK_SQL))
+    good = documents.transform(arrow, sieve_kernel(sieve_of(marked, "doc_id")), "doc_id long, text string").join(marked, "doc_id", "left_semi")
+    asks = documents.transform(arrow, ask_kernel(BACKGROUND, plan), ASK_SQL).union(good.transform(arrow, ask_kernel(TARGET, plan), ASK_SQL))
     if scored is not None:
-        asks = asks.union(asked.mapInArrow(ask_kernel(UNCOUNTED, plan), ASK_SQL))
-    answers = written(asks.repartition(plan.tasks, "bucket").sortWithinPartitions("bucket").mapInArrow(sum_kernel, ANSWER_SQL))
+        asks = asks.union(asked.transform(arrow, ask_kernel(UNCOUNTED, plan), ASK_SQL))
+    answers = written(asks.repartition(plan.tasks, "bucket").sortWithinPartitions("bucket").transform(arrow, sum_kernel, ANSWER_SQL))
     sums = answers.where("chunk is null").agg(F.sum("tokens"), F.sum("target_tokens")).first()
     rows = text_rows(asked, plan, ANSWER, ANSWER_SQL).union(answers.where("chunk is not null"))
-    found = rows.repartition(plan.tasks, "chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
+    found = rows.repartition(plan.tasks, "chunk").sortWithinPartitions("chunk", "bucket").transform(arrow, score_kernel([sums[0] or 0, sums[1] or 0]), SCORE_SQL)
     return found.withColumn("score", F.col("target_loss") - F.col("background_loss"))
 
 

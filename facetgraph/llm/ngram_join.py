@@ -42,7 +42,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.graph import components, cut, written
-from facetgraph.llm.textkit import BLANK, Words, emit, in_sieve, numbers, runs, sieve_kernel, sieve_of, signed, text_chunks
+from facetgraph.llm.textkit import BLANK, Words, arrow, emit, in_sieve, numbers, runs, sieve_kernel, sieve_of, signed, text_chunks
 
 WORDS = 5
 #: Jaccard threshold as a fraction of integers.
@@ -345,9 +345,9 @@ def upto(n: str):
 
 def searched(docs: DataFrame, deals: DataFrame, k: int, num: int, den: int, heap_most: int) -> DataFrame:
     """DivideSkip in every block that ``deals`` (doc_id, cluster, i, j, side) makes; texts are read once and sent where they are dealt."""
-    near = docs.mapInArrow(sieve_kernel(sieve_of(deals, "doc_id")), "doc_id long, text string")
+    near = docs.transform(arrow, sieve_kernel(sieve_of(deals, "doc_id")), "doc_id long, text string")
     keys = ["cluster", "i", "j"]
-    return near.join(deals, "doc_id").repartition(*keys).sortWithinPartitions(*keys, "doc_id", "side").mapInArrow(block_kernel(k, num, den, heap_most), sql_schema(LINK))
+    return near.join(deals, "doc_id").repartition(*keys).sortWithinPartitions(*keys, "doc_id", "side").transform(arrow, block_kernel(k, num, den, heap_most), sql_schema(LINK))
 
 
 def chunk_count(rows: str, shingles: str, block_rows: int):
@@ -377,7 +377,7 @@ def large_clusters(docs: DataFrame, members: DataFrame, search, block_rows: int)
 def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = NUMERATOR, den: int = DENOMINATOR, block_rows: int = BLOCK_ROWS, heap_most: int = HEAP_MOST) -> DataFrame:
     """doc_id, n_shingles, component_id (the smallest doc_id that links reach), a row for each row of ``documents``."""
     docs = documents.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
-    scan = written(docs.mapInArrow(scan_kernel(k), sql_schema(SCAN)))
+    scan = written(docs.transform(arrow, scan_kernel(k), sql_schema(SCAN)))
     cells = scan.where("kind = 0").groupBy("a").agg(F.sum("n").alias("n")).collect()  # LENGTH_CELLS rows at most
     length = np.zeros(LENGTH_CELLS, np.int64)
     for row in cells:
@@ -390,7 +390,7 @@ def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = N
     classes = written(each.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("first")))
     known = docs.where("doc_id is not null and text is not null")
 
-    postings = known.mapInArrow(posting_kernel(k, num, den, rank, sieve_of(classes, "first")), sql_schema(POSTING))
+    postings = known.transform(arrow, posting_kernel(k, num, den, rank, sieve_of(classes, "first")), sql_schema(POSTING))
     leaders = postings.groupBy("shingle").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader < last").select("shingle", "leader")
     posted = written(postings.join(leaders, "shingle").select("leader", "doc_id").distinct())
     signed_ = scan.where("kind = 1 and n > 0").select(F.col("a").alias("doc_id"), "n", "sig").dropDuplicates(["doc_id", "n", "sig"])
@@ -398,7 +398,7 @@ def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = N
     members = with_chunks(posted, "leader", several(posted, "leader", block_rows))
     pairs = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.struct(F.least("c", o).cast("int").alias("i"), F.greatest("c", o).cast("int").alias("j")))
     blocks = members.withColumn("at", F.explode(pairs)).select("leader", "doc_id", "at.i", "at.j").join(signed_, "doc_id")
-    near = blocks.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j").mapInArrow(candidate_kernel(num, den), sql_schema(LINK))
+    near = blocks.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j").transform(arrow, candidate_kernel(num, den), sql_schema(LINK))
     clusters = components(cut(near.distinct())).select(F.col("node").alias("doc_id"), F.col("component").alias("cluster"))
 
     sizes = scan.where("kind = 1").groupBy(F.col("a").alias("doc_id")).agg(F.max("n").alias("n"))

@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.labelled import fold, sample_ids, texts_of, training_labels
-from facetgraph.llm.textkit import Tokens, text_chunks
+from facetgraph.llm.textkit import Tokens, arrow, text_chunks
 
 FOLDS, HELD_OUT, CUT = 5, 0, 0.3
 STRETCH, WORD_STRETCH = 512, 64
@@ -180,7 +180,7 @@ def feature_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 def train(documents: DataFrame, labels: DataFrame, column: str = "quality", folds: int = FOLDS, held_out: int = HELD_OUT) -> Model:
     good = sample_ids(training_labels(labels, column, folds, held_out).where("label = 1")).select("doc_id", F.lit(1).alias("label"))
     web = sample_ids(documents.select("doc_id").distinct(), seed=8).select("doc_id", F.lit(0).alias("label"))
-    rows = texts_of(documents, good.union(web)).mapInArrow(feature_kernel, "label int, x binary").collect()
+    rows = texts_of(documents, good.union(web)).transform(arrow, feature_kernel, "label int, x binary").collect()
     rows = sorted((r["label"], bytes(r["x"])) for r in rows)
     take = lambda z: np.array([np.frombuffer(x, np.float64) for y, x in rows if y == z]).reshape(-1, WIDTH)
     rng = np.random.default_rng(5)

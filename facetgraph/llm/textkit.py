@@ -64,8 +64,7 @@ class Words:
 
     BASE = 0x9E3779B97F4A7C15
     #: Bytes whose sums are in memory at once; longer words than LONG are hashed by themselves.
-    BLOCK, LONG = 4 << 20, 1 << 20
-    _up = _down = np.empty(0, np.uint64)
+    BLOCK, LONG = 1 << 20, 1 << 20
 
     def __init__(self, texts: list[bytes], table: bytes):
         joined = b" ".join(texts).translate(table)
@@ -81,7 +80,7 @@ class Words:
             base = int(first[at])
             stop = max(at + 1, int(np.searchsorted(first, base + self.BLOCK)))
             end = min(int(last[stop - 1]), base + self.BLOCK + self.LONG)
-            up, down = self._powers(end - base + 1)
+            up, down = self.powers(end - base + 1)
             sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((data[base:end].astype(np.uint64) + np.uint64(1)) * down[: end - base], dtype=np.uint64)])
             x, y = first[at:stop] - base, np.minimum(last[at:stop], end) - base
             self.hashes[at:stop] = mix((sums[y] - sums[x]) * up[x] + mix((last[at:stop] - first[at:stop]).astype(np.uint64)))
@@ -93,11 +92,10 @@ class Words:
         self._place()
 
     @classmethod
-    def _powers(cls, n: int) -> tuple[np.ndarray, np.ndarray]:
-        if len(cls._up) < n:
-            grow = lambda base: np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(n, base, np.uint64)]), dtype=np.uint64)
-            cls._up, cls._down = grow(cls.BASE), grow(pow(cls.BASE, -1, 1 << 64))
-        return cls._up, cls._down
+    def powers(cls, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """The first n powers of the base and of its inverse."""
+        rise = lambda base: np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(n, base, np.uint64)]), dtype=np.uint64)
+        return rise(cls.BASE), rise(pow(cls.BASE, -1, 1 << 64))
 
     def _place(self) -> None:
         self.lens = np.diff(self.starts)
@@ -203,6 +201,28 @@ def emit(schema: pa.Schema, columns: list, most: int = 200_000) -> Iterator[pa.R
         yield pa.RecordBatch.from_arrays([x.slice(a, most) for x in arrays], schema=schema)
 
 
+def given_back(kernel):
+    """``kernel``, which returns its memory to the system when its task ends: workers are kept for other tasks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from kernel(batches)
+        finally:
+            import ctypes
+
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim:
+                trim(0)
+
+    return run
+
+
+def arrow(df: DataFrame, kernel, schema: str) -> DataFrame:
+    """``df.mapInArrow`` with a kernel that gives its memory back; for ``df.transform``."""
+    return df.mapInArrow(given_back(kernel), schema)
+
+
 #: Bits of a sieve: its size is fixed, so it lets more through as its keys grow and never keeps any out.
 SIEVE_BITS = 1 << 24
 
@@ -218,7 +238,7 @@ def sieve_of(rows: DataFrame, column: str) -> np.ndarray:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(_sieve_cell(batch.column(0).to_numpy(zero_copy_only=False)))], ["cell"])
 
-    cell = rows.select(F.col(column).cast("long")).where(F.col(column).isNotNull()).mapInArrow(cells, "cell long")
+    cell = rows.select(F.col(column).cast("long")).where(F.col(column).isNotNull()).transform(arrow, cells, "cell long")
     parts = cell.groupBy(F.expr("bitmap_bucket_number(cell)").alias("b")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(cell))").alias("bits")).collect()
     table = np.zeros((SIEVE_BITS // 32768 + 2, 4096), np.uint8)
     for part in parts:

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.labelled import fold, sample_ids, texts_of, training_labels
-from facetgraph.llm.textkit import Tokens, alnum_words, text_chunks
+from facetgraph.llm.textkit import Tokens, alnum_words, arrow, text_chunks
 
 BUCKETS, SEEN, FACTORS, STEM = 1 << 18, 3, 8, 4
 #: A stem that occurs so often is a further term.
@@ -145,7 +145,7 @@ def terms_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def train(documents: DataFrame, labels: DataFrame, column: str = "toxic", folds: int = FOLDS, held_out: int = HELD_OUT) -> Machine:
     sample = sample_ids(training_labels(labels, column, folds, held_out))
-    rows = texts_of(documents, sample).mapInArrow(terms_kernel, "label int, terms binary").collect()
+    rows = texts_of(documents, sample).transform(arrow, terms_kernel, "label int, terms binary").collect()
     rows = sorted(rows, key=lambda r: (r["label"], bytes(r["terms"])))  # the order of arrival must not matter
     return fit([np.frombuffer(r["terms"], np.int32) for r in rows], np.array([r["label"] for r in rows], float))
 
