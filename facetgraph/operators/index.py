@@ -141,11 +141,11 @@ def passing(entities: DataFrame, predicates: list[P.Predicate]) -> DataFrame:
     return entities.select("id", P.passes(predicates).alias("passes"))
 
 
-def search(index: DataFrame, entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], params: K.Params, k: int = 10, efs: int | tuple[int, ...] = 40, lookup: str = "auto", exclude_self: bool = True, fallback: bool = True, over: str | None = None) -> DataFrame:
+def search(index: DataFrame, entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], params: K.Params, k: int = 10, efs: int | tuple[int, ...] = 40, lookup: str = "auto", exclude_self: bool = True, fallback: bool = True, over: str | None = None, trials: int = 1) -> DataFrame:
     """Raw per-shard results with counters and seconds (see ``topk`` and ``stats``); several beam widths ``efs`` are searched in one pass.
 
     ``over``: post-filter. The walk ignores the predicate and collects k ("K"), k / s of the shard ("K/s"), or doubles
-    its width until k pass ("double"); what fails is dropped afterwards.
+    its width until k pass ("double"); what fails is dropped afterwards. ``trials``: repetitions that the seconds are a mean of.
     """
 
     beams = (efs,) if isinstance(efs, int) else tuple(efs)
@@ -171,8 +171,9 @@ def search(index: DataFrame, entities: DataFrame, queries: DataFrame, predicates
                 ok, own = bits[pred], qid if exclude_self else None
                 for beam in beams:
                     began = time.perf_counter()
-                    hits, c, route = K.search(g, q, k, beam, ok, lookup, own, fallback) if over is None else post_filter(g, q, k, beam, ok, own, over)
-                    count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, route, shard, beam, time.perf_counter() - began)
+                    for _ in range(trials):
+                        hits, c, route = K.search(g, q, k, beam, ok, lookup, own, fallback) if over is None else post_filter(g, q, k, beam, ok, own, over)
+                    count = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops, route, shard, beam, (time.perf_counter() - began) / trials)
                     rows += [(qid, v, d, *count) for d, v in hits] or [(qid, None, None, *count)]
         return found_table(rows)
 

@@ -24,6 +24,23 @@ def mean_recall(truth: DataFrame, got: DataFrame, k: int) -> float:
     return recall(truth, got, k).agg(F.avg("recall_adj")).first()[0] or 0.0
 
 
+def read_offs(curve: DataFrame, recall_for_distances: float = 0.8, recall_for_qps: float = 0.9, baseline: str = "oracle", pace: str = "dense") -> DataFrame:
+    """(measure, method, value, over_baseline) read from a curve of several methods: distances at one recall, queries a second at another, recall at
+    the pace that ``pace`` has there, and whether a point is on its method's frontier, as a count. ``over_baseline``: value over the baseline's, less 1."""
+    speed = qps_at_recall(curve, recall_for_qps)
+    at = speed.where(F.col("method") == pace).first()
+    parts = [distances_at_recall(curve, recall_for_distances).select(F.lit(f"distances at recall {recall_for_distances}").alias("measure"), "method", F.col("n_dist").alias("value"))]
+    parts.append(speed.select(F.lit(f"queries a second at recall {recall_for_qps}"), "method", "qps"))
+    if at is not None:
+        parts.append(recall_at_qps(curve, at["qps"]).select(F.lit(f"recall at the pace of {pace}"), "method", "recall"))
+    parts.append(pareto(curve).groupBy("method").agg(F.count("*").cast("double").alias("value")).select(F.lit("points on the frontier"), "method", "value"))
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.union(p)
+    base = out.where(F.col("method") == baseline).select("measure", F.col("value").alias("base"))
+    return out.join(base, "measure", "left").select("measure", "method", "value", (F.col("value") / F.col("base") - 1).alias("over_baseline"))
+
+
 def recall_by_distance(truth: DataFrame, got: DataFrame, k: int) -> DataFrame:
     """Recall that counts a result as right when it is no farther than the k-th true neighbour."""
     last = truth.groupBy("query_id").agg(F.max("dist").alias("bound"), F.count("*").alias("n"))
@@ -48,6 +65,29 @@ def tti(build: Callable[[], DataFrame], path: str) -> float:
     return time.perf_counter() - t
 
 
+def curve_of(found: DataFrame, truth: DataFrame, k: int) -> DataFrame:
+    """efs, recall, n_dist, n_pred_eval, pass_share, fallback_share, qps of raw search results at one or more beam widths.
+
+    Recall is of the true neighbours there are. Queries a second are of one thread, a query's shards one after another.
+    """
+    by = Window.partitionBy("efs", "query_id").orderBy("dist", "id")
+    got = found.where("id is not null").withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= k)
+    hits = got.join(truth.select("query_id", "id"), ["query_id", "id"]).groupBy("efs", "query_id").agg(F.count("*").alias("hits"))
+    true = truth.groupBy("query_id").agg(F.count("*").alias("n"))
+    counters = ["n_dist", "n_visited", "n_pred_eval", "n_passed", "seconds"]
+    shard = found.groupBy("efs", "query_id", "shard").agg(*[F.first(c).alias(c) for c in counters], F.first("route").alias("route"))
+    each = shard.groupBy("efs", "query_id").agg(*[F.sum(c).alias(c) for c in counters], F.max(F.col("route").contains("fallback").cast("int")).alias("fell"))
+    joined = each.join(true, "query_id", "left").join(hits, ["efs", "query_id"], "left")
+    return joined.groupBy("efs").agg(
+        F.avg(F.when(F.col("n") > 0, F.coalesce("hits", F.lit(0)) / F.col("n"))).alias("recall"),
+        F.avg("n_dist").alias("n_dist"),
+        F.avg("n_pred_eval").alias("n_pred_eval"),
+        (F.sum("n_passed") / F.greatest(F.sum("n_visited"), F.lit(1))).alias("pass_share"),
+        F.avg("fell").alias("fallback_share"),
+        (F.lit(1.0) / F.avg("seconds")).alias("qps"),
+    )
+
+
 def pareto(curve: DataFrame) -> DataFrame:
     """Points (method, recall, qps) of a method that no other of it beats on both."""
     w = Window.partitionBy("method").orderBy(F.col("recall").desc(), F.col("qps").desc()).rowsBetween(Window.unboundedPreceding, -1)

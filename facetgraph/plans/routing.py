@@ -19,7 +19,8 @@ def estimate(entities: DataFrame, predicates: list[P.Predicate], method: str = "
     if method == "exact":
         return metrics.selectivity(entities, predicates).select("pred_id", F.col("selectivity").alias("s_est"))
     if method == "sample":
-        kept = entities.where(F.pmod(F.xxhash64(F.lit(seed), "id"), F.lit(10_000)) < int(fraction * 10_000))
+        drawn = F.conv(F.substring(F.md5(F.concat_ws("-", F.lit(seed), F.col("id").cast("string"))), 1, 8), 16, 10).cast("long")
+        kept = entities.where(drawn < int(fraction * (1 << 32)))
         return metrics.selectivity(kept, predicates).select("pred_id", F.coalesce("selectivity", F.lit(0.0)).alias("s_est"))
     if method == "histogram":
         return _histogram(entities, predicates)
@@ -36,12 +37,14 @@ def _histogram(entities: DataFrame, predicates: list[P.Predicate]) -> DataFrame:
     number = lambda f: F.unix_micros(F.col(f).cast("timestamp")).cast("double") if kinds[f].startswith(("timestamp", "date")) else F.col(f).cast("double")
     sketches = entities.agg(*[F.kll_sketch_agg_double(number(f)).alias(f"k_{f}") for f in fields], *[(F.count(f) / F.count("*")).alias(f"n_{f}") for f in fields])
 
-    def rank(p: P.Predicate, end: int, inclusive: str):
+    def rank(p: P.Predicate, end: int):
+        # the sketch's default rank counts what is at most the value, so a range's lower end is counted as outside: for values that
+        # hardly repeat that is within the sketch's error, and it makes the estimate of a range of one value 0
         value = F.lit(p.value[end])
         value = F.unix_micros(value.cast("timestamp")).cast("double") if kinds[p.field].startswith(("timestamp", "date")) else value.cast("double")
         return F.kll_sketch_get_rank_double(F.col(f"k_{p.field}"), value)
 
-    parts = [F.struct(F.lit(i).alias("pred_id"), (F.greatest(F.lit(0.0), rank(p, 1, "true") - rank(p, 0, "false")) * F.col(f"n_{p.field}")).alias("s_est")) for i, p in enumerate(predicates)]
+    parts = [F.struct(F.lit(i).alias("pred_id"), (F.greatest(F.lit(0.0), rank(p, 1) - rank(p, 0)) * F.col(f"n_{p.field}")).alias("s_est")) for i, p in enumerate(predicates)]
     return sketches.select(F.inline(F.array(*parts)))
 
 
@@ -100,26 +103,36 @@ def raise_gamma(entities: DataFrame, queries: DataFrame, predicates: list[P.Pred
     return steps
 
 
-def grid(entities: DataFrame, queries: DataFrame, truth: DataFrame, ms=(32, 64, 128), efcs=(40, 80, 120, 160, 200), efs: int = 40, k: int = 10) -> list[dict]:
-    """Recall and distances of plain graphs over a grid of m and efc."""
-    out = []
-    everything = [P.always()]
-    plain = queries.withColumn("pred_id", F.lit(0))
+def best_at(curve: DataFrame, target: float = 0.9) -> tuple[str, float] | None:
+    """The method with the highest pace at a recall, and the pace; None if none comes there."""
+    row = metrics.qps_at_recall(curve, target).orderBy(F.col("qps").desc(), "method").first()
+    return (row["method"], row["qps"]) if row else None
+
+
+def united(parts: list[tuple[str, DataFrame]]) -> DataFrame:
+    out = None
+    for name, c in parts:
+        one = c.select(F.lit(name).alias("method"), "efs", "recall", "n_dist", "qps")
+        out = one if out is None else out.union(one)
+    return out
+
+
+def grid(entities: DataFrame, queries: DataFrame, truth: DataFrame, ms=(32, 64, 128), efcs=(40, 80, 120, 160, 200), widths=(10, 40, 80, 160), k: int = 10) -> DataFrame:
+    """Curves of plain graphs over a grid of m and efc; ``best_at`` names the pair to take."""
+    plain, parts = queries.withColumn("pred_id", F.lit(0)), []
     for m, efc in itertools.product(ms, efcs):
         params = K.hnsw(m=m, efc=efc)
-        found = I.search(I.build(entities, params), entities, plain, everything, params, k, efs)
-        out.append({"m": m, "efc": efc, "recall": metrics.mean_recall(truth, I.topk(found, k), k), "n_dist": I.stats(found).agg(F.avg("n_dist")).first()[0]})
-    return out
+        found = I.search(I.build(entities, params), entities, plain, [P.always()], params, k, tuple(widths))
+        parts.append((f"m={m} efc={efc}", metrics.curve_of(found, truth, k)))
+    return united(parts)
 
 
-def choose_m_beta(entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], truth: DataFrame, m: int, gamma: int, budget_bytes: int, k: int = 10, efs: int = 40) -> dict | None:
-    """m or 2 m, the better recall among those whose index stays within the budget."""
-    best = None
+def choose_m_beta(entities: DataFrame, queries: DataFrame, predicates: list[P.Predicate], truth: DataFrame, m: int, gamma: int, budget_bytes: int, widths=(10, 40, 80, 160), k: int = 10) -> DataFrame:
+    """Curves of m_beta = m and 2 m, of those whose index stays within the budget; ``best_at`` names the one to take."""
+    parts = []
     for m_beta in (m, 2 * m):
         params = K.dense(m=m, gamma=gamma, m_beta=m_beta)
         index = I.build(entities, params)
-        size = sum(I.index_size(index).first())
-        got = metrics.mean_recall(truth, I.topk(I.search(index, entities, queries, predicates, params, k, efs), k), k)
-        if size <= budget_bytes and (best is None or got > best["recall"]):
-            best = {"m_beta": m_beta, "bytes": size, "recall": got}
-    return best
+        if sum(I.index_size(index).first()) <= budget_bytes:
+            parts.append((f"m_beta={m_beta}", metrics.curve_of(I.search(index, entities, queries, predicates, params, k, tuple(widths)), truth, k)))
+    return united(parts) if parts else entities.sparkSession.createDataFrame([], "method string, efs int, recall double, n_dist double, qps double")

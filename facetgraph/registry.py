@@ -139,7 +139,7 @@ p AS (SELECT *, k / n * exp(coalesce(sum(lg) OVER (PARTITION BY query_id ORDER B
 SELECT query_id, max(k)::BIGINT AS passing, round(sum(p * {value}), 5) AS expected, round(min(CASE WHEN ok THEN {value} END), 5) AS nearest FROM p GROUP BY query_id"""
 
 
-for _name, _workload, _rank in (("no", "kw_no", False), ("pos", "kw_pos", False), ("same_lang", "lang_same", False), ("other_lang", "lang_other", False), ("rank", "label", True)):
+for _name, _workload, _rank in (("no", "kw_no", False), ("pos", "kw_pos", False), ("neg", "kw_neg", False), ("same_lang", "lang_same", False), ("other_lang", "lang_other", False), ("rank", "label", True)):
 
     def _corr(spark, d, w=WORKLOADS[_workload], rank=_rank):
         e = entities(spark, d, w)
@@ -149,11 +149,22 @@ for _name, _workload, _rank in (("no", "kw_no", False), ("pos", "kw_pos", False)
     register(f"query_correlation_{_name}", _correlation_sql(WORKLOADS[_workload], _rank))(_corr)
 
 
-@register("query_correlation_three_targets")
+_LG = lambda n, k: f"(lgamma({n} + 1) - lgamma({k} + 1) - lgamma({n} - {k} + 1))"
+
+
+@register("query_correlation_three_targets", f"""{sql_with(WORKLOADS["label"])},
+pairs AS (SELECT q.query_id, e.id, list_contains(e.passes, q.pred_id) AS ok, sqrt({V.sql_distance("l2_squared", "e.vec", "q.qvec")}) AS dist FROM queries q JOIN ok e ON e.id <> q.query_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS i, count(*) OVER (PARTITION BY query_id) AS n, count(*) FILTER (WHERE ok) OVER (PARTITION BY query_id) AS k,
+  count(*) FILTER (WHERE ok) OVER (PARTITION BY query_id ORDER BY dist, id) AS t FROM pairs),
+x AS (SELECT query_id, dist, ok, t, k, sum(CASE WHEN i >= j AND k >= j AND n - i >= k - j THEN exp({_LG("(i - 1)", "(j - 1)")} + {_LG("(n - i)", "(k - j)")} - {_LG("n", "k")}) ELSE 0 END) AS p
+  FROM r CROSS JOIN (SELECT unnest([1, 2, 3]) AS j) GROUP BY query_id, id, dist, ok, t, k, i, n)
+SELECT query_id, max(k)::BIGINT AS passing, round(sum(p * dist), 4) AS expected, round(sum(CASE WHEN ok AND t <= 3 THEN dist END), 4) AS nearest, round(sum(p * dist) - sum(CASE WHEN ok AND t <= 3 THEN dist END), 4) AS correlation
+FROM x WHERE k > 0 GROUP BY query_id""")
 def query_correlation_three(spark, d):
     w = WORKLOADS["label"]
     e = entities(spark, d, w)
-    return metrics.query_correlation(e, queries(e, w), list(w.predicates), k_targets=3)
+    out = metrics.query_correlation(e, queries(e, w), list(w.predicates), k_targets=3)
+    return out.select("query_id", "passing", *[F.round(c, 4).alias(c) for c in ("expected", "nearest", "correlation")])
 
 
 @register("predicate_clustering", f"""WITH {T.SQL_ENTITY_VEC}, o AS (SELECT id, vec, {P.to_sql(P.contains_any("keywords", [3]))} AS ok FROM entity),
@@ -338,7 +349,10 @@ def estimate_bitmap(spark, d):
 
 
 register("estimate_histogram")(lambda spark, d: routing.estimate(T.entity_vec(spark, d), list(WORKLOADS["between"].predicates), "histogram"))
-register("estimate_sample")(lambda spark, d: routing.estimate(T.entity_vec(spark, d), list(WORKLOADS["between"].predicates), "sample", 0.5))
+_RANGES = WORKLOADS["between"]
+register("estimate_sample", f"{sql_with(_RANGES)}, kept AS (SELECT * FROM ok WHERE ('0x' || substr(md5('5-' || id), 1, 8))::BIGINT < {1 << 31}), n AS (SELECT count(*) AS n FROM kept) SELECT i::INT AS pred_id, round(coalesce(count(o.id) / max(n.n), 0), 6) AS s_est FROM (SELECT unnest(range({len(_RANGES.predicates)})) AS i) p CROSS JOIN n LEFT JOIN kept o ON list_contains(o.passes, p.i) GROUP BY i")(
+    lambda spark, d: rounded(routing.estimate(T.entity_vec(spark, d), list(_RANGES.predicates), "sample", 0.5), "s_est")
+)
 
 
 @register("routed_search")
@@ -350,9 +364,13 @@ def routed_search(spark, d):
 
 # --- experiments (no SQL form: finite beams) -----------------------------------------------------------------
 
-for _name in ("eq12", "any_brand", "between", "kw_pos", "kw_no", "price", "outlier", "lang_other", "topic"):
+for _name in ("eq12", "doc12", "any_brand", "between", "and", "regex", "kw_pos", "kw_no", "kw_neg", "price", "outlier", "lang_same", "lang_other", "lang_next", "topic"):
     register(f"recall_{_name}")(lambda spark, d, w=WORKLOADS[_name]: experiments.recall_table(spark, d, w))
-register("recall_curve")(lambda spark, d: experiments.curve(spark, d, WORKLOADS["eq12"]))
+for _name in ("eq12", "doc12"):
+    register(f"recall_curve_{_name}")(lambda spark, d, w=WORKLOADS[_name]: experiments.curve(spark, d, w))
+    register(f"read_offs_{_name}")(lambda spark, d, w=WORKLOADS[_name]: experiments.read_offs(spark, d, w))
+register("recall_scale")(lambda spark, d: experiments.scale_series(spark, d))
+register("inverted_lists_pareto_best")(lambda spark, d: experiments.inverted_lists(spark, d))
 register("index_costs")(lambda spark, d: experiments.index_costs(spark, d))
 register("out_degree")(lambda spark, d: experiments.degrees(spark, d))
 register("graph_quality")(lambda spark, d: experiments.graph_quality(spark, d))

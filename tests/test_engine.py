@@ -40,7 +40,7 @@ def plain(x):
     return None if x is None or x != x else round(x, 6) if isinstance(x, float) else str(x) if hasattr(x, "year") else x
 
 
-@pytest.mark.parametrize("name", ["prefilter_eq", "prefilter_mixed", "hybrid_topk_cosine", "selectivity_and", "lookup_filtered", "ann_exhaustive", "oracle_partition_exhaustive", "pareto_frontier", "qps_at_recall", "cost_model", "route_decision", "asof_event", "sliding_windows"])
+@pytest.mark.parametrize("name", ["prefilter_eq", "prefilter_mixed", "hybrid_topk_cosine", "selectivity_and", "lookup_filtered", "ann_exhaustive", "oracle_partition_exhaustive", "pareto_frontier", "qps_at_recall", "cost_model", "route_decision", "asof_event", "sliding_windows", "prefilter_kw_neg", "selectivity_lang_next", "query_correlation_neg", "query_correlation_three_targets", "estimate_sample"])
 def test_oracle(spark, sf, name):
     con = duckdb.connect()
     for f in glob.glob(f"{sf}/*.parquet"):
@@ -85,7 +85,7 @@ def test_order_of_distances(entity, asked):
 
 
 def test_no_recovery_violations(spark, sf):
-    assert registry.QUERIES["recovery_violations"](spark, sf).first()[0] == 0
+    assert {r["builder"]: r["violations"] for r in registry.QUERIES["recovery_violations"](spark, sf).collect()}["bulk"] == 0
 
 
 def test_routing_threshold(spark):
