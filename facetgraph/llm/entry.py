@@ -7,6 +7,7 @@ from facetgraph.llm.licenses import op7_license_scan
 from facetgraph.llm.lm_score import op10_lm_score
 from facetgraph.llm.mixing import OP2_SQL, op2_mix_sources
 from facetgraph.llm.ngram_join import op9_ngram_jaccard
+from facetgraph.llm.oracles import OP8_SQL, OP9_SQL, op7_sql, op10_sql
 from facetgraph.llm.quality import op6_quality
 from facetgraph.llm.sharding import op3_shard_documents
 from facetgraph.llm.substring_dedup import op1_shared_passages
@@ -28,4 +29,8 @@ QUERIES = {
 
 ORACLES: dict[str, str] = {
     "op2_mix_sources": OP2_SQL,
+    "op7_license_scan": op7_sql(),
+    "op8_decontaminate": OP8_SQL,
+    "op9_ngram_jaccard": OP9_SQL,
+    "op10_lm_score": op10_sql(),
 }

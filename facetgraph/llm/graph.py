@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -55,6 +56,22 @@ def sweep(spark: SparkSession, since: int) -> None:
     del _TABLES[since:]
 
 
+def release(spark: SparkSession) -> None:
+    """Lets Spark remove the shuffle files that no plan needs any more: it does so when the driver collects garbage, which an idle driver seldom does."""
+    gc.collect()
+    spark._jvm.java.lang.System.gc()
+
+
+def finished(df: DataFrame, since: int) -> DataFrame:
+    """``df`` written down, and the tables that were written for it since removed."""
+    out = written(df)
+    last = _TABLES.pop()
+    sweep(df.sparkSession, since)
+    _TABLES.append(last)
+    release(df.sparkSession)
+    return out
+
+
 def settled(df: DataFrame) -> DataFrame:
     """``df`` if every reading of it gives the same rows in the same order, as a plain scan does; else a written copy."""
     plan = df._jdf.queryExecution().executedPlan().toString()

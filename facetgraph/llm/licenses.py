@@ -17,6 +17,9 @@ gives an empty result. Other columns are ignored.
 
 from __future__ import annotations
 
+import re
+import string
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -54,13 +57,31 @@ COMMON = ("0", "1", "2", "3", "4", "a", "all", "and", "any", "are", "as", "by",
 #: What ends a word; A-Z count as letters, and only they are lowered.
 BREAKS = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 SHIFT = 1 << 20
+MOST_TEMPLATES = 2000
+LOWER = str.maketrans(string.ascii_uppercase, string.ascii_lowercase)
 
 
-def vocabulary() -> list[str]:
-    used = {w for _, t, _ in TEMPLATES for w in t.split()} | {w for p, _ in BASE for w in p.split()}
+def vocabulary(templates=TEMPLATES) -> list[str]:
+    used = {w for _, t, _ in templates for w in t.split()} | {w for p, _ in BASE for w in p.split()}
     return sorted(used - set(COMMON))
 
 
+def templates_of(table: DataFrame) -> tuple[tuple[str, str, str], ...]:
+    """(label, template, key) rows as the scan takes them, in words of the contract's kind. They are compiled into the plan, so there are MOST_TEMPLATES at most.
+
+    Each key phrase must stand in its template and hold a licence word; a row that does not is an error, as is a null.
+    """
+    split = lambda t: " ".join(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", t.translate(LOWER)))
+    rows = table.select("label", "template", "key").distinct().limit(MOST_TEMPLATES + 1).collect()
+    if len(rows) > MOST_TEMPLATES:
+        raise ValueError(f"more than {MOST_TEMPLATES} templates")
+    out = tuple(sorted((r["label"], split(r["template"]), split(r["key"])) for r in rows))
+    for label, template, key in out:
+        if f" {key} " not in f" {template} " or not set(key.split()) - set(COMMON):
+            raise ValueError(f"the key phrase of a template of {label} is not in it or has common words alone")
+    return out
+
+
 def barrier(df: DataFrame, *named: tuple[str, Column]) -> DataFrame:
     """``df`` with columns that later expressions read and never compute again."""
     return df.select(*df.columns, F.inline(F.array(F.struct(*[v.alias(n) for n, v in named]))))
@@ -71,11 +92,11 @@ def lowered(word: Column) -> Column:
     return F.when(F.octet_length(word) == F.length(word), F.lower(word)).otherwise(word)
 
 
-def with_hits(documents: DataFrame) -> DataFrame:
+def with_hits(documents: DataFrame, templates=TEMPLATES) -> DataFrame:
     """doc_id, words (lowered), hits: array of (p, w), the licence words and their places."""
     words = F.filter(F.split(F.coalesce(F.col("text").cast("string"), F.lit("")), BREAKS), lambda w: w != "")
     df = barrier(documents.select("doc_id", "text"), ("words", words)).drop("text")
-    known = vocabulary()
+    known = vocabulary(templates)
     found = F.filter(F.transform("words", lambda w, i: F.when(lowered(w).isin(known), F.struct(i.alias("p"), lowered(w).alias("w")))), lambda x: x.isNotNull())
     return barrier(df, ("hits", found))
 
@@ -100,14 +121,14 @@ def phrase_offset(words: list[str], phrase: list[str]) -> int:
     return next(o for o in range(len(words)) if words[o : o + len(phrase)] == phrase)
 
 
-def scan(documents: DataFrame) -> DataFrame:
-    """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score and matches (label, start, share)."""
-    hits = with_hits(documents)
+def scan(documents: DataFrame, templates=TEMPLATES) -> DataFrame:
+    """``templates``: (label, template, key phrase); see ``templates_of``. Gives doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score and matches (label, start, share)."""
+    hits = with_hits(documents, templates)
     seen = document_frequencies(hits)
-    known = vocabulary()
+    known = vocabulary(templates)
     order = {w: r for r, w in enumerate(sorted(known, key=lambda w: (seen.get(w, 0), w)))}
     posted: dict[str, list[int]] = {}
-    for t, (_, template, key) in enumerate(TEMPLATES):
+    for t, (_, template, key) in enumerate(templates):
         rarest = min((w for w in key.split() if w in order), key=order.__getitem__)
         posted.setdefault(rarest, []).append(t * SHIFT + phrase_offset(template.split(), key.split()) + key.split().index(rarest))
     index = F.create_map(*[x for w, places in sorted(posted.items()) for x in (F.lit(w), F.array(*[F.lit(x) for x in places]))])
@@ -136,7 +157,7 @@ def scan(documents: DataFrame) -> DataFrame:
         return F.transform(at, lambda h: F.struct(h["p"].alias("p"), F.lit(label).alias("label")))
 
     none = F.array().cast("array<struct<label:string,start:int,share:double>>")
-    matches = F.when(F.size("starts") > 0, F.concat(*[checked(t, label, template.split(), key.split()) for t, (label, template, key) in enumerate(TEMPLATES)])).otherwise(none)
+    matches = F.when(F.size("starts") > 0, F.concat(*[checked(t, label, template.split(), key.split()) for t, (label, template, key) in enumerate(templates)])).otherwise(none)
 
     base = F.when(F.size("hits") > 0, F.concat(*[places(phrase.split(), label) for phrase, label in BASE])).otherwise(F.array().cast("array<struct<p:int,label:string>>"))
     df = barrier(df, ("matches", matches), ("base", base))

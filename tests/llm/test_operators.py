@@ -459,6 +459,15 @@ def test_license_scan_finds_every_template_of_a_file_with_several(spark):
     assert got[2]["labels"] == "bsd,proprietary"
 
 
+def test_license_templates_from_a_table(spark):
+    table_ = spark.createDataFrame([("house", "Granted under the House License, v2", "house license"), ("house", "Granted under the House License, v2", "house license")], "label string, template string, key string")
+    got = {r["doc_id"]: r for r in licenses.scan(table(spark, [(1, "granted under the HOUSE license v2", "s"), (2, "mit license", "s"), (3, None, "s")]), licenses.templates_of(table_)).collect()}
+    assert (got[1]["labels"], got[1]["score"], got[2]["labels"], got[3]["labels"]) == ("house", 1.0, "mit", "")
+    with pytest.raises(ValueError, match="key phrase"):
+        licenses.templates_of(spark.createDataFrame([("x", "a b", "c")], "label string, template string, key string"))
+    assert licenses.scan(table(spark, [])).count() == 0
+
+
 # --- shared passages ---
 
 
@@ -691,3 +700,16 @@ def test_words_are_the_tokens_whatever_the_blocks(monkeypatch):
         assert len(set(Words(texts, table_).hashes.tolist())) == len(set(one.hashes.tolist()))
         monkeypatch.undo()
     assert Words([], ALNUM).lens.tolist() == [] and Words([b"", b" "], ALNUM).lens.tolist() == [0, 0]
+
+
+@pytest.mark.parametrize("name", ["op7_license_scan", "op8_decontaminate", "op9_ngram_jaccard", "op10_lm_score"])
+def test_query_is_its_sql(spark, sf, name):
+    from facetgraph.llm.entry import ORACLES, QUERIES
+
+    con = duckdb.connect()
+    for t in ("documents", "benchmark", "labels"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM read_parquet('{sf}/{t}.parquet')")
+    got, want = QUERIES[name](spark, sf), con.sql(ORACLES[name])
+    columns = sorted(got.columns)
+    assert columns == sorted(want.columns)
+    assert sorted(str(tuple(r)) for r in got.select(columns).collect()) == sorted(map(str, want.select(*columns).fetchall()))
