@@ -99,8 +99,11 @@ def shards_for(vectors: DataFrame, shard_bytes: int = SHARD_BYTES) -> int:
     return max(1, -(-int(size) // shard_bytes))
 
 
-def build(vectors: DataFrame, params: K.Params, shards: int | None = None, by: str = "hash") -> DataFrame:
-    """The index of (id, vec): vectors go to their shards in one shuffle, each shard is built by one task. By default a shard holds SHARD_BYTES of vectors."""
+def build(vectors: DataFrame, params: K.Params, shards: int | None = None, by: str = "hash", flat: bool = False) -> DataFrame:
+    """The index of (id, vec): vectors go to their shards in one shuffle, each shard is built by one task. By default a shard holds SHARD_BYTES of vectors.
+
+    ``flat``: all nodes on one level, a plain neighbour graph with the same lists and lookups.
+    """
 
     def kernel(table: pa.Table) -> pa.Table:
         ids, vecs, top = matrix(table)
@@ -108,7 +111,8 @@ def build(vectors: DataFrame, params: K.Params, shards: int | None = None, by: s
 
     known = vectors.select("id", "vec").where("vec is not null")
     rows = assign_shards(known, shards_for(known) if shards is None else shards, by)
-    return rows.withColumn("top_level", level_of(F.col("id"), params.m, params.seed)).groupBy("shard").applyInArrow(kernel, NODE)
+    top = F.lit(0) if flat else level_of(F.col("id"), params.m, params.seed)
+    return rows.withColumn("top_level", top).groupBy("shard").applyInArrow(kernel, NODE)
 
 
 def build_hnsw(vectors: DataFrame, m: int = 8, efc: int = 40, **kw) -> DataFrame:

@@ -85,6 +85,20 @@ def rng_graph(lists: DataFrame, vectors: DataFrame) -> DataFrame:
     return lists.select("src", "dst").join(beaten, ["src", "dst"], "left_anti")
 
 
+def rng_kept(lists: DataFrame, vectors: DataFrame, most: int) -> DataFrame:
+    """(src, pos, dst): relative-neighbour pruning as builders do it. Candidates are met nearest first; one stays unless some that stayed is nearer to it than src is, until ``most`` stayed.
+
+    A fold over each list, in the JVM; lists are as wide as an index's, not as the table.
+    """
+    rows = lists.select("src", "pos", "dst", "dist").join(vectors.select(F.col("id").alias("dst"), "vec"), "dst")
+    row = F.struct("pos", F.col("dst").alias("dst"), "dist", "vec")
+    walk = rows.groupBy("src").agg(F.array_sort(F.collect_list(row)).alias("c"))
+    near = lambda x: lambda a: V.l2_squared(a["vec"], x["vec"]) < x["dist"]
+    start = F.slice("c", 1, 0)
+    kept = F.aggregate("c", start, lambda s, x: F.when((F.size(s) < most) & ~F.exists(s, near(x)), F.concat(s, F.array(x))).otherwise(s))
+    return walk.select("src", F.posexplode(F.transform(kept, lambda x: x["dst"])).alias("pos", "dst"))
+
+
 def scc(edges: DataFrame, nodes: DataFrame, cut=lambda df: df, rounds: int = 40) -> DataFrame:
     """(id, component): strongly connected components by smallest labels passed forwards and backwards; settled parts leave and the rest repeats.
 

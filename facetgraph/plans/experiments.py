@@ -127,6 +127,18 @@ def inverted_lists(spark: SparkSession, directory: str) -> DataFrame:
     return table.withColumn("pareto_best", F.col("method") == name)
 
 
+def flat_graph(spark: SparkSession, directory: str) -> DataFrame:
+    """Widened and two-hop lookups on a neighbour graph without layers, beside the layered indexes."""
+    w = WORKLOADS["eq12"]
+    e, q, truth = _ready(spark, directory, w)
+    preds, runs = list(w.predicates), []
+    for name, params in (("dense", DENSE), ("lean", LEAN)):
+        for flat in (True, False):
+            index = cut(I.build(e, params, flat=flat))
+            runs.append((f"{name}_{'flat' if flat else 'layered'}", I.search(index, e, q, preds, params, TOP, (10, 40, 160))))
+    return _points(truth, runs)
+
+
 def index_costs(spark: SparkSession, directory: str) -> DataFrame:
     """Seconds to index, bytes of vectors and edges, and pruned candidates a node, by builder, on both views."""
     rows = []

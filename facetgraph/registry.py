@@ -249,6 +249,15 @@ def rng_edges(spark, d):
     return relgraph.rng_graph(relgraph.knn_graph(nodes, 0, 16), nodes)
 
 
+_FOLD = f"""{_lists_sql(0, 16).replace("WITH nodes", "WITH RECURSIVE nodes")}, c AS (SELECT l.src, l.pos, l.dst, l.dist, n.vec FROM lists l JOIN nodes n ON n.id = l.dst),
+k AS (
+  SELECT id AS src, -1 AS step, []::BIGINT[] AS kept, []::DOUBLE[][] AS vecs FROM nodes
+  UNION ALL
+  SELECT src, step, CASE WHEN stays THEN list_append(kept, dst) ELSE kept END, CASE WHEN stays THEN list_append(vecs, vec) ELSE vecs END
+  FROM (SELECT k.src, c.pos AS step, k.kept, k.vecs, c.dst, c.vec, len(k.kept) < {M} AND len(list_filter(k.vecs, lambda a: {V.sql_distance("l2_squared", "a", "c.vec")} < c.dist)) = 0 AS stays
+        FROM k JOIN c ON c.src = k.src AND c.pos = k.step + 1))
+SELECT src, unnest(range(len(kept)))::INT AS pos, unnest(kept) AS dst FROM (SELECT src, arg_max(kept, step) AS kept FROM k GROUP BY src)"""
+register("rng_kept", _FOLD)(lambda spark, d: relgraph.rng_kept(relgraph.knn_graph(_nodes(spark, d), 0, 16), _nodes(spark, d), M))
 register("filtered_degree", f"{_lists_sql(0, M * GAMMA)}, {_PASS}, e AS (SELECT src, least(count(*), {M}) AS n FROM lists WHERE src IN (SELECT id FROM ok) AND dst IN (SELECT id FROM ok) GROUP BY src) SELECT round(sum(n) / (SELECT count(*) FROM ok), 6) AS degree FROM e")(
     lambda spark, d: _filtered_degree(spark, d)
 )
@@ -381,6 +390,8 @@ register("support_matrix")(lambda spark, d: experiments.support_matrix(spark))
 register("recall_by_selectivity")(lambda spark, d: experiments.percentiles(spark, d))
 register("throughput")(lambda spark, d: experiments.throughput(spark, d))
 register("tuning")(lambda spark, d: experiments.tuning(spark, d))
+register("flat_graph_recall")(lambda spark, d: experiments.flat_graph(spark, d))
+register("last_results_stream", "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY user_id")(lambda spark, d: stream.latest_of(stream.drain(stream.last_results_stream(stream.query_stream(spark, d)), "facet_last_results", "update")))
 register("purity")(lambda spark, d: experiments.purity(spark, d))
 register("vector_only_beside_hybrid")(lambda spark, d: experiments.side_by_side(spark, d))
 
@@ -445,7 +456,8 @@ def lateral_topk(spark, d):
 _SQUARE = V.sql_distance("l2_squared", "e.embedding::DOUBLE[]", "q.embedding::DOUBLE[]")
 register("sql_surface", f"""SELECT query_id, r::INT AS rank, id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS r FROM (
 SELECT q.vec_id AS query_id, e.vec_id AS id, {_SQUARE} AS dist FROM embeddings q JOIN embeddings e ON e.label = q.label AND e.vec_id <> q.vec_id WHERE q.vec_id % {T.QUERY_STEP} = 0)) WHERE r <= 10""")(lambda spark, d: sql.nearest_by_sql(spark, d))
-register("udtf_hybrid_search", f"""SELECT e.vec_id AS id, round({_SQUARE}, 6) AS dist FROM embeddings q JOIN embeddings e ON e.label = q.label AND e.vec_id <> q.vec_id WHERE q.vec_id = 100 ORDER BY dist, id LIMIT 10""")(lambda spark, d: sql.search_by_sql(spark, d))
+register("udtf_hybrid_search", f"""SELECT query_id, r::INT AS rank, id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, id) AS r FROM (
+SELECT q.vec_id AS query_id, e.vec_id AS id, {_SQUARE} AS dist FROM embeddings q JOIN embeddings e ON e.label = q.label AND e.vec_id <> q.vec_id WHERE q.vec_id % {T.QUERY_STEP} = 0)) WHERE r <= 10""")(lambda spark, d: sql.search_by_sql(spark, d))
 
 
 @register("blocked_join_refined")

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -35,6 +37,42 @@ def last_results(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("event_id"), F.max("ts").alias("ts"))
 
 
+LATEST = "user_id long, event_id long, ts timestamp"
+
+
+def last_results_stream(events: DataFrame, ttl: str = "7 days", watermark: str = "1 hour") -> DataFrame:
+    """(user_id, event_id, ts) whenever a user's latest event changes, from state kept for each user.
+
+    State of a user without events for ``ttl`` of event time is dropped; events later than the watermark are ignored, and one that is
+    older than the user's latest changes nothing. Append the rows or take the last of each user.
+    """
+    keep = int(pd.Timedelta(ttl).total_seconds() * 1000)
+
+    def latest(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        before = state.get if state.exists else None
+        best = before
+        for batch in batches:
+            for ts, event in zip(batch["ts"], batch["event_id"]):
+                mine = (int(ts.value // 1000), int(event))
+                best = mine if best is None or mine > tuple(best) else best
+        if best is not None and (before is None or tuple(best) != tuple(before)):
+            state.update(tuple(best))
+            yield pd.DataFrame({"user_id": [key[0]], "event_id": [best[1]], "ts": [pd.Timestamp(best[0] * 1000)]})
+        if best is not None:
+            state.setTimeoutTimestamp(max(best[0] // 1000 + keep, state.getCurrentWatermarkMs() + 1))
+
+    keyed = events.withWatermark("ts", watermark).select("user_id", "event_id", "ts").groupBy("user_id")
+    return keyed.applyInPandasWithState(latest, LATEST, "ts long, event_id long", "update", GroupStateTimeout.EventTimeTimeout)
+
+
+def latest_of(changes: DataFrame) -> DataFrame:
+    """The last change of each user."""
+    return changes.groupBy("user_id").agg(F.max_by("event_id", F.struct("ts", "event_id")).alias("event_id"))
+
+
 def drain(stream: DataFrame, name: str, mode: str = "complete") -> DataFrame:
     """Runs a stream over what is there and gives the result table."""
     spark = stream.sparkSession

@@ -40,7 +40,7 @@ def plain(x):
     return None if x is None or x != x else round(x, 6) if isinstance(x, float) else str(x) if hasattr(x, "year") else x
 
 
-@pytest.mark.parametrize("name", ["prefilter_eq", "prefilter_mixed", "hybrid_topk_cosine", "selectivity_and", "lookup_filtered", "ann_exhaustive", "oracle_partition_exhaustive", "pareto_frontier", "qps_at_recall", "cost_model", "route_decision", "asof_event", "sliding_windows", "prefilter_kw_neg", "selectivity_lang_next", "query_correlation_neg", "query_correlation_three_targets", "estimate_sample"])
+@pytest.mark.parametrize("name", ["prefilter_eq", "prefilter_mixed", "hybrid_topk_cosine", "selectivity_and", "lookup_filtered", "ann_exhaustive", "oracle_partition_exhaustive", "pareto_frontier", "qps_at_recall", "cost_model", "route_decision", "asof_event", "sliding_windows", "prefilter_kw_neg", "selectivity_lang_next", "query_correlation_neg", "query_correlation_three_targets", "estimate_sample", "rng_kept", "udtf_hybrid_search", "last_results_stream"])
 def test_oracle(spark, sf, name):
     con = duckdb.connect()
     for f in glob.glob(f"{sf}/*.parquet"):
@@ -136,3 +136,55 @@ def test_index_round_trip(spark, entity, tmp_path):
     index = I.build(entity, K.lean(m=4), shards=2)
     I.save(index, str(tmp_path / "index"))
     assert I.load(spark, str(tmp_path / "index")).count() == entity.count()
+
+
+def test_index_source_gives_the_edges(spark, entity, tmp_path):
+    from facetgraph.sources import index_source
+
+    index = I.build(entity, K.lean(m=4), shards=2)
+    I.save(index, str(tmp_path / "index"))
+    index_source.register(spark)
+    read = spark.read.format("facet_index")
+    assert rows(read.load(str(tmp_path / "index"))) == rows(I.edges(index))
+    assert rows(read.option("level", "1").load(str(tmp_path / "index"))) == rows(I.edges(index).where("level = 1"))
+
+
+def test_text_sources(spark, tmp_path):
+    (tmp_path / "a.csv").write_text('id,name,vec\n1,"x, y","[1.5,2]"\n2,,\n')
+    got = T.load_text(spark, str(tmp_path / "a.csv"), "id long, name string, vec array<double>").collect()
+    assert [(r["id"], r["name"], r["vec"]) for r in got] == [(1, "x, y", [1.5, 2.0]), (2, None, None)]
+    (tmp_path / "a.json").write_text('{"id": 1, "vec": [1.5, 2]}\nnonsense\n')
+    got = T.load_text(spark, str(tmp_path / "a.json"), "id long, vec array<double>", "json").collect()
+    assert [(r["id"], r["vec"], r["_bad"]) for r in got] == [(1, [1.5, 2.0], None), (None, None, "nonsense")]
+    with pytest.raises(ValueError, match="csv or json"):
+        T.load_text(spark, "x", "id long", "xml")
+
+
+def test_a_stored_index_is_searched_in_place(spark, entity, asked, tmp_path):
+    params = K.dense(m=4, gamma=8, m_beta=8)
+    stored = I.store(I.build(entity, params, shards=3), str(tmp_path / "stored"), "facet_stored", 3)
+    found = I.search(stored, entity, asked, PREDS, params, 10, (20, entity.count()))
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    sides = plan.split("FlatMapCoGroupsInArrow", 1)[1]
+    left = sides.split("Scan parquet", 1)[0] if "Scan parquet" in sides else sides.split("FileScan parquet", 1)[0]
+    assert "Exchange" not in left
+    plainly = I.search(I.build(entity, params, shards=3), entity, asked, PREDS, params, 10, (20, entity.count()))
+    key = ["efs", "query_id", "shard", "id", "n_dist"]
+    assert rows(found.select(key).na.fill(-1)) == rows(plainly.select(key).na.fill(-1))
+
+
+def test_the_widened_walk_is_the_wide_one(entity):
+    import numpy as np
+
+    table = I.build(entity, K.hnsw(m=6)).toArrow()
+    g = I.graph_of(table, K.hnsw(m=6))
+    rng = np.random.default_rng(1)
+    for _ in range(10):
+        q = rng.normal(size=g.vecs.shape[1])
+        ok = np.ones(len(g.ids), bool)
+        walk = K.Walk(g, q, K.descend(g, q, K.Counters()), 0, ok, K.Counters())
+        walk.widen(5)
+        c = K.Counters()
+        at = K.descend(g, q, K.Counters())
+        assert walk.widen(60) == K.search_layer(g, q, at, 60, lambda v: g.levels[0][v].tolist(), ok, c)
+        assert walk.c.n_dist == c.n_dist
