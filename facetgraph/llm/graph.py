@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -57,18 +59,25 @@ def sweep(spark: SparkSession, since: int) -> None:
 
 
 def release(spark: SparkSession) -> None:
-    """Lets Spark remove the shuffle files that no plan needs any more: it does so when the driver collects garbage, which an idle driver seldom does."""
-    gc.collect()
-    spark._jvm.java.lang.System.gc()
+    """Lets Spark remove the shuffle files that no plan needs any more: it does so when the driver collects garbage, which an idle driver seldom does.
+
+    A DataFrame that is still named keeps the shuffles of what was written from it.
+    """
+    for _ in range(2):
+        # the plans of a finished job are let go a moment after it ends
+        gc.collect()
+        spark._jvm.java.lang.System.gc()
+        time.sleep(0.3)
 
 
-def finished(df: DataFrame, since: int) -> DataFrame:
-    """``df`` written down, and the tables that were written for it since removed."""
-    out = written(df)
+def finished(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:
+    """What ``make`` gives, written down, and the tables and shuffles that it took removed."""
+    since = tables_written()
+    out = written(make())
     last = _TABLES.pop()
-    sweep(df.sparkSession, since)
+    sweep(spark, since)
     _TABLES.append(last)
-    release(df.sparkSession)
+    release(spark)
     return out
 
 

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.exchange import Plan, bucket_cuts, chunk_name, chunks, of_documents, text_rows, unpacked_chunk
-from facetgraph.llm.graph import finished, release, settled, tables_written, written
+from facetgraph.llm.graph import finished, release, settled, written
 from facetgraph.llm.textkit import ALNUM, Words, arrow, emit, mix, pressed, runs, sieve_kernel, sieve_of, unpressed
 
 #: Words of the uniform estimate.
@@ -157,6 +157,7 @@ def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = N
     if scored is not None:
         asks = asks.union(asked.transform(arrow, ask_kernel(UNCOUNTED, plan), ASK_SQL))
     answers = written(asks.repartition(plan.tasks, "bucket").sortWithinPartitions("bucket").transform(arrow, sum_kernel, ANSWER_SQL))
+    del asks, good
     release(documents.sparkSession)
     sums = answers.where("chunk is null").agg(F.sum("tokens"), F.sum("target_tokens")).first()
     rows = text_rows(asked, plan, ANSWER, ANSWER_SQL).union(answers.where("chunk is not null"))
@@ -166,6 +167,5 @@ def score(documents: DataFrame, targets: DataFrame, scored: DataFrame | None = N
 
 def op10_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    since = tables_written()
-    found = finished(score(documents, spark.read.parquet(f"{sf_dir}/labels.parquet").where("quality = 1")), since)
+    found = finished(spark, lambda: score(documents, spark.read.parquet(f"{sf_dir}/labels.parquet").where("quality = 1")))
     return found.select("doc_id", "n_tokens", *[F.round(c, 6).alias(c) for c in ("target_loss", "background_loss", "score")])

@@ -41,7 +41,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from facetgraph.llm.graph import components, cut, finished, release, tables_written, written
+from facetgraph.llm.graph import components, cut, finished, release, written
 from facetgraph.llm.textkit import BLANK, Words, arrow, emit, in_sieve, numbers, runs, sieve_kernel, sieve_of, signed, text_chunks
 
 WORDS = 5
@@ -393,6 +393,7 @@ def near_duplicate_components(documents: DataFrame, k: int = WORDS, num: int = N
     postings = known.transform(arrow, posting_kernel(k, num, den, rank, sieve_of(classes, "first")), sql_schema(POSTING))
     leaders = postings.groupBy("shingle").agg(F.min("doc_id").alias("leader"), F.max("doc_id").alias("last")).where("leader < last").select("shingle", "leader")
     posted = written(postings.join(leaders, "shingle").select("leader", "doc_id").distinct())
+    del postings, leaders
     release(documents.sparkSession)
     signed_ = scan.where("kind = 1 and n > 0").select(F.col("a").alias("doc_id"), "n", "sig").dropDuplicates(["doc_id", "n", "sig"])
     several = lambda rows, key, most: rows.groupBy(key).agg(F.ceil(F.count("*") / most).cast("int").alias("chunks")).where("chunks > 1")
@@ -441,5 +442,4 @@ def one_of_each(documents: DataFrame, **settings) -> DataFrame:
 
 
 def op9_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    since = tables_written()
-    return finished(near_duplicate_components(spark.read.parquet(f"{sf_dir}/documents.parquet")), since)
+    return finished(spark, lambda: near_duplicate_components(spark.read.parquet(f"{sf_dir}/documents.parquet")))
