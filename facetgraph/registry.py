@@ -386,14 +386,20 @@ register("graph_quality")(lambda spark, d: experiments.graph_quality(spark, d))
 register("pruning_ablation")(lambda spark, d: experiments.pruning_ablation(spark, d))
 register("recovery_violations")(lambda spark, d: experiments.recovery(spark, d))
 register("baseline_recall")(lambda spark, d: experiments.baseline_recall(spark, d))
-register("support_matrix")(lambda spark, d: experiments.support_matrix(spark))
+register("support_matrix", """SELECT method, predicate, method = 'graph' OR predicate = 'equals' OR (method = 'ivf' AND predicate = 'between') AS published, method IN ('graph', 'ivf') OR predicate = 'equals' AS supported
+FROM (SELECT unnest(['label_graph', 'fused_graph', 'ivf', 'graph']) AS method) CROSS JOIN (SELECT unnest(['equals', 'any_of', 'between', 'regex']) AS predicate)""")(lambda spark, d: experiments.support_matrix(spark))
 register("recall_by_selectivity")(lambda spark, d: experiments.percentiles(spark, d))
 register("throughput")(lambda spark, d: experiments.throughput(spark, d))
 register("tuning")(lambda spark, d: experiments.tuning(spark, d))
 register("flat_graph_recall")(lambda spark, d: experiments.flat_graph(spark, d))
 register("last_results_stream", "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY user_id")(lambda spark, d: stream.latest_of(stream.drain(stream.last_results_stream(stream.query_stream(spark, d)), "facet_last_results", "update")))
 register("purity")(lambda spark, d: experiments.purity(spark, d))
-register("vector_only_beside_hybrid")(lambda spark, d: experiments.side_by_side(spark, d))
+_SIDE = WORKLOADS["kw_pos"]
+register("vector_only_beside_hybrid", f"""{sql_with(_SIDE)},
+pairs AS (SELECT q.query_id, e.id, list_contains(e.passes, q.pred_id) AS ok, {V.sql_distance("l2_squared", "e.vec", "q.qvec")} AS dist FROM queries q JOIN ok e ON e.id <> q.query_id),
+a AS (SELECT query_id, id, row_number() OVER (PARTITION BY query_id ORDER BY dist, id)::INT AS rank FROM pairs QUALIFY rank <= {TOP}),
+b AS (SELECT query_id, id, row_number() OVER (PARTITION BY query_id ORDER BY dist, id)::INT AS rank FROM pairs WHERE ok QUALIFY rank <= {TOP})
+SELECT a.query_id, a.rank, a.id AS vector_only, b.id AS hybrid FROM a LEFT JOIN b USING (query_id, rank)""")(lambda spark, d: experiments.side_by_side(spark, d))
 
 # --- the operators around ------------------------------------------------------------------------------------
 
