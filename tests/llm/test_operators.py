@@ -259,6 +259,13 @@ def test_mix_is_its_sql(spark, sf):
     assert sorted(tuple(r) for r in mixing.op2_mix_sources(spark, sf).select("doc_id", "size", "source_size", "target", "taken").collect()) == want
 
 
+def test_mix_of_very_many_sources_is_the_mix_of_few(edge, monkeypatch):
+    key = ["doc_id", "text", "source", "__size", "__target", "__times"]
+    want = sorted(map(str, mixing.with_times(edge).select(key).collect()))
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", 0)
+    assert sorted(map(str, mixing.with_times(edge).select(key).collect())) == want
+
+
 # --- sharding ---
 
 
@@ -391,6 +398,7 @@ def test_classifier_edges(spark, edge, empty):
     q = quality.train(edge, labels)
     assert all(0 <= r[0] <= 1 for r in edge.select(quality.score_udf(q)).collect())
     assert np.allclose(quality.train(empty, labels.where("false")).scores(np.zeros((1, quality.WIDTH))), 0.5)
+    assert empty.select(quality.score_udf(q)).count() == 0 and toxicity.score_toxicity(empty, m).count() == 0
     assert labelled.training_labels(labels, "toxic", 3, 5).count() == 3
 
 
@@ -427,6 +435,52 @@ def test_fingerprints_edited_texts_and_likeness(spark, tmp_path):
     assert got[57]["fingerprint"] == got[60]["fingerprint"] and got[57]["near_next"] == 1
 
 
+def chained_hash(values):
+    """Spark's xxhash64 of several longs."""
+    import xxhash
+
+    seed = 42
+    for v in values:
+        seed = xxhash.xxh64_intdigest((v & (1 << 64) - 1).to_bytes(8, "little"), seed=seed)
+    return seed
+
+
+def brute_fingerprint(text):
+    import xxhash
+
+    h = [xxhash.xxh64_intdigest(w, seed=42) for w in re.split(rb"[ \t-\r]+", text.encode()) if w]
+    inner = [chained_hash(h[i : i + syncmers.S]) for i in range(len(h) - syncmers.S + 1)]
+    signed_ = lambda x: x - (1 << 64) if x >> 63 else x
+    anchors = []
+    for i in range(len(h) - syncmers.K + 1):
+        own = list(map(signed_, inner[i : i + syncmers.K - syncmers.S + 1]))
+        if min(own) in (own[0], own[-1]):
+            anchors.append(chained_hash(h[i : i + syncmers.K]))
+    if h and len(h) < syncmers.K:
+        anchors = [chained_hash(h)]
+    return sorted({a >> 32 for a in anchors})[: syncmers.KEEP]
+
+
+def test_fingerprints_are_the_brute_force_also_on_odd_rows(spark, edge, tmp_path):
+    edge.write.parquet(f"{tmp_path}/documents.parquet")
+    got = syncmers.op5_syncmer_fingerprints(spark, str(tmp_path)).collect()
+    rows = [(r["doc_id"], r["text"] or "") for r in edge.collect()]
+    assert sorted(str(r["doc_id"]) for r in got) == sorted(str(i) for i, _ in rows)
+    prints = lambda t: "".join(f"{x:08x}" for x in brute_fingerprint(t))
+    assert Counter((str(r["doc_id"]), r["n_chars"], r["fingerprint"]) for r in got) == Counter((str(i), len(t), prints(t)) for i, t in rows)
+    by_id = {i: t for i, t in rows if i is not None}
+    ids = sorted(by_id)
+    for r in got:
+        if r["doc_id"] in (7, 8, 100, 104):
+            a, b = by_id[r["doc_id"]], by_id[ids[ids.index(r["doc_id"]) + 1]]
+            half = len(a) // 2
+            mine, changed, following = brute_fingerprint(a), brute_fingerprint(a[: len(a) - half] + b[:half]), brute_fingerprint(b)
+            assert r["edited_fingerprint"] == "".join(f"{x:08x}" for x in changed)
+            for name, other in (("near_edited", changed), ("near_next", following)):
+                union = sorted(set(mine) | set(other))[: syncmers.KEEP]
+                assert r[name] == pytest.approx(len(set(mine) & set(other) & set(union)) / len(union))
+
+
 def test_fingerprint_of_one_and_of_no_document(spark, tmp_path):
     table(spark, [(5, "a b c d e f g h", "s")]).write.parquet(f"{tmp_path}/one/documents.parquet")
     assert syncmers.op5_syncmer_fingerprints(spark, f"{tmp_path}/one").first()["near_next"] == 1

@@ -7,11 +7,12 @@ import sys
 from collections import Counter
 from pathlib import Path
 
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from facetgraph.llm import decontaminate, ngram_join, toxicity
+from facetgraph.llm import decontaminate, mixing, ngram_join, toxicity
 
 
 def test_stages(spark, sf):
@@ -80,3 +81,38 @@ def test_the_entry_without_the_toolbox(tmp_path):
     code = "import __spark_entry__ as e; q = e.queries(); assert 'prefilter_eq' in q and not [n for n in q if n.startswith('op') or n == 'pipeline']; assert set(e.oracle_sql()) <= set(q)"
     done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "repo", env={**os.environ, "PYTHONPATH": str(tmp_path / "repo")}, capture_output=True, text=True)
     assert done.returncode == 0, done.stderr
+
+
+def test_the_run_is_the_plain_stages(spark, sf, tmp_path):
+    """Every stage but the classifier's scores by plain Python or SQL, from the table to the rows of ``run``."""
+    from test_operators import brute_components, words
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    machine = toxicity.train(docs, spark.read.parquet(f"{sf}/labels.parquet"))
+    rows = [r for r in toxicity.score_toxicity(docs, machine).collect() if r["__toxicity"] < toxicity.CUT]
+    component = brute_components([(r["doc_id"], r["text"]) for r in rows])
+    rows = [r for r in rows if component[r["doc_id"]][1] == r["doc_id"]]
+    windows = set()
+    for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect():
+        x = words(r["text"])
+        windows |= {tuple(x[a : a + 13]) for a in range(max(1, len(x) - 12) if x else 0)}
+    sizes = {len(w) for w in windows}
+
+    def dirty(text):
+        x, hit = words(text), set()
+        for n in sizes:
+            for p in range(len(x) - n + 1):
+                if tuple(x[p : p + n]) in windows:
+                    hit.update(range(p, p + n))
+        return bool(hit) and 20 * len(hit) >= len(x)
+
+    kept = [r.asDict() for r in rows if not dirty(r["text"])]
+    assert 0 < len(kept) < len(rows)
+    spark.createDataFrame([tuple(r[c] for c in docs.columns) for r in kept], docs.schema).write.parquet(f"{tmp_path}/kept.parquet")
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{tmp_path}/kept.parquet/*.parquet')")
+    # a document without words weighs nothing; it is taken as often as its source's threshold says, which SQL's word counts do not tell
+    taken = {i: (n, t) for i, n, t in con.sql(f"SELECT doc_id, size, taken FROM ({mixing.OP2_SQL})").fetchall()}
+    out = Counter(r["doc_id"] for r in corpus_pipeline.run(spark, sf).collect())
+    assert set(out) <= set(taken)
+    assert all(out[i] == t // n for i, (n, t) in taken.items() if n)
