@@ -24,8 +24,8 @@ NODE_ARROW = pa.schema([("shard", pa.int32()), ("id", pa.int64()), ("top_level",
 FOUND = "query_id long, id long, dist double, n_dist long, n_visited long, n_pred_eval long, n_passed long, n_hops long, route string, shard int, efs int, seconds double"
 FOUND_ARROW = pa.schema([("query_id", pa.int64()), ("id", pa.int64()), ("dist", pa.float64()), ("n_dist", pa.int64()), ("n_visited", pa.int64()), ("n_pred_eval", pa.int64()), ("n_passed", pa.int64()), ("n_hops", pa.int64()), ("route", pa.string()), ("shard", pa.int32()), ("efs", pa.int32()), ("seconds", pa.float64())])
 LEVELS = 24
-#: Bytes of vectors that one task builds and searches.
-SHARD_BYTES = 256 << 20
+#: Bytes of vectors that one task builds and searches; the bulk builder compares all pairs of a shard.
+SHARD_BYTES = 64 << 20
 MULTIPLIER = 2246822519
 
 

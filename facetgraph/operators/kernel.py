@@ -31,6 +31,8 @@ class Params:
     m0_factor: int = 1
     seed: int = 7
     method: str = "bulk"
+    #: Entries of each list that the inserting builder's walks read; 0: m, as the method has it.
+    build_width: int = 0
 
     @property
     def width(self) -> int:
@@ -304,7 +306,7 @@ def build_bulk(ids: np.ndarray, vecs: np.ndarray, top: np.ndarray, p: Params) ->
 
 
 def build_insert(ids: np.ndarray, vecs: np.ndarray, top: np.ndarray, p: Params, labels: np.ndarray | None = None) -> Graph:
-    """One node after another: descend to the node's level, gather candidates walking only the first m of each list, keep by the index's kind, link back."""
+    """One node after another: descend to the node's level, gather candidates walking only the first m (or build_width) of each list, keep by the index's kind, link back."""
     n = len(ids)
     height = int(top.max()) + 1 if n else 0
     g = Graph(ids, vecs, top, [[NOTHING] * n for _ in range(height)], 0, p)
@@ -317,7 +319,7 @@ def build_insert(ids: np.ndarray, vecs: np.ndarray, top: np.ndarray, p: Params,
         at = [(float(g.dist(q, [g.entry])[0]), g.entry)]
         for level in range(up, -1, -1):
             lists = g.levels[level]
-            near = lambda v, lists=lists, level=level: lists[v][: p.m * (p.m0_factor if level == 0 else 1)].tolist()
+            near = lambda v, lists=lists, level=level: lists[v][: p.build_width or p.m * (p.m0_factor if level == 0 else 1)].tolist()
             if level > top[i]:
                 at = search_layer(g, q, at, 1, near, everything, c)
                 continue

@@ -127,6 +127,30 @@ def inverted_lists(spark: SparkSession, directory: str) -> DataFrame:
     return table.withColumn("pareto_best", F.col("method") == name)
 
 
+def plain_curve(spark: SparkSession, directory: str) -> DataFrame:
+    """Search without predicates over beam widths: layered graphs, and the dense and lean indexes read by their first entries."""
+    w = WORKLOADS["eq12"]
+    e = cut(entities(spark, directory, w))
+    q = cut(queries(e, replace(w, step=CURVE_STEP)).withColumn("pred_id", F.lit(0)))
+    truth = cut(exact.prefilter(e, q, [P.always()], TOP))
+    runs = [(name, I.search(cut(I.build(e, params)), e, q, [P.always()], params, TOP, WIDTHS)) for name, params in (("hnsw", HNSW), ("dense", DENSE), ("lean", LEAN))]
+    return _points(truth, runs)
+
+
+def build_widths(spark: SparkSession, directory: str) -> DataFrame:
+    """The inserting builder with walks that read the first m, 2 m or all entries of each list: seconds to index beside recall, distances and pace."""
+    w = WORKLOADS["eq12"]
+    e, q, truth = _ready(spark, directory, w)
+    out = None
+    for width in (M, 2 * M, M * GAMMA):
+        params = K.dense(m=M, gamma=GAMMA, m_beta=2 * M, method="insert", build_width=width)
+        began = time.perf_counter()
+        index = cut(I.build(e, params))
+        one = _points(truth, [(f"first {width}", I.search(index, e, q, list(w.predicates), params, TOP, 40))]).withColumn("seconds", F.lit(time.perf_counter() - began))
+        out = one if out is None else out.union(one)
+    return out
+
+
 def flat_graph(spark: SparkSession, directory: str) -> DataFrame:
     """Widened and two-hop lookups on a neighbour graph without layers, beside the layered indexes."""
     w = WORKLOADS["eq12"]

@@ -391,6 +391,8 @@ FROM (SELECT unnest(['label_graph', 'fused_graph', 'ivf', 'graph']) AS method) C
 register("recall_by_selectivity")(lambda spark, d: experiments.percentiles(spark, d))
 register("throughput")(lambda spark, d: experiments.throughput(spark, d))
 register("tuning")(lambda spark, d: experiments.tuning(spark, d))
+register("recall_curve_plain")(lambda spark, d: experiments.plain_curve(spark, d))
+register("build_widths")(lambda spark, d: experiments.build_widths(spark, d))
 register("flat_graph_recall")(lambda spark, d: experiments.flat_graph(spark, d))
 register("last_results_stream", "SELECT user_id, arg_max(event_id, (ts, event_id)) AS event_id FROM events GROUP BY user_id")(lambda spark, d: stream.latest_of(stream.drain(stream.last_results_stream(stream.query_stream(spark, d)), "facet_last_results", "update")))
 register("purity")(lambda spark, d: experiments.purity(spark, d))
