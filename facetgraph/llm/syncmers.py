@@ -15,6 +15,8 @@ with the first; a lone row with itself. Other columns are ignored.
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -90,7 +92,7 @@ def with_next(documents: DataFrame, columns: list[str], ids: DataFrame | None =
     ``ids``: the same rows' doc_ids, from which alone the ranges are found, so that costly columns are computed once.
 
     Rows go to id ranges of about RANGE_ROWS rows; each range also receives the first row of the range after it, so that
-    every row meets its successor inside one range and no range is more than a share of the table.
+    every row meets its successor inside one range and no range is more than a share of the table, also where very many rows have one doc_id or none.
     """
     spark = documents.sparkSession
     rows = documents.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LOWEST)).alias("__key"), "doc_id", *columns)
@@ -106,15 +108,32 @@ def with_next(documents: DataFrame, columns: list[str], ids: DataFrame | None =
         F.struct(F.lit(0).alias("lo"), F.lit(len(bounds)).alias("hi")),
         lambda s, _: F.when(s["lo"] >= s["hi"], s).when(F.get(edges, ((s["lo"] + s["hi"]) / half).cast("int")) <= F.col("__key"), F.struct((((s["lo"] + s["hi"]) / half).cast("int") + 1).alias("lo"), s["hi"].alias("hi"))).otherwise(F.struct(s["lo"].alias("lo"), ((s["lo"] + s["hi"]) / half).cast("int").alias("hi"))),
     )
-    ranged = barrier(rows, "__range", found["lo"])
-    firsts = barrier(keys, "__range", found["lo"]).groupBy("__range").agg(F.min("__key").alias("first")).orderBy("__range").collect()  # MAX_RANGES rows at most
-    heads = [(firsts[i]["first"], firsts[i - 1]["__range"]) for i in range(len(firsts))] or [(0, 0)]
-    values = ", ".join(f"({k if k > LOWEST else 'CAST(' + repr(str(k)) + ' AS BIGINT)'}, {r})" for k, r in heads)
-    copies = spark.sql(f"SELECT CAST(col1 AS BIGINT) AS __key, CAST(col2 AS INT) AS __before FROM VALUES {values}")
+    # a range begins with the id that bounds it; one that very many rows share is cut further, by their texts' hashes, in the order of the window
+    first_id = F.get(edges, F.col("__range") - 1)
+    known = barrier(keys, "__range", found["lo"]).groupBy("__range").agg(F.min("__key").alias("first"), F.count_if(F.col("__key") == first_id).alias("hot")).orderBy("__range").collect()  # MAX_RANGES rows at most
+    share = max(RANGE_ROWS, n // MAX_RANGES)
+    parts = {r["__range"]: -(-r["hot"] // share) for r in known if r["hot"] > 4 * share}
+    cuts = F.create_map(*[F.lit(x) for pair in parts.items() for x in pair]) if parts else None
+    place = F.xxhash64("text")
+    sub = F.lit(0)
+    if parts:
+        own = F.coalesce(F.element_at(cuts, F.col("__range")), F.lit(0))
+        sub = F.when(own == 0, 0).when(F.col("__key") > first_id, own).otherwise(F.least(own - 1, F.floor((place.cast("double") / 2.0**64 + 0.5) * own))).cast("int")
+    ranged = rows.withColumn("__range", found["lo"]).withColumn("__sub", sub)
+    heads = [(r["__range"], 0, r["first"], None) for r in known]
+    if parts:
+        texts = documents.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LOWEST)).alias("__key"), "text").withColumn("__range", found["lo"]).where(F.col("__range").isin(list(parts)))
+        inner = texts.withColumn("__sub", sub).groupBy("__range", "__sub").agg(F.min(F.struct("__key", place.alias("h"))).alias("least")).collect()
+        heads = [h for h in heads if h[0] not in parts] + [(r["__range"], r["__sub"], r["least"]["__key"], r["least"]["h"]) for r in inner]
+    heads.sort(key=lambda h: h[:2])
+    listed = json.dumps([{"__key": h[2], "__hash": h[3], "__r": heads[i - 1][0], "__s": heads[i - 1][1]} for i, h in enumerate(heads)])
+    copies = spark.range(1).select(F.inline(F.from_json(F.lit(listed), "array<struct<__key:long,__hash:long,__r:int,__s:int>>"))).groupBy("__key").agg(F.collect_list(F.struct("__hash", "__r", "__s")).alias("__heads"))
     both = ranged.join(F.broadcast(copies), "__key", "left")
-    placed = both.select("__key", "doc_id", *columns, F.explode(F.when(F.col("__before").isNull(), F.array(F.struct(F.col("__range").alias("r"), F.lit(0).alias("g")))).otherwise(F.array(F.struct(F.col("__range").alias("r"), F.lit(0).alias("g")), F.struct(F.col("__before").alias("r"), F.lit(1).alias("g"))))).alias("__at"))
-    placed = placed.select("__key", "doc_id", *columns, F.col("__at.r").alias("__range"), F.col("__at.g").alias("__guest"))
-    order = Window.partitionBy("__range").orderBy("__guest", "__key", F.xxhash64("text"))
+    mine = F.array(F.struct(F.col("__range").alias("r"), F.col("__sub").alias("s"), F.lit(0).alias("g")))
+    guests = F.transform(F.filter("__heads", lambda h: h["__hash"].isNull() | (h["__hash"] == place)), lambda h: F.struct(h["__r"].alias("r"), h["__s"].alias("s"), F.lit(1).alias("g")))
+    placed = both.withColumn("__at", F.explode(F.concat(mine, F.coalesce(guests, F.array().cast("array<struct<r:int,s:int,g:int>>")))))
+    placed = placed.select("__key", "doc_id", *columns, F.col("__at.r").alias("__range"), F.col("__at.s").alias("__sub"), F.col("__at.g").alias("__guest"))
+    order = Window.partitionBy("__range", "__sub").orderBy("__guest", "__key", place)
     led = placed.select("__guest", "doc_id", *columns, *[F.lead(c).over(order).alias(f"next_{c}") for c in columns])
     return led.where("__guest = 0")
 

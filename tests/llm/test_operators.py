@@ -481,6 +481,16 @@ def test_fingerprints_are_the_brute_force_also_on_odd_rows(spark, edge, tmp_path
                 assert r[name] == pytest.approx(len(set(mine) & set(other) & set(union)) / len(union))
 
 
+def test_successors_of_very_many_rows_of_one_id(spark, monkeypatch):
+    rng = random.Random(7)
+    rows = [(None, f"n{rng.randrange(10**9)}", "s") for _ in range(300)] + [(5, f"m{rng.randrange(10**9)}", "s") for _ in range(200)] + [(i, f"t{i}", "s") for i in (*range(-3, 5), *range(6, 80))] + [(5, "same", "s")] * 3
+    docs = table(spark, rows)
+    find = lambda: sorted(map(str, syncmers.with_next(docs, ["text"]).select("doc_id", "text", "next_text").collect()))
+    want = find()
+    monkeypatch.setattr(syncmers, "RANGE_ROWS", 10)
+    assert find() == want and len(want) == len(rows)
+
+
 def test_fingerprint_of_one_and_of_no_document(spark, tmp_path):
     table(spark, [(5, "a b c d e f g h", "s")]).write.parquet(f"{tmp_path}/one/documents.parquet")
     assert syncmers.op5_syncmer_fingerprints(spark, f"{tmp_path}/one").first()["near_next"] == 1
