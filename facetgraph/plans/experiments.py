@@ -16,7 +16,7 @@ from facetgraph.plans import metrics
 from facetgraph.plans.workloads import WORKLOADS, Workload, entities, queries
 from facetgraph.sources import tables as T
 
-M, GAMMA, SEED, TOP = 8, 10, 7, 10
+M, GAMMA, SEED, TOP = 8, 12, 7, 10
 DENSE, LEAN, HNSW = K.dense(m=M, gamma=GAMMA, m_beta=2 * M), K.lean(m=M), K.hnsw(m=M)
 
 
