@@ -11,6 +11,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from facetgraph.llm.textkit import trim
+
 
 def shared_folder(spark: SparkSession) -> str:
     """The checkpoint folder that all executors share: ``spark.checkpoint.dir``, or a temporary one in a local session without it."""
@@ -68,6 +70,7 @@ def release(spark: SparkSession) -> None:
         gc.collect()
         spark._jvm.java.lang.System.gc()
         time.sleep(0.3)
+    trim()
 
 
 def finished(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:

@@ -201,6 +201,16 @@ def emit(schema: pa.Schema, columns: list, most: int = 200_000) -> Iterator[pa.R
         yield pa.RecordBatch.from_arrays([x.slice(a, most) for x in arrays], schema=schema)
 
 
+def trim() -> None:
+    """Returns what this process has freed to the system."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    give = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if give:
+        give(0)
+
+
 def given_back(kernel):
     """``kernel``, which returns its memory to the system when its task ends: workers are kept for other tasks."""
 
@@ -208,12 +218,7 @@ def given_back(kernel):
         try:
             yield from kernel(batches)
         finally:
-            import ctypes
-
-            pa.default_memory_pool().release_unused()
-            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
-            if trim:
-                trim(0)
+            trim()
 
     return run
 

@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.labelled import fold, sample_ids, texts_of, training_labels
-from facetgraph.llm.textkit import Tokens, alnum_words, arrow, text_chunks
+from facetgraph.llm.textkit import Tokens, alnum_words, arrow, text_chunks, trim
 
 BUCKETS, SEEN, FACTORS, STEM = 1 << 18, 3, 8, 4
 #: A stem that occurs so often is a further term.
@@ -130,7 +130,7 @@ def fit(docs: list[np.ndarray], y: np.ndarray, epochs: int = EPOCHS) -> Machine:
     both *= scale[:, None]
     if not k:
         both = np.zeros((1, 1 + FACTORS))
-    return Machine(place, float(bias[0]), both[:, 0].copy(), both[:, 1:].copy())
+    return Machine(place, float(bias[0]), both[:, 0].astype(np.float32), both[:, 1:].astype(np.float32))
 
 
 def terms_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -145,9 +145,15 @@ def terms_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def train(documents: DataFrame, labels: DataFrame, column: str = "toxic", folds: int = FOLDS, held_out: int = HELD_OUT) -> Machine:
     sample = sample_ids(training_labels(labels, column, folds, held_out))
-    rows = texts_of(documents, sample).transform(arrow, terms_kernel, "label int, terms binary").collect()
-    rows = sorted(rows, key=lambda r: (r["label"], bytes(r["terms"])))  # the order of arrival must not matter
-    return fit([np.frombuffer(r["terms"], np.int32) for r in rows], np.array([r["label"] for r in rows], float))
+    # the order of arrival must not matter
+    rows = texts_of(documents, sample).transform(arrow, terms_kernel, "label int, terms binary").toArrow().sort_by([("label", "ascending"), ("terms", "ascending")])
+    terms = rows.column("terms").combine_chunks().cast(pa.large_binary())
+    cuts, y = np.frombuffer(terms.buffers()[1], np.int64) // 4, rows.column("label").to_numpy().astype(float)
+    flat = np.frombuffer(terms.buffers()[2], np.int32) if len(terms) and terms.buffers()[2] else np.empty(0, np.int32)
+    machine = fit([flat[a:b] for a, b in zip(cuts, cuts[1 : len(terms) + 1])], y)
+    del rows, terms, flat
+    trim()
+    return machine
 
 
 def score_udf(machine: Machine) -> Column:
