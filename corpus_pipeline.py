@@ -14,7 +14,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from facetgraph.llm.decontaminate import clean
-from facetgraph.llm.graph import remove, shared_folder, sweep, tables_written
+from facetgraph.llm.graph import release, remove, shared_folder, sweep, tables_written
 from facetgraph.llm.mixing import mix
 from facetgraph.llm.ngram_join import one_of_each
 from facetgraph.llm.sharding import shard_rows
@@ -87,6 +87,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
         sweep(spark, before)
+        release(spark)
         if last:
             remove(spark, last)
         last = path
