@@ -4,8 +4,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from facetgraph import registry
 from facetgraph.functions import predicates as P
-from facetgraph.operators import baselines, exact
+from facetgraph.operators import baselines, blocks, exact, relgraph
 from facetgraph.operators import index as I
 from facetgraph.operators import kernel as K
 from facetgraph.plans.experiments import cut
@@ -82,3 +83,22 @@ class Counting:
         found = K.search_layer(g, q, at, 400, near(0), ok, c)
         self.ids = [int(g.ids[v]) for _, v in found]
         self.counts = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops)
+
+
+@pytest.mark.parametrize("name", ["filtered_degree", "predicate_clustering"])
+def test_pairs_are_met_in_blocks(spark, sf, name):
+    assert no_pairs(registry.QUERIES[name](spark, sf))
+
+
+def no_pairs(df):
+    """No pair of vectors is a row of the plan, and no join on one shard holds them all."""
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    return "aggregate(zip_with" not in plan and "Join Cross" not in plan
+
+
+def test_block_neighbours_are_the_joined_ones(islands):
+    want = relgraph.knn_join(*[islands.withColumn("shard", F.lit(0))] * 2, 7).select("src", "pos", "dst")
+    for parts in (1, 3):
+        tagged = islands.select("id", "vec", F.array().cast("array<int>").alias("tags"))
+        got = blocks.meet(tagged, tagged.repartition(5), parts, lambda own: blocks.Nearest(own, 7), "src long, pos int, dst long, dist double")
+        assert rows(got.select("src", "pos", "dst")) == rows(want)
