@@ -85,7 +85,7 @@ class Counting:
         self.counts = (c.n_dist, c.n_visited, c.n_pred_eval, c.n_passed, c.n_hops)
 
 
-@pytest.mark.parametrize("name", ["filtered_degree", "predicate_clustering"])
+@pytest.mark.parametrize("name", ["filtered_degree", "predicate_clustering", "query_correlation_no", "query_correlation_rank", "query_correlation_three_targets"])
 def test_pairs_are_met_in_blocks(spark, sf, name):
     assert no_pairs(registry.QUERIES[name](spark, sf))
 
@@ -102,3 +102,15 @@ def test_block_neighbours_are_the_joined_ones(islands):
         tagged = islands.select("id", "vec", F.array().cast("array<int>").alias("tags"))
         got = blocks.meet(tagged, tagged.repartition(5), parts, lambda own: blocks.Nearest(own, 7), "src long, pos int, dst long, dist double")
         assert rows(got.select("src", "pos", "dst")) == rows(want)
+
+
+def test_weights_of_random_subsets():
+    from itertools import combinations
+
+    from facetgraph.plans.metrics import subset_weights
+
+    for n, k, t in ((7, 3, 1), (7, 3, 2), (6, 6, 3), (8, 1, 3), (5, 5, 1)):
+        sets = list(combinations(range(n), k))
+        want = [sum(i in sorted(x)[:t] for x in sets) / len(sets) for i in range(n)]
+        got = subset_weights(n, k, t)
+        assert np.allclose(np.append(got, np.zeros(n - len(got))), want)
