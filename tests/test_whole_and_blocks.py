@@ -114,3 +114,13 @@ def test_weights_of_random_subsets():
         want = [sum(i in sorted(x)[:t] for x in sets) / len(sets) for i in range(n)]
         got = subset_weights(n, k, t)
         assert np.allclose(np.append(got, np.zeros(n - len(got))), want)
+
+
+def test_searches_ask_for_every_fiftieth_row(spark, sf):
+    from facetgraph.plans import experiments
+    from facetgraph.plans.workloads import WORKLOADS
+
+    e, q, _ = experiments._ready(spark, sf, WORKLOADS["eq12"])
+    assert rows(q.select("query_id")) == rows(e.where("id % 50 = 0").select("id"))
+    assert q.select("pred_id").distinct().count() == min(12, q.count()) and "caption" not in e.columns
+    assert "caption" in experiments._ready(spark, sf, WORKLOADS["regex"])[0].columns
