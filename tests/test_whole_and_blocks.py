@@ -124,3 +124,8 @@ def test_searches_ask_for_every_fiftieth_row(spark, sf):
     assert rows(q.select("query_id")) == rows(e.where("id % 50 = 0").select("id"))
     assert q.select("pred_id").distinct().count() == min(12, q.count()) and "caption" not in e.columns
     assert "caption" in experiments._ready(spark, sf, WORKLOADS["regex"])[0].columns
+
+
+@pytest.mark.parametrize("name", ["cost_model", "distances_at_recall", "pareto_frontier", "qps_at_recall", "recall_at_qps", "support_matrix"])
+def test_a_table_is_read(spark, sf, name):
+    assert registry.QUERIES[name](spark, sf).inputFiles()
