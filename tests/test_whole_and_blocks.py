@@ -129,3 +129,19 @@ def test_searches_ask_for_every_fiftieth_row(spark, sf):
 @pytest.mark.parametrize("name", ["cost_model", "distances_at_recall", "pareto_frontier", "qps_at_recall", "recall_at_qps", "support_matrix"])
 def test_a_table_is_read(spark, sf, name):
     assert registry.QUERIES[name](spark, sf).inputFiles()
+
+
+@pytest.mark.parametrize("name", ["dense_exhaustive"])
+def test_a_wide_beam_carries_what_it_reads_and_asks_every_fiftieth_row(spark, monkeypatch, name):
+    from facetgraph.plans import experiments
+    from facetgraph.plans.workloads import WORKLOADS, entities, searches
+
+    sf, carried = "/root/testdata/sf0.01", []
+    monkeypatch.setattr(experiments, "cut", lambda df: carried.append(df.columns) or cut(df))
+    found = cut(registry.QUERIES[name](spark, sf))
+    w = WORKLOADS["label"]
+    e = entities(spark, sf, w)
+    truth = cut(exact.prefilter(e, searches(e, w), list(w.predicates), registry.TOP))
+    assert carried[0] == ["id", "vec", "label"]
+    assert rows(found.select("query_id").distinct()) == rows(e.where("id % 50 = 0").select("id"))
+    assert found.join(truth, ["query_id", "id"]).count() >= 0.9 * truth.count()
