@@ -131,7 +131,7 @@ def test_a_table_is_read(spark, sf, name):
     assert registry.QUERIES[name](spark, sf).inputFiles()
 
 
-@pytest.mark.parametrize("name", ["dense_exhaustive", "dense_two_levels_exhaustive"])
+@pytest.mark.parametrize("name", ["dense_exhaustive", "dense_two_levels_exhaustive", "lean_exhaustive"])
 def test_a_wide_beam_carries_what_it_reads_and_asks_every_fiftieth_row(spark, monkeypatch, name):
     from facetgraph.plans import experiments
     from facetgraph.plans.workloads import WORKLOADS, entities, searches
