@@ -145,3 +145,45 @@ def test_a_wide_beam_carries_what_it_reads_and_asks_every_fiftieth_row(spark, mo
     assert carried[0] == ["id", "vec", "label"]
     assert rows(found.select("query_id").distinct()) == rows(e.where("id % 50 = 0").select("id"))
     assert found.join(truth, ["query_id", "id"]).count() >= 0.9 * truth.count()
+
+
+def test_degrees_of_all_kinds_from_one_search_for_neighbours(spark, sf):
+    from facetgraph.plans import experiments
+    from facetgraph.sources import tables as T
+
+    for load in (T.entity_vec, T.entity_doc):
+        e = cut(load(spark, sf).select("id", "vec"))
+        kinds = {"dense": experiments.DENSE, "lean": experiments.LEAN, "hnsw": experiments.HNSW}
+        want = [(name, *r) for name, p in kinds.items() for r in rows(I.out_degree(I.build(e, p, shards=3)).select("level", "nodes", "degree", "largest"))]
+        got = rows(I.out_degrees(e, kinds, shards=3).select("method", "level", "nodes", "degree", "largest"))
+        assert [r[:3] + r[4:] for r in got] == [r[:3] + r[4:] for r in sorted(want)] and np.allclose([r[3] for r in got], [r[3] for r in sorted(want)])
+
+
+def test_relative_neighbours_by_each_kept_one():
+    from facetgraph.operators import prune
+
+    rng = np.random.default_rng(11)
+    for most in (1, 4, 16):
+        x = np.round(rng.normal(size=(40, 3)), 1)
+        far = (x**2).sum(axis=1)
+        order = np.lexsort((np.arange(40), far)).tolist()
+        pairwise = lambda c, kept: ((x[kept] - x[c]) ** 2).sum(axis=1)
+        want = prune.rng_labelled(order, far[order].tolist(), pairwise, most, None, None)
+        assert prune.rng(order, far[order].tolist(), pairwise, most) == want
+    assert prune.rng([], [], pairwise, 4) == []
+
+
+def test_text_vectors_are_counted_once_a_word(spark):
+    from facetgraph.sources import tables as T
+
+    texts = [(1, "a b\tb\u00a0c  d"), (2, None), (3, " \n "), (1, "b\u000bx\fy"), (4, "\u00e9 \u00e9 z"), (None, "q")]
+    df = spark.createDataFrame(texts, "id long, text string")
+    token = F.explode(F.filter(F.split("text", r"\s+"), lambda t: t != "")).alias("t")
+    cell = F.pmod(F.conv(F.substring(F.md5("t"), 1, 8), 16, 10).cast("long"), F.lit(T.BUCKETS)).cast("int")
+    counts = {}
+    for i, c, n in df.select("id", token).groupBy("id", cell).count().collect():
+        counts.setdefault(i, [0.0] * T.BUCKETS)[c] = float(n)
+    want = {i: [x / sum(y * y for y in v) ** 0.5 for x in v] for i, v in counts.items()}
+    out = T.text_vector(df, "id", "text")
+    assert {r["id"]: list(r["vec"]) for r in out.collect()} == want and None in want and 2 not in want
+    assert "transform(" not in out._jdf.queryExecution().optimizedPlan().toString()
