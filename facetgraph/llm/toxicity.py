@@ -3,7 +3,7 @@
 Terms are a document's distinct words, their first letters, and first letters seen several times, hashed. The machine
 adds a weight for each term and, for each pair of terms, the product of their
 factors: a term that is harmless alone can count beside another, which additive
-weights cannot say. It is fitted on the driver from a bounded sample of labelled
+weights cannot say. It is fitted in one task from a bounded sample of labelled
 rows (``labelled.SAMPLE_ROWS``) over all hashed terms that at least SEEN of them hold, whatever
 their classes, so that terms which tell something only in pairs take part. It scores every text whole, in Arrow batches and without a shuffle.
 
@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from facetgraph.llm.labelled import fold, sample_ids, texts_of, training_labels
-from facetgraph.llm.textkit import Tokens, alnum_words, arrow, text_chunks, trim
+from facetgraph.llm.textkit import Tokens, alnum_words, arrow, text_chunks
 
 BUCKETS, SEEN, FACTORS, STEM = 1 << 18, 3, 8, 4
 #: A stem that occurs so often is a further term.
@@ -143,17 +143,30 @@ def terms_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([pa.array(labels[at : at + len(texts)], pa.int32()), pa.array(rows, pa.binary())], ["label", "terms"])
 
 
-def train(documents: DataFrame, labels: DataFrame, column: str = "toxic", folds: int = FOLDS, held_out: int = HELD_OUT) -> Machine:
-    sample = sample_ids(training_labels(labels, column, folds, held_out))
+def fit_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The machine of all rows of ``terms_kernel``, as one row."""
+    held = list(batches)
+    if not sum(b.num_rows for b in held):
+        return
     # the order of arrival must not matter
-    rows = texts_of(documents, sample).transform(arrow, terms_kernel, "label int, terms binary").toArrow().sort_by([("label", "ascending"), ("terms", "ascending")])
-    terms = rows.column("terms").combine_chunks().cast(pa.large_binary())
+    rows = pa.Table.from_batches(held).sort_by([("label", "ascending"), ("terms", "ascending")])
+    del held
+    terms = rows.column("terms").cast(pa.large_binary()).combine_chunks()
     cuts, y = np.frombuffer(terms.buffers()[1], np.int64) // 4, rows.column("label").to_numpy().astype(float)
-    flat = np.frombuffer(terms.buffers()[2], np.int32) if len(terms) and terms.buffers()[2] else np.empty(0, np.int32)
-    machine = fit([flat[a:b] for a, b in zip(cuts, cuts[1 : len(terms) + 1])], y)
-    del rows, terms, flat
-    trim()
-    return machine
+    flat = np.frombuffer(terms.buffers()[2], np.int32) if terms.buffers()[2] else np.empty(0, np.int32)
+    m = fit([flat[a:b] for a, b in zip(cuts, cuts[1 : len(terms) + 1])], y)
+    yield pa.RecordBatch.from_arrays([pa.array([m.place.astype(np.int32).tobytes()]), pa.array([m.bias]), pa.array([m.weights.astype(np.float32).tobytes()]), pa.array([m.factors.astype(np.float32).tobytes()])], ["place", "bias", "weights", "factors"])
+
+
+def train(documents: DataFrame, labels: DataFrame, column: str = "toxic", folds: int = FOLDS, held_out: int = HELD_OUT) -> Machine:
+    """The machine fitted in one task on the sample; the driver holds what it has learnt alone."""
+    sample = sample_ids(training_labels(labels, column, folds, held_out))
+    rows = texts_of(documents, sample).transform(arrow, terms_kernel, "label int, terms binary")
+    made = rows.repartition(1).transform(arrow, fit_kernel, "place binary, bias double, weights binary, factors binary").collect()
+    if not made:
+        return fit([], np.empty(0))
+    m, weights = made[0], np.frombuffer(made[0]["weights"], np.float32)
+    return Machine(np.frombuffer(m["place"], np.int32), m["bias"], weights, np.frombuffer(m["factors"], np.float32).reshape(len(weights), -1))
 
 
 def score_udf(machine: Machine) -> Column:
